@@ -130,7 +130,7 @@ def _extract(windowing: Windowing):
 
 
 def _index_groups(index: Callable[[list[tuple[bytes, int]]], list[list[tuple[int, int]]]], limit: int):
-    """Feed whole anchors to ``index``, about ``limit`` bytes at a time; the input is sorted by anchor."""
+    """Feed whole anchors to ``index``, about ``limit`` bytes at a time; the input is sorted by anchor and segment."""
     schema = pa.schema([("segment", pa.binary()), ("a", pa.int32()), ("b", pa.int32())])
 
     def rows(batches):
@@ -140,9 +140,11 @@ def _index_groups(index: Callable[[list[tuple[bytes, int]]], list[list[tuple[int
                 if size >= limit and anchor != last:
                     yield from found(held)
                     held, size = [], 0
+                last = anchor
+                if held and held[-1][0] == segment:
+                    continue
                 held.append((segment, body, windows))
                 size += len(body)
-                last = anchor
         yield from found(held)
 
     def found(held):
@@ -170,7 +172,7 @@ def keyed(documents: DataFrame) -> DataFrame:
     return documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("th", F.xxhash64("text"))
 
 
-def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: int = 256, limit: int = 2 << 20) -> DataFrame:
+def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: int = 256, limit: int = 1 << 20) -> DataFrame:
     """(doc_id, th, spans): half-open ranges of window numbers that also start anywhere else in the corpus."""
     docs = keyed(documents)
     counts = docs.select("text").mapInArrow(_count_anchors(windowing), "anchor long, n long")
@@ -191,7 +193,7 @@ def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: i
     if any_heavy:
         bodies = scratch.table(bodies, "bodies")
     light = bodies.filter("not heavy").repartition("anchor").sortWithinPartitions("anchor", "segment")
-    marks = _distinct_first(light).mapInArrow(_index_groups(index, limit), "segment binary, a int, b int")
+    marks = light.mapInArrow(_index_groups(index, limit), "segment binary, a int, b int")
     if any_heavy:
         windows = scratch.table(bodies.filter("heavy").select("segment", "windows", "body").mapInArrow(_window_digests(windowing), "segment binary, a int, window binary").distinct(), "windows")
         often = scratch.table(windows.groupBy("window").count().filter("count > 1").select("window"), "often")
@@ -202,21 +204,6 @@ def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: i
     return spans.groupBy("doc_id", "th").agg(F.collect_list(F.struct("a", "b")).alias("spans"))
 
 
-def _distinct_first(sorted_bodies: DataFrame) -> DataFrame:
-    """Drop the later of equal segments in partitions sorted by anchor and segment."""
-
-    def run(batches):
-        last = None
-        for batch in batches:
-            keep = []
-            for segment in batch.column("segment").to_pylist():
-                keep.append(segment != last)
-                last = segment
-            yield batch.filter(pa.array(keep, pa.bool_()))
-
-    return sorted_bodies.mapInArrow(run, sorted_bodies.schema)
-
-
 def with_spans(documents: DataFrame, spans: DataFrame) -> DataFrame:
     """Every document, with the spans found for it or null."""
     docs = keyed(documents)

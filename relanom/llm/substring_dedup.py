@@ -90,9 +90,9 @@ def remove_repeats(documents: DataFrame, length: int = 35, heavy: int = 256, tex
 
     def rows(batches):
         for batch in batches:
-            for doc_id, data, spans in zip(batch.column("doc_id").to_pylist(), kernels.as_bytes(batch.column("text")), batch.column("spans").to_pylist()):
-                words, kept, at = (data or b"").split(), [], 0
-                for a, b in kernels.merged((x["a"], x["b"] + length - 1) for x in spans or ()):
+            for doc_id, data, spans in zip(batch.column("doc_id").to_pylist(), batch.column("text").cast(pa.binary()), batch.column("spans")):
+                words, kept, at = (data.as_py() or b"").split(), [], 0
+                for a, b in kernels.merged((x["a"], x["b"] + length - 1) for x in spans.as_py() or ()):
                     kept += words[at:a]
                     at = b
                 kept += words[at:]

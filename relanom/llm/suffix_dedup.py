@@ -168,8 +168,8 @@ def remove_repeats(documents: DataFrame, length: int = 400, heavy: int = 256, te
 
     def rows(batches):
         for batch in batches:
-            for doc_id, data, spans in zip(batch.column("doc_id").to_pylist(), kernels.as_bytes(batch.column("text")), batch.column("spans").to_pylist()):
-                data = data or b""
+            for doc_id, data, spans in zip(batch.column("doc_id").to_pylist(), batch.column("text").cast(pa.binary()), batch.column("spans")):
+                data, spans = data.as_py() or b"", spans.as_py()
                 gone = kernels.merged((x["a"], x["b"] + length - 1) for x in spans or ())
                 kept, at = [], 0
                 for a, b in gone:
