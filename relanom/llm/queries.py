@@ -1,9 +1,15 @@
 """Queries of the training-data operators and, where SQL can express them, their oracles."""
 
-from relanom.llm import substring_dedup, suffix_dedup
+from relanom.llm import decontaminate, packing, substring_dedup, suffix_dedup, url_rules
 
 QUERIES = {
+    "op2_winnowing": decontaminate.op2_winnowing,
     "op3_suffix_array_dedup": suffix_dedup.op3_suffix_array_dedup,
+    "op5_url_rules": url_rules.op5_url_rules,
     "op7_super_kmer_dedup": substring_dedup.op7_super_kmer_dedup,
+    "op8_min_bin_slack": packing.op8_min_bin_slack,
+}
+ORACLES = {
+    "op2_winnowing": decontaminate.ORACLE,
+    "op5_url_rules": url_rules.ORACLE,
 }
-ORACLES: dict[str, str] = {}
