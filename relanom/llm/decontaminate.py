@@ -146,7 +146,7 @@ def _by_broadcast(docs: DataFrame, items: DataFrame, window: int) -> DataFrame:
     return docs.mapInArrow(lambda batches: kernels.row_batches(rows(batches), _SCHEMA), RESULT)
 
 
-def _by_shuffle(docs: DataFrame, items: DataFrame, window: int) -> DataFrame:
+def _by_shuffle(docs: DataFrame, items: DataFrame, window: int, keep_hash: bool = False) -> DataFrame:
     """Fingerprints of both sides meet by value; candidates are confirmed pair by pair."""
     w, keyed = window - GRAM + 1, docs.withColumn("th", F.xxhash64("text"))
 
@@ -176,15 +176,16 @@ def _by_shuffle(docs: DataFrame, items: DataFrame, window: int) -> DataFrame:
     right = items.mapInArrow(lambda b: kernels.row_batches(item_prints(b), item_schema), "item_id long, print long")
     pairs = left.join(right, "print").select("doc_id", "th", "item_id").distinct()
     pairs = pairs.join(items.withColumnRenamed("text", "item_text"), "item_id").groupBy("doc_id", "th").agg(F.collect_list(F.struct("item_id", "item_text")).alias("items"))
-    joined = keyed.join(pairs, keyed["doc_id"].eqNullSafe(pairs["doc_id"]) & (keyed["th"] == pairs["th"]), "left").select(keyed["doc_id"], keyed["text"], "items")
+    joined = keyed.join(pairs, keyed["doc_id"].eqNullSafe(pairs["doc_id"]) & (keyed["th"] == pairs["th"]), "left").select(keyed["doc_id"], keyed["text"], keyed["th"], "items")
 
     def rows(batches):
         for batch in batches:
-            for d, text, found in zip(batch.column("doc_id").to_pylist(), kernels.as_bytes(batch.column("text")), batch.column("items")):
+            for d, text, th, found in zip(batch.column("doc_id").to_pylist(), kernels.as_bytes(batch.column("text")), batch.column("th").to_pylist(), batch.column("items")):
                 some = [(x["item_id"], x["item_text"].encode()) for x in found.as_py() or ()]
-                yield _result(d, *BenchmarkIndex(some, window).hits([(text or b"").lower()])[0])
+                yield _result(d, *BenchmarkIndex(some, window).hits([(text or b"").lower()])[0]) + ((th,) if keep_hash else ())
 
-    return joined.mapInArrow(lambda batches: kernels.row_batches(rows(batches), _SCHEMA), RESULT)
+    schema = _SCHEMA.append(pa.field("th", pa.int64())) if keep_hash else _SCHEMA
+    return joined.mapInArrow(lambda batches: kernels.row_batches(rows(batches), schema), RESULT + ", th long" * keep_hash)
 
 
 def contamination(documents: DataFrame, benchmark: DataFrame, window: int = 10, broadcast_bytes: int = 32 << 20) -> DataFrame:
@@ -195,6 +196,24 @@ def contamination(documents: DataFrame, benchmark: DataFrame, window: int = 10,
     return (_by_broadcast if size <= broadcast_bytes else _by_shuffle)(docs, items, window)
 
 
+def decontaminated(documents: DataFrame, benchmark: DataFrame, window: int = 10, broadcast_bytes: int = 32 << 20) -> DataFrame:
+    """The documents, all columns, that hold no window of the benchmark."""
+    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).dropna()
+    size = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    if size > broadcast_bytes:
+        hit = _by_shuffle(documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), items, window, keep_hash=True)
+        hit = hit.filter("contaminated").select(F.col("doc_id").alias("_hit"), "th").distinct()
+        return documents.join(hit, documents["doc_id"].eqNullSafe(hit["_hit"]) & (F.xxhash64(documents["text"].cast("string")) == hit["th"]), "left_anti")
+    index = documents.sparkSession.sparkContext.broadcast(BenchmarkIndex([(r[0], r[1].encode()) for r in items.collect()], window))
+
+    def run(batches):
+        for batch in batches:
+            clean = [not hit for _, texts in _lowered(batch) for _, hit, _ in index.value.hits(texts)]
+            yield batch.filter(pa.array(clean, pa.bool_()))
+
+    return documents.mapInArrow(run, documents.schema)
+
+
 def op2_winnowing(spark, sf_dir: str) -> DataFrame:
     return contamination(spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 

@@ -137,7 +137,7 @@ def read_responses(spark, path: str) -> DataFrame:
 
 
 def write_records(records: DataFrame, path: str) -> None:
-    """Write derivatives as gzip members, one per record, in text files' place: binary rows (record) under ``path`` as Parquet."""
+    """Write derivatives under ``path`` as Parquet rows (record_id, record); each record is a gzip member, so their concatenation is a WARC file."""
     import gzip
 
     schema = pa.schema([("record_id", pa.string()), ("record", pa.binary())])
