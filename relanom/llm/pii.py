@@ -25,30 +25,38 @@ _W = r"\p{L}\p{N}_"
 _NAME = r"\p{Lu}\p{Ll}+(?:-\p{Lu}\p{Ll}+)?"
 #: Titles with the gender they state.
 TITLES = {"Mr": "m", "Mister": "m", "Sir": "m", "Herr": "m", "Monsieur": "m", "Señor": "m", "Mrs": "f", "Ms": "f", "Miss": "f", "Madam": "f", "Frau": "f", "Madame": "f", "Mme": "f", "Señora": "f", "Señorita": "f", "Господин": "m", "Госпожа": "f", "Κύριος": "m", "Κυρία": "f"}
-_TITLE = "(?:" + "|".join(sorted(TITLES, key=len, reverse=True)) + r")\.?"
+_DOTTED = ["Mrs", "Mme", "Mr", "Ms"]
+_TITLE = r"(?:(?:" + "|".join(_DOTTED) + r")\.?|" + "|".join(sorted(set(TITLES) - set(_DOTTED), key=len, reverse=True)) + ")"
+_SECRET = r"""(?i:password|passwd|pwd|secret|token|api_?key|access_key)\s{0,3}[=:]\s{0,3}["']?"""
 #: Kinds in order of precedence where two could start at one place.
 PATTERNS = {
-    "email": rf"(?<![{_W}.%+-])[{_W}.%+-]{{1,64}}+@(?:[{_W}-]{{1,63}}\.)+\p{{L}}{{2,24}}",
-    "secret": r"""(?<=\b(?:password|passwd|pwd|secret|token|api_key|apikey|access_key)\s{0,3}[=:]\s{0,3}["']?)[A-Za-z0-9+/_=-]{8,}""",
-    "ip": rf"(?<![{_W}.])(?:(?:25[0-5]|2[0-4]\d|1?\d?\d)\.){{3}}(?:25[0-5]|2[0-4]\d|1?\d?\d)(?![{_W}]|\.\d)",
-    "card": rf"(?<![{_W}.+-])(?:\d{{4}}[ -]?){{3}}\d{{1,7}}(?![{_W}]|[.-]\d)",
-    "ssn": rf"(?<![{_W}.-])\d{{3}}-\d{{2}}-\d{{4}}(?![{_W}-])",
-    "phone": rf"(?<![{_W}])(?:\+\d{{1,3}}(?:[ .-]?\(?\d{{2,4}}\)?){{2,4}}|\(?\d{{3}}\)?[ .-]\d{{3}}[ .-]\d{{4}})(?![{_W}])",
-    "iban": rf"(?<![{_W}])[A-Z]{{2}}\d{{2}}(?: ?[A-Z0-9]{{4}}){{3,7}}(?: ?[A-Z0-9]{{1,3}})?(?![{_W}])",
-    "name": rf"(?<![{_W}]){_TITLE} {_NAME}(?: {_NAME}){{0,2}}",
-}
-PATTERN = "|".join(f"(?:{p})" for p in PATTERNS.values())
-_SCRIPTS = {
-    r"[a-z]": "abcdefghijklmnopqrstuvwxyz",
-    r"[A-Z]": "ABCDEFGHIJKLMNOPQRSTUVWXYZ",
-    r"[0-9]": "0123456789",
-    r"[ß-ÿ]": "àáâäæçèéêëìíîïñòóôöùúûüß",
-    r"[À-Þ]": "ÀÁÂÄÆÇÈÉÊËÌÍÎÏÑÒÓÔÖÙÚÛÜ",
-    r"[α-ω]": "αβγδεζηθικλμνξοπρστυφχψω",
-    r"[Α-Ω]": "ΑΒΓΔΕΖΗΘΙΚΛΜΝΞΟΠΡΣΤΥΦΧΨΩ",
-    r"[а-я]": "абвгдежзийклмнопрстуфхцчшщъыьэюя",
-    r"[А-Я]": "АБВГДЕЖЗИЙКЛМНОПРСТУФХЦЧШЩЪЫЬЭЮЯ",
+    "ip": rf"(?<!\.)(?:(?:25[0-5]|2[0-4]\d|1?\d?\d)\.){{3}}(?:25[0-5]|2[0-4]\d|1?\d?\d)(?![{_W}]|\.\d)",
+    "card": rf"(?<![.+-])(?:\d{{4}}[ -]?){{3}}\d{{1,7}}(?![{_W}]|[.-]\d)",
+    "ssn": rf"(?<![.-])\d{{3}}-\d{{2}}-\d{{4}}(?![{_W}-])",
+    "phone": rf"(?:\+\d{{1,3}}(?:[ .-]?\(?\d{{2,4}}\)?){{2,4}}|\(?\d{{3}}\)?[ .-]\d{{3}}[ .-]\d{{4}})(?![{_W}])",
+    "iban": rf"[A-Z]{{2}}\d{{2}}(?: ?[A-Z0-9]{{4}}){{3,7}}(?: ?[A-Z0-9]{{1,3}})?(?![{_W}])",
+    "name": rf"{_TITLE} {_NAME}(?: {_NAME}){{0,2}}",
+    "email": rf"(?<![.%+-])[{_W}.%+-]{{1,64}}+@(?:[{_W}-]{{1,63}}\.)+\p{{L}}{{2,24}}",
 }
+#: All kinds at once: one look behind rules out the middles of words, one ahead picks the kinds that can start here.
+PATTERN = (
+    rf"{_SECRET}[A-Za-z0-9+/_=-]{{8,}}|(?<![{_W}])(?:(?=[\d+(])(?:{PATTERNS['ip']}|{PATTERNS['card']}|{PATTERNS['ssn']}|{PATTERNS['phone']})"
+    rf"|(?=\p{{Lu}})(?:{PATTERNS['iban']}|{PATTERNS['name']})|{PATTERNS['email']})"
+)
+#: Every text that the pattern can match has a digit, an @ or one of these.
+_SIGNS = [t + " " for t in TITLES] + [t + "." for t in _DOTTED] + ["assw", "ASSW", "pwd", "PWD", "ecret", "ECRET", "oken", "OKEN", "key", "KEY", "Key"]
+#: Letters and digits by script and case.
+_SCRIPTS = [
+    "abcdefghijklmnopqrstuvwxyz",
+    "ABCDEFGHIJKLMNOPQRSTUVWXYZ",
+    "0123456789",
+    "ßàáâãäåæçèéêëìíîïðñòóôõöøùúûüýþÿ",
+    "ÀÁÂÃÄÅÆÇÈÉÊËÌÍÎÏÐÑÒÓÔÕÖØÙÚÛÜÝÞ",
+    "αβγδεζηθικλμνξοπρστυφχψω",
+    "ΑΒΓΔΕΖΗΘΙΚΛΜΝΞΟΠΡΣΤΥΦΧΨΩ",
+    "абвгдежзийклмнопрстуфхцчшщъыьэюя",
+    "АБВГДЕЖЗИЙКЛМНОПРСТУФХЦЧШЩЪЫЬЭЮЯ",
+]
 #: Syllables of invented names and their gendered ends, by script.
 _SYLLABLES = {
     "latin": (["bar", "del", "fin", "gal", "hor", "jan", "kel", "lor", "mar", "nor", "pel", "ros", "sim", "tor", "val", "wen"], ["o", "on"], ["a", "ina"]),
@@ -57,11 +65,18 @@ _SYLLABLES = {
 }
 
 
+def maybe(text: Column) -> Column:
+    """Cheap test that no text with an entity fails; most texts do, and then the pattern never runs."""
+    some = text.rlike("[0-9@]")
+    for sign in _SIGNS:
+        some = some | text.contains(sign)
+    return some
+
+
 def kind_of(mention: Column) -> Column:
-    """Kind of a whole match; the order of ``PATTERNS`` decides, as in the pattern for all."""
-    whole = {k: p for k, p in PATTERNS.items() if k != "secret"}
-    cases = [F.when(mention.rlike(f"^(?:{p})$"), F.lit(k)) for k, p in whole.items()]
-    return F.coalesce(*cases, F.lit("secret"))
+    """Kind of a whole match, tried in the order of the pattern for all."""
+    cases = [F.when(mention.rlike(f"^{_SECRET}"), F.lit("secret"))]
+    return F.coalesce(*cases, *[F.when(mention.rlike(f"^(?:{p})$"), F.lit(k)) for k, p in PATTERNS.items()])
 
 
 def canonical(mention: Column, kind: Column) -> Column:
@@ -72,38 +87,38 @@ def canonical(mention: Column, kind: Column) -> Column:
         .when(kind == "phone", F.when(F.length(digits) > 10, F.substring(digits, -10, 10)).otherwise(digits))
         .when(kind == "iban", F.regexp_replace(mention, " ", ""))
         .when(kind == "email", F.lower(mention))
+        .when(kind == "secret", F.regexp_replace(mention, f"^{_SECRET}", ""))
         .otherwise(mention)
     )
 
 
-def _number(key: str, kind: Column, name: Column, attempt: Column, i: Column | int, below: Column | int) -> Column:
-    """Keyed draw below ``below`` for position i."""
-    text = F.concat_ws("\u0001", F.lit(key), kind, name, attempt.cast("string"), (i if isinstance(i, Column) else F.lit(i)).cast("string"))
-    draw = F.conv(F.substring(F.sha2(text, 256), 1, 12), 16, 10).cast("long")
-    return F.pmod(draw, below if isinstance(below, Column) else F.lit(below))
+def _draws(key: str, kind: Column, name: Column, attempt: Column, size: Column | int) -> Column:
+    """``size`` keyed numbers below 65536; a hash gives 32 of them."""
+    size = size if isinstance(size, Column) else F.lit(size)
+    seed = F.concat_ws("\u0001", F.lit(key), kind, name, attempt.cast("string"))
+    blocks = F.transform(F.sequence(F.lit(0), (size / 32).cast("int")), lambda i: F.sha2(F.concat_ws("\u0001", seed, i.cast("string")), 512))
+    return F.slice(F.transform(F.regexp_extract_all(F.array_join(blocks, ""), F.lit(".{4}"), F.lit(0)), lambda x: F.conv(x, 16, 10).cast("int")), F.lit(1), size)
 
 
 def _characters(key: str, kind: Column, name: Column, attempt: Column, text: Column) -> Column:
     """Each letter or digit becomes another of its script and case; anything else stays."""
 
-    def one(ch: Column, i: Column) -> Column:
-        cases = [F.when(ch.rlike(f"^{cls}$"), F.substring(F.lit(letters), (_number(key, kind, name, attempt, i, len(letters)) + 1).cast("int"), F.lit(1))) for cls, letters in _SCRIPTS.items()]
+    def one(ch: Column, draw: Column) -> Column:
+        cases = [F.when(F.instr(F.lit(letters), ch) > 0, F.substring(F.lit(letters), draw % len(letters) + 1, F.lit(1))) for letters in _SCRIPTS]
         return F.coalesce(*cases, ch)
 
-    return F.array_join(F.transform(F.split(text, ""), one), "")
+    return F.array_join(F.zip_with(F.split(text, ""), _draws(key, kind, name, attempt, F.length(text)), one), "")
 
 
 def _digits(key: str, kind: Column, name: Column, attempt: Column, size: Column) -> Column:
-    return F.array_join(F.transform(F.sequence(F.lit(1), size), lambda i: _number(key, kind, name, attempt, i, 10).cast("string")), "")
+    return F.array_join(F.transform(_draws(key, kind, name, attempt, size), lambda x: (x % 10).cast("string")), "")
 
 
 def _poured(digits: Column, mention: Column) -> Column:
     """The mention's format with its last digits replaced by ``digits``; leading digits beyond them stay."""
-    spots = F.length(F.regexp_replace(mention, "[^0-9]", ""))
-    chars = F.split(mention, "")
-    before = lambda i: F.size(F.filter(F.slice(chars, F.lit(1), i + 1), lambda c: c.rlike("[0-9]")))
-    at = lambda i: before(i) - spots + F.length(digits)
-    return F.array_join(F.transform(chars, lambda c, i: F.when(c.rlike("[0-9]") & (at(i) >= 1), F.substring(digits, at(i), F.lit(1))).otherwise(c)), "")
+    old = F.regexp_replace(mention, "[^0-9]", "")
+    new = F.concat(F.substring(old, F.lit(1), F.length(old) - F.length(digits)), digits)
+    return F.array_join(F.zip_with(F.split(mention, "[0-9]", -1), F.split(new, ""), lambda gap, d: F.concat(gap, F.coalesce(d, F.lit("")))), "")
 
 
 def _with_check_digit(body: Column) -> Column:
@@ -115,12 +130,10 @@ def _with_check_digit(body: Column) -> Column:
 
 
 def _address(key: str, kind: Column, name: Column, attempt: Column) -> Column:
-    parts = F.split(name, r"\.")
-    draw = lambda i, n: _number(key, kind, name, attempt, i, n)
     # The fixed octets of a private range stay; a public first octet is drawn from 11 to 126, none of which is private.
     keep = F.when(name.rlike(r"^(10|127)\."), 1).when(name.rlike(r"^(192\.168|172\.(1[6-9]|2\d|3[01])|169\.254)\."), 2).otherwise(0)
-    octets = [F.when(keep > i, parts[i]).otherwise((draw(i, 116) + 11 if i == 0 else draw(i, 254) + 1).cast("string")) for i in range(4)]
-    return F.concat_ws(".", *octets)
+    drawn = F.transform(_draws(key, kind, name, attempt, 4), lambda x, i: F.when(i == 0, x % 116 + 11).otherwise(x % 254 + 1).cast("string"))
+    return F.array_join(F.concat(F.slice(F.split(name, r"\."), F.lit(1), keep), F.slice(drawn, keep + 1, 4 - keep)), ".")
 
 
 def _person(key: str, mention: Column, attempt: Column) -> Column:
@@ -132,12 +145,12 @@ def _person(key: str, mention: Column, attempt: Column) -> Column:
     count = F.size(words)
 
     def one(word: Column, i: Column) -> Column:
-        surname, kind = i == count - 1, F.lit("name")
+        surname, drawn = i == count - 1, _draws(key, F.lit("name"), word, attempt, 4 + attempt)
         made = []
-        for script, (syllables, men, women) in _SYLLABLES.items():
+        for syllables, men, women in _SYLLABLES.values():
             table = F.array(*map(F.lit, syllables))
-            stem = F.array_join(F.transform(F.sequence(F.lit(1), 3 + attempt), lambda j: F.element_at(table, (_number(key, kind, word, attempt, j, len(syllables)) + 1).cast("int"))), "")
-            end = lambda ends: F.element_at(F.array(*map(F.lit, ends)), (_number(key, kind, word, attempt, 99, len(ends)) + 1).cast("int"))
+            stem = F.array_join(F.transform(F.slice(drawn, F.lit(2), 3 + attempt), lambda x: F.element_at(table, x % len(syllables) + 1)), "")
+            end = lambda ends: F.element_at(F.array(*map(F.lit, ends)), F.element_at(drawn, 1) % len(ends) + 1)
             made.append(F.initcap(F.concat(stem, F.when(surname, F.lit("")).when(woman, end(women)).otherwise(end(men)))))
         return F.when(word.rlike(r"^\p{IsCyrillic}"), made[1]).when(word.rlike(r"^\p{IsGreek}"), made[2]).otherwise(made[0])
 
@@ -146,18 +159,17 @@ def _person(key: str, mention: Column, attempt: Column) -> Column:
 
 def surrogate(mention: Column, kind: Column, name: Column, attempt: Column, key: str) -> Column:
     """Replacement of a mention of the entity (kind, name)."""
-    size = F.length(name)
-    # A mail address without its last domain part, which stays.
-    head = F.regexp_extract(mention, r"^(.*)(\.[^.]+)$", 1)
-    card = F.concat(F.substring(name, 1, 1), _digits(key, kind, name, attempt, size - 2))
+    part = lambda pattern, i: F.regexp_extract(mention, pattern, i)
+    mail, secret = r"^(.*)(\.[^.]+)$", f"^({_SECRET})(.*)$"
+    card = F.concat(F.substring(name, 1, 1), _digits(key, kind, name, attempt, F.length(name) - 2))
     return (
-        F.when(kind == "email", F.concat(_characters(key, kind, name, attempt, head), F.regexp_extract(mention, r"^(.*)(\.[^.]+)$", 2)))
+        F.when(kind == "email", F.concat(_characters(key, kind, name, attempt, part(mail, 1)), part(mail, 2)))
         .when(kind == "ip", _address(key, kind, name, attempt))
         .when(kind == "card", _poured(_with_check_digit(card), mention))
-        .when(kind.isin("ssn", "phone"), _poured(_digits(key, kind, name, attempt, size), mention))
+        .when(kind.isin("ssn", "phone"), _poured(_digits(key, kind, name, attempt, F.length(name)), mention))
         .when(kind == "iban", F.concat(F.substring(mention, 1, 2), _characters(key, kind, name, attempt, F.substring(mention, F.lit(3), F.length(mention)))))
         .when(kind == "name", _person(key, mention, attempt))
-        .otherwise(_characters(key, kind, name, attempt, mention))
+        .otherwise(F.concat(part(secret, 1), _characters(key, kind, name, attempt, part(secret, 2))))
     )
 
 
@@ -167,15 +179,16 @@ def mentions(text: Column) -> Column:
 
 def _entities(documents: DataFrame) -> DataFrame:
     """Distinct (kind, name) with one spelling."""
-    found = documents.filter(F.col("text").rlike(PATTERN)).select(F.explode(mentions(F.col("text"))).alias("mention")).withColumn("kind", kind_of(F.col("mention")))
+    found = documents.filter(maybe(F.col("text"))).select(F.explode(mentions(F.col("text"))).alias("mention")).withColumn("kind", kind_of(F.col("mention")))
     return found.withColumn("name", canonical(F.col("mention"), F.col("kind"))).groupBy("kind", "name").agg(F.min("mention").alias("mention"))
 
 
 def redraws(documents: DataFrame, key: str, rounds: int = 32) -> DataFrame:
     """(kind, name, attempt) of the entities whose first surrogates were taken, by another entity or by a real one."""
+    tasks = int(documents.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     entities = scratch.table(_entities(documents).withColumn("attempt", F.lit(0)), "entities")
     for _ in range(rounds):
-        named = entities.withColumn("made", surrogate(F.col("mention"), F.col("kind"), F.col("name"), F.col("attempt"), key))
+        named = entities.repartition(tasks, "kind", "name").withColumn("made", surrogate(F.col("mention"), F.col("kind"), F.col("name"), F.col("attempt"), key))
         named = scratch.table(named.withColumn("made", canonical(F.col("made"), F.col("kind"))), "made")
         order = F.row_number().over(Window.partitionBy("kind", "made").orderBy("name"))
         real = named.select(F.col("kind").alias("k"), F.col("name").alias("made")).distinct()
@@ -200,7 +213,7 @@ def replace(documents: DataFrame, key: str = "relanom-surrogates", keep: list[st
     if many:
         # Attempts meet the documents by document: each document's redrawn entities, then the document itself.
         docs = docs.withColumn("_th", F.xxhash64("text"))
-        said = docs.filter(F.col("text").rlike(PATTERN)).select("_th", F.explode(F.array_distinct(mentions(F.col("text")))).alias("mention")).withColumn("kind", kind_of(F.col("mention")))
+        said = docs.filter(maybe(F.col("text"))).select("_th", F.explode(F.array_distinct(mentions(F.col("text")))).alias("mention")).withColumn("kind", kind_of(F.col("mention")))
         said = said.withColumn("name", canonical(F.col("mention"), F.col("kind"))).join(odd, ["kind", "name"])
         per_doc = said.groupBy("_th").agg(F.map_from_entries(F.collect_set(F.struct("mention", "attempt"))).alias("_attempts"))
         docs = docs.join(per_doc, "_th", "left")
@@ -210,11 +223,13 @@ def replace(documents: DataFrame, key: str = "relanom-surrogates", keep: list[st
         attempt = F.coalesce(F.try_element_at(F.col("_attempts"), mention), F.lit(0)) if many else F.lit(0)
         return surrogate(mention, kind, canonical(mention, kind), attempt, key)
 
-    found, text = F.transform(mentions(F.col("text")), made), F.col("text")
-    gaps = F.split(text, PATTERN, -1)
-    mixed = F.array_join(F.zip_with(gaps, found, lambda gap, new: F.concat(gap, F.coalesce(new, F.lit("")))), "")
-    has = text.rlike(PATTERN)
-    return docs.select("doc_id", F.when(has, mixed).otherwise(text).alias("text"), F.when(has, F.size(found)).otherwise(0).cast("long").alias("n_entities"), *keep)
+    # One expression a projection: none is expensive and used twice, so the planner keeps them apart.
+    docs = docs.withColumn("_maybe", maybe(F.col("text")))
+    docs = docs.withColumn("_found", F.when(F.col("_maybe"), mentions(F.col("text"))))
+    docs = docs.withColumn("n_entities", F.coalesce(F.size("_found").cast("long"), F.lit(0).cast("long"))).withColumn("n_entities", F.greatest("n_entities", F.lit(0).cast("long")))
+    gaps = F.split(F.col("text"), PATTERN, -1)
+    mixed = F.array_join(F.zip_with(gaps, F.transform("_found", made), lambda gap, new: F.concat(gap, F.coalesce(new, F.lit("")))), "")
+    return docs.select("doc_id", F.when(F.col("n_entities") > 0, mixed).otherwise(F.col("text")).alias("text"), "n_entities", *keep)
 
 
 def op4_surrogates(spark, sf_dir: str) -> DataFrame:

@@ -18,6 +18,7 @@ def test_kinds_and_formats(spark):
         (4, "Mr. John Smith met Mrs. Smith and Frau Müller; Госпожа Иванова came"),
         (5, 'token = "0641917ea4e9feb9cda83477b57ac2654884f485" password=e3b3ed3cc8548923d6 x'),
         (6, "ssn 123-45-6789 and DE44 5001 0517 5407 3249 31"),
+        (11, "It costs 3 tokens; TOKEN: 'abcdefgh12' api_key=ZZZZyyyy9"),
         (7, "version 1.2.3.4.5 of 2024-01-02 costs 1000000 at 10:30, a@b, 12345"),
         (8, None), (9, ""), (None, "+1 (456) 555-2186 4404 +1 (456) 555-2186"), (10, "42.144.35.254"), (10, "42.144.35.254"),
     ]
@@ -41,7 +42,8 @@ def test_kinds_and_formats(spark):
     assert man.split()[1] == woman and man.split()[0][-1] in "on" and "Smith" not in out[4].text
     assert out[5].text.startswith('token = "') and "0641917e" not in out[5].text and "e3b3ed3cc" not in out[5].text
     assert "123-45-6789" not in out[6].text and re.search(r"\d{3}-\d{2}-\d{4}", out[6].text) and "5001 0517" not in out[6].text
-    assert out[7].text == rows[6][1] and out[7].n_entities == 0
+    assert out[7].text == rows[7][1] and out[7].n_entities == 0
+    assert re.fullmatch(r"It costs 3 tokens; TOKEN: '[a-z]{8}\d\d' api_key=[A-Z]{4}[a-z]{4}\d", out[11].text) and "abcdefgh" not in out[11].text
     assert out[8].text is None and out[9].text == "" and out[None].n_entities == 2
     assert pii.replace(df.limit(0)).count() == 0
 
@@ -61,9 +63,12 @@ def test_nothing_found_is_left_and_clean_rows_stay(spark):
 
 
 def test_collisions_are_redrawn(spark, monkeypatch):
-    plain = pii._number
-    # Two thirds of the first draws collapse to zeros: all such numbers collide and must be told apart by later attempts.
-    monkeypatch.setattr(pii, "_number", lambda key, kind, name, attempt, i, below: pii.F.when(attempt == 0, pii.F.lit(0).cast("long")).otherwise(plain(key, kind, name, attempt, i, below)))
+    plain = pii._draws
+
+    def first_draws_are_zero(key, kind, name, attempt, size):
+        return pii.F.transform(plain(key, kind, name, attempt, size), lambda x: pii.F.when(attempt == 0, pii.F.lit(0)).otherwise(x))
+
+    monkeypatch.setattr(pii, "_draws", first_draws_are_zero)
     texts = [f"call +1 (555) 555-{i:04d} now" for i in range(40)] + ["call 000-000-0000"]
     got = [r.text for r in pii.replace(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()]
     assert len(set(got)) == len(texts) and not set(got) & set(texts)
