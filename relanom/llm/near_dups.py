@@ -10,9 +10,10 @@ pair is linked if its exact probability Jaccard similarity is at least ``similar
 Texts of equal words are one node from the start, so exact copies are never paired.  In each
 band's bucket every node is compared with the bucket's first; that joins groups of copies
 with as many comparisons as members.  Buckets that still hold nodes of several classes are
-then compared in full: in blocks of ``BLOCK`` nodes, signature against signature, and exactly
-where a pair of different classes agrees in enough places.  No pairs are listed within a
-group that is one class already.
+then compared in full, without listing pairs: blocks of ``BLOCK`` nodes meet in one task,
+signature against signature, and a pair of different classes that agrees in enough places and
+in no earlier band is compared exactly there.  Each link found makes its two classes one, so
+a task returns fewer links than it has nodes.
 
 Words are as in ``decontaminate``; a text of fewer than five is one shingle.  Texts without
 words, null ones too, are classes of their own.  A class is named by its least doc_id, null
@@ -32,10 +33,10 @@ from pyspark.sql import functions as F
 from relanom.llm import components, decontaminate, kernels, scratch
 
 SHINGLE = 5
-PLACES = 64
-ROWS = 4
+PLACES = 128
+ROWS = 6
 SIMILARITY = 0.8
-BLOCK = 48
+BLOCK = 256
 #: Rows up to which a list of bucket keys is broadcast.
 BROADCAST_ROWS = 1 << 20
 _U = np.uint64
@@ -126,23 +127,25 @@ def signed(documents: DataFrame) -> DataFrame:
 
 
 def _banded(nodes: DataFrame) -> DataFrame:
-    """(bucket, node): a bucket is a band with the hash of its places."""
+    """(node, band, bucket): a bucket is a band with the hash of its places."""
     width = ROWS * 8
     bands = F.transform(F.sequence(F.lit(0), F.lit(PLACES // ROWS - 1)), lambda i: F.xxhash64(i, F.substring(F.col("signature"), i * width + 1, F.lit(width))))
-    return nodes.select("node", F.explode(bands).alias("bucket"))
+    return nodes.select("node", F.posexplode(bands).alias("band", "bucket"))
 
 
-def _verify(pairs: DataFrame, documents: DataFrame, nodes: DataFrame, similarity: float) -> DataFrame:
+def _texts(asked: DataFrame, documents: DataFrame, nodes: DataFrame) -> DataFrame:
+    """(node, text) of the nodes asked for; several equal rows if a row repeats."""
+    where = nodes.join(asked.distinct(), "node", "left_semi").select("node", F.col("doc_id").alias("d"), "th")
+    docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("h", F.xxhash64("text"))
+    return docs.join(where, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("h") == F.col("th"))).select("node", "text")
+
+
+_LINKS = pa.schema([("u", pa.binary()), ("v", pa.binary())])
+
+
+def _verify(pairs: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
     """The pairs (u, v) of nodes that are similar enough."""
-    pairs = scratch.table(pairs.distinct(), "pairs")
-    asked = pairs.select(F.col("u").alias("node")).unionByName(pairs.select(F.col("v").alias("node"))).distinct()
-    where = nodes.join(asked, "node", "left_semi").select("node", F.col("doc_id").alias("d"), "th")
-    docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    texts = docs.withColumn("h", F.xxhash64("text")).join(where, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("h") == F.col("th"))).select("node", "text")
-    # Rows that repeat an id and a text give the same node several times; equal pairs found twice are one link.
-    texts = scratch.table(texts, "texts")
     both = pairs.join(texts.select(F.col("node").alias("u"), F.col("text").alias("x")), "u").join(texts.select(F.col("node").alias("v"), F.col("text").alias("y")), "v")
-    schema = pa.schema([("u", pa.binary()), ("v", pa.binary())])
 
     def rows(batches):
         sets = lru_cache(maxsize=256)(_sets)
@@ -151,41 +154,59 @@ def _verify(pairs: DataFrame, documents: DataFrame, nodes: DataFrame, similarity
                 if probability_jaccard(sets(x.as_py().encode()), sets(y.as_py().encode())) >= similarity - 1e-12:
                     yield u.as_py(), v.as_py()
 
-    return both.select("u", "v", "x", "y").mapInArrow(lambda b: kernels.row_batches(rows(b), schema), "u binary, v binary").distinct()
+    return both.select("u", "v", "x", "y").mapInArrow(lambda b: kernels.row_batches(rows(b), _LINKS), "u binary, v binary").distinct()
 
 
-def _block_pairs(members: DataFrame, similarity: float) -> DataFrame:
-    """Candidates (u, v) of different classes from buckets (bucket, blocks, node, class, signature), block against block."""
+def _block_links(members: DataFrame, similarity: float) -> DataFrame:
+    """Links (u, v) between classes within buckets (band, bucket, blocks, node, class, signature, text)."""
     # Three deviations below the expected number of agreeing places.
     enough = PLACES * similarity - 3 * (PLACES * similarity * (1 - similarity)) ** 0.5
-    block = F.pmod(F.xxhash64("node"), F.col("blocks"))
-    members = members.withColumn("block", block)
+    members = members.withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")))
     dealt = members.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
-    dealt = dealt.select("bucket", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "node", "class", "signature", "block")
-    dealt = dealt.repartition("bucket", "i", "j").sortWithinPartitions("bucket", "i", "j")
-    schema = pa.schema([("u", pa.binary()), ("v", pa.binary())])
+    dealt = dealt.select("band", "bucket", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "node", "class", "signature", "block", "text")
+    dealt = dealt.repartition("bucket", "i", "j").sortWithinPartitions("bucket", "band", "i", "j", "node")
 
     def rows(batches):
         key, held = None, []
         for batch in batches:
-            for *k, node, name, signature, own in zip(*(batch.column(c).to_pylist() for c in ("bucket", "i", "j", "node", "class", "signature", "block"))):
+            columns = [batch.column(c).to_pylist() for c in ("bucket", "band", "i", "j", "node", "class", "signature", "block", "text")]
+            for *k, node, name, signature, own, text in zip(*columns):
                 if k != key:
                     yield from compare(held, key)
                     key, held = k, []
-                held.append((node, name, np.frombuffer(signature, _U), own))
+                if not held or held[-1][0] != node:
+                    held.append((node, name, np.frombuffer(signature, _U), own, text.encode()))
         yield from compare(held, key)
 
     def compare(held, key):
         if len(held) < 2:
             return
-        signs, names = np.stack([x[2] for x in held]), [x[1] for x in held]
-        for i, (node, name, sign, own) in enumerate(held):
+        _, band, first, second = key
+        signs, root, sets = np.stack([x[2] for x in held]), {}, {}
+        bands = signs[:, : PLACES // ROWS * ROWS].reshape(len(held), -1, ROWS)
+
+        def find(name):
+            while root.get(name, name) != name:
+                name = root[name]
+            return name
+
+        def set_of(x):
+            if x not in sets:
+                sets[x] = _sets(held[x][4])
+            return sets[x]
+
+        for i, (node, name, sign, own, _) in enumerate(held):
             agree = (signs[i + 1 :] == sign).sum(axis=1)
-            for j in (np.flatnonzero(agree >= enough) + i + 1).tolist():
-                if names[j] != name and (key[1] == key[2] or held[j][3] != own):
+            near = np.flatnonzero(agree >= enough)
+            for j in (near[np.argsort(-agree[near], kind="stable")] + i + 1).tolist():
+                a, b = find(name), find(held[j][1])
+                if a == b or (first != second and held[j][3] == own) or (bands[i, :band] == bands[j, :band]).all(axis=1).any():
+                    continue
+                if probability_jaccard(set_of(i), set_of(j)) >= similarity - 1e-12:
+                    root[max(a, b)] = min(a, b)
                     yield min(node, held[j][0]), max(node, held[j][0])
 
-    return dealt.mapInArrow(lambda b: kernels.row_batches(rows(b), schema), "u binary, v binary")
+    return dealt.mapInArrow(lambda b: kernels.row_batches(rows(b), _LINKS), "u binary, v binary")
 
 
 def node_classes(documents: DataFrame, similarity: float = SIMILARITY) -> tuple[DataFrame, DataFrame]:
@@ -193,18 +214,20 @@ def node_classes(documents: DataFrame, similarity: float = SIMILARITY) -> tuple[
     signs = scratch.table(signed(documents), "signed")
     one = lambda c: F.first(c).alias(c)
     nodes = scratch.table(signs.filter("node is not null").groupBy("node").agg(one("doc_id"), one("th"), one("signature")), "nodes")
-    buckets = scratch.table(_banded(nodes).groupBy("bucket").agg(F.count("*").alias("n"), F.min("node").alias("first")).filter("n > 1"), "buckets")
+    buckets = scratch.table(_banded(nodes).groupBy("band", "bucket").agg(F.count("*").alias("n"), F.min("node").alias("first")).filter("n > 1"), "buckets")
     keys = F.broadcast(buckets) if buckets.count() <= BROADCAST_ROWS else buckets
-    members = scratch.table(_banded(nodes).join(keys, "bucket"), "members")
-    links = scratch.table(_verify(members.filter("node <> first").select(F.col("first").alias("u"), F.col("node").alias("v")), documents, nodes, similarity), "links")
+    members = scratch.table(_banded(nodes).join(keys, ["band", "bucket"]), "members")
+    pairs = scratch.table(members.filter("node <> first").select(F.col("first").alias("u"), F.col("node").alias("v")).distinct(), "pairs")
+    # What is grouped is every node that shares a bucket, so the texts fetched for the stars serve the blocks too.
+    texts = scratch.table(_texts(members.select("node"), documents, nodes), "texts")
+    links = scratch.table(_verify(pairs, texts, similarity), "links")
     roots = scratch.table(components.components(links), "roots")
-    named = scratch.table(members.join(roots, "node", "left").select("bucket", "n", "node", F.coalesce("root", "node").alias("class")), "named")
-    open_ = named.groupBy("bucket").agg(F.min("class").alias("a"), F.max("class").alias("b"), F.max("n").alias("n")).filter("a <> b").select("bucket", F.ceil(F.col("n") / BLOCK).alias("blocks"))
-    left = named.drop("n").join(scratch.table(open_, "open"), "bucket").join(nodes.select("node", "signature"), "node")
-    more = scratch.table(_block_pairs(left, similarity).distinct(), "more")
+    named = scratch.table(members.join(roots, "node", "left").select("band", "bucket", "n", "node", F.coalesce("root", "node").alias("class")), "named")
+    open_ = named.groupBy("band", "bucket").agg(F.min("class").alias("a"), F.max("class").alias("b"), F.max("n").alias("n")).filter("a <> b").select("band", "bucket", F.ceil(F.col("n") / BLOCK).alias("blocks"))
+    left = named.drop("n").join(scratch.table(open_, "open"), ["band", "bucket"]).join(nodes.select("node", "signature"), "node").join(texts, "node")
+    more = scratch.table(_block_links(left, similarity).distinct(), "more")
     if more.limit(1).count():
-        links = links.unionByName(scratch.table(_verify(more, documents, nodes, similarity), "links"))
-        roots = scratch.table(components.components(links), "roots")
+        roots = scratch.table(components.components(links.unionByName(more)), "roots")
     return signs, roots
 
 
