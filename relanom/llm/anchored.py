@@ -172,7 +172,7 @@ def keyed(documents: DataFrame) -> DataFrame:
     return documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("th", F.xxhash64("text"))
 
 
-def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: int = 256, limit: int = 1 << 20) -> DataFrame:
+def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: int = 128, limit: int = 1 << 20) -> DataFrame:
     """(doc_id, th, spans): half-open ranges of window numbers that also start anywhere else in the corpus."""
     docs = keyed(documents)
     counts = docs.select("text").mapInArrow(_count_anchors(windowing), "anchor long, n long")
@@ -195,7 +195,10 @@ def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: i
     light = bodies.filter("not heavy").repartition("anchor").sortWithinPartitions("anchor", "segment")
     marks = light.mapInArrow(_index_groups(index, limit), "segment binary, a int, b int")
     if any_heavy:
-        windows = scratch.table(bodies.filter("heavy").select("segment", "windows", "body").mapInArrow(_window_digests(windowing), "segment binary, a int, window binary").distinct(), "windows")
+        # Heavy anchors are dealt by segment, evenly, before their windows are listed.
+        tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        heavy_bodies = bodies.filter("heavy").select("segment", "windows", "body").repartition(tasks, "segment")
+        windows = scratch.table(heavy_bodies.mapInArrow(_window_digests(windowing), "segment binary, a int, window binary").distinct(), "windows")
         often = scratch.table(windows.groupBy("window").count().filter("count > 1").select("window"), "often")
         marks = marks.unionByName(windows.join(often, "window", "left_semi").select("segment", "a", (F.col("a") + 1).alias("b")))
     whole = distinct.filter("n > 1").select("segment", F.lit(0).alias("a"), F.col("windows").alias("b"))

@@ -79,12 +79,12 @@ def windowing(length: int, gram: int = GRAM) -> anchored.Windowing:
     return anchored.Windowing(prepare=_pack, cut=cut, pieces=pieces, slices=lambda body, windows: _windows(body, windows, length))
 
 
-def repeated_word_windows(documents: DataFrame, length: int = 35, heavy: int = 16384) -> DataFrame:
+def repeated_word_windows(documents: DataFrame, length: int = 35, heavy: int = 128) -> DataFrame:
     """(doc_id, th, spans) of the starts of windows of ``length`` words that occur again."""
     return anchored.repeated_windows(documents, windowing(length), sort_and_count(length), heavy)
 
 
-def remove_repeats(documents: DataFrame, length: int = 35, heavy: int = 16384, text: bool = False) -> DataFrame:
+def remove_repeats(documents: DataFrame, length: int = 35, heavy: int = 128, text: bool = False) -> DataFrame:
     """Per document what is left without repeated windows: doc_id, n_words, n_removed, kept_sha256 (and ``kept``)."""
     fields = [("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept_sha256", pa.string())] + [("kept", pa.binary())] * text
 

@@ -154,12 +154,12 @@ def windowing(length: int, gram: int = GRAM) -> anchored.Windowing:
     )
 
 
-def repeated_bytes(documents: DataFrame, length: int = 400, heavy: int = 256) -> DataFrame:
+def repeated_bytes(documents: DataFrame, length: int = 400, heavy: int = 128) -> DataFrame:
     """(doc_id, th, spans) of the starts of ``length``-byte strings that occur again."""
     return anchored.repeated_windows(documents, windowing(length), index_segments(length), heavy)
 
 
-def remove_repeats(documents: DataFrame, length: int = 400, heavy: int = 256, text: bool = False) -> DataFrame:
+def remove_repeats(documents: DataFrame, length: int = 400, heavy: int = 128, text: bool = False) -> DataFrame:
     """Per document what is left once every byte of a repeated string is removed.
 
     doc_id, n_bytes, n_removed, n_spans, kept_sha256, and with ``text`` the remaining bytes as ``kept``.
