@@ -28,7 +28,7 @@ from relanom.llm import kernels, scratch
 
 KEYS = "doc_id long, th long"
 SEGMENTS = f"{KEYS}, start int, windows int, anchor long, segment binary"
-BODIES = "anchor long, segment binary, windows int, heavy boolean, body binary"
+BODIES = "anchor long, segment binary, windows int, heavy boolean, whole boolean, body binary"
 #: Rows up to which a list of anchors is broadcast (8 bytes each); beyond, it is joined by a shuffle.
 BROADCAST_ROWS = 1 << 20
 
@@ -116,7 +116,7 @@ def _cut_segments(windowing: Windowing):
 
 
 def _extract(windowing: Windowing):
-    schema = pa.schema([("anchor", pa.int64()), ("segment", pa.binary()), ("windows", pa.int32()), ("heavy", pa.bool_()), ("body", pa.binary())])
+    schema = pa.schema([("anchor", pa.int64()), ("segment", pa.binary()), ("windows", pa.int32()), ("heavy", pa.bool_()), ("whole", pa.bool_()), ("body", pa.binary())])
 
     def rows(batches):
         for batch in batches:
@@ -124,7 +124,7 @@ def _extract(windowing: Windowing):
                 todo = wanted.as_py()
                 bodies = windowing.pieces(windowing.prepare(text.as_py()), [(x["start"], x["windows"]) for x in todo])
                 for x, body in zip(todo, bodies):
-                    yield x["anchor"], x["segment"], x["windows"], x["heavy"], body
+                    yield x["anchor"], x["segment"], x["windows"], x["heavy"], x["whole"], body
 
     return lambda batches: kernels.row_batches(rows(batches), schema, 4000)
 
@@ -136,33 +136,33 @@ def _index_groups(index: Callable[[list[tuple[bytes, int]]], list[list[tuple[int
     def rows(batches):
         held, size, last = [], 0, None
         for batch in batches:
-            for anchor, segment, windows, body in zip(*(batch.column(c).to_pylist() for c in ("anchor", "segment", "windows", "body"))):
+            for anchor, segment, windows, whole, body in zip(*(batch.column(c).to_pylist() for c in ("anchor", "segment", "windows", "whole", "body"))):
                 if size >= limit and anchor != last:
                     yield from found(held)
                     held, size = [], 0
                 last = anchor
                 if held and held[-1][0] == segment:
                     continue
-                held.append((segment, body, windows))
+                held.append((segment, whole, body, windows))
                 size += len(body)
         yield from found(held)
 
     def found(held):
-        for (segment, _, _), spans in zip(held, index([x[1:] for x in held]) if held else []):
-            for a, b in spans:
+        for (segment, whole, _, _), spans in zip(held, index([x[2:] for x in held]) if held else []):
+            for a, b in () if whole else spans:
                 yield segment, a, b
 
     return lambda batches: kernels.row_batches(rows(batches), schema)
 
 
 def _window_digests(windowing: Windowing):
-    schema = pa.schema([("segment", pa.binary()), ("a", pa.int32()), ("window", pa.binary())])
+    schema = pa.schema([("segment", pa.binary()), ("whole", pa.bool_()), ("a", pa.int32()), ("window", pa.binary())])
 
     def rows(batches):
         for batch in batches:
-            for segment, windows, body in zip(*(batch.column(c).to_pylist() for c in ("segment", "windows", "body"))):
+            for segment, windows, whole, body in zip(*(batch.column(c).to_pylist() for c in ("segment", "windows", "whole", "body"))):
                 for a, window in enumerate(windowing.slices(body, windows)):
-                    yield segment, a, digest(window)
+                    yield segment, whole, a, digest(window)
 
     return lambda batches: kernels.row_batches(rows(batches), schema)
 
@@ -184,8 +184,8 @@ def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: i
     one = lambda c: F.first(c).alias(c)  # noqa: E731  any occurrence will do: the digest fixes what it holds
     distinct = scratch.table(segments.groupBy("segment").agg(F.count("*").alias("n"), *map(one, ("doc_id", "th", "start", "windows", "anchor"))), "distinct")
     shared = scratch.table(distinct.groupBy("anchor").agg(F.count("*").alias("texts")).filter("texts > 1"), "shared")
-    wanted = distinct.join(shared, "anchor").withColumn("heavy", F.col("texts") > heavy)
-    per_doc = wanted.groupBy("doc_id", "th").agg(F.collect_list(F.struct("anchor", "segment", "start", "windows", "heavy")).alias("wanted"))
+    wanted = distinct.join(shared, "anchor").withColumn("heavy", F.col("texts") > heavy).withColumn("whole", F.col("n") > 1)
+    per_doc = wanted.groupBy("doc_id", "th").agg(F.collect_list(F.struct("anchor", "segment", "start", "windows", "heavy", "whole")).alias("wanted"))
     same = lambda x, y: x["doc_id"].eqNullSafe(y["doc_id"]) & (x["th"] == y["th"])
     # A text that several rows repeat under one id is taken once per row; equal bodies are dropped again by digest.
     bodies = docs.join(per_doc, same(docs, per_doc)).select("text", "wanted").mapInArrow(_extract(windowing), BODIES)
@@ -197,10 +197,11 @@ def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: i
     if any_heavy:
         # Heavy anchors are dealt by segment, evenly, before their windows are listed.
         tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        heavy_bodies = bodies.filter("heavy").select("segment", "windows", "body").repartition(tasks, "segment")
-        windows = scratch.table(heavy_bodies.mapInArrow(_window_digests(windowing), "segment binary, a int, window binary").distinct(), "windows")
+        heavy_bodies = bodies.filter("heavy").select("segment", "windows", "whole", "body").repartition(tasks, "segment")
+        windows = scratch.table(heavy_bodies.mapInArrow(_window_digests(windowing), "segment binary, whole boolean, a int, window binary").distinct(), "windows")
         often = scratch.table(windows.groupBy("window").count().filter("count > 1").select("window"), "often")
-        marks = marks.unionByName(windows.join(often, "window", "left_semi").select("segment", "a", (F.col("a") + 1).alias("b")))
+        # Segments that occur twice are marked whole; their windows only count for the others.
+        marks = marks.unionByName(windows.filter("not whole").join(often, "window", "left_semi").select("segment", "a", (F.col("a") + 1).alias("b")))
     whole = distinct.filter("n > 1").select("segment", F.lit(0).alias("a"), F.col("windows").alias("b"))
     marks = scratch.table(marks.unionByName(whole), "marks")
     spans = segments.join(marks, "segment").select("doc_id", "th", (F.col("start") + F.col("a")).alias("a"), (F.col("start") + F.col("b")).alias("b"))
