@@ -1 +1,2 @@
 """One module per section of the inventory; importing this package registers them all."""
+from relanom.queries import labels_metrics  # noqa: F401
