@@ -71,7 +71,8 @@ def assembled(task: Task, rule_set: rules.RuleSet | None = None, flat: bool = Fa
     train = task.rows.filter("split = 'train'")
     rows = encode.impute(task.rows, encode.imputer(train, task.features, "mean"))
     scale = encode.scaler(rows.filter("split = 'train'"), task.features)
-    x = F.array(*[(F.col(f) - m) / s for f, (m, s) in scale.items()])
+    # Five deviations are far enough: beyond, one heavy-tailed feature would outweigh all others in the squared error.
+    x = F.array(*[F.greatest(F.lit(-5.0), F.least(F.lit(5.0), (F.col(f) - m) / s)) for f, (m, s) in scale.items()])
     bits = len(rule_set.texts) if rule_set else 0
     if bits:
         x = F.concat(x, rule_set.vector())

@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
 from relanom.draws import u
 
@@ -80,4 +81,4 @@ def score(rows: DataFrame, forest: DataFrame, sample: int = 256) -> DataFrame:
                 total += depth + np.array([c(s) for s in size])[at]
             yield pdf.assign(score=2.0 ** (-total / max(1, len(trees)) / c(sample)))
 
-    return rows.mapInPandas(run, own.add("score", "double"))
+    return rows.mapInPandas(run, StructType([*own.fields, StructField("score", DoubleType())]))

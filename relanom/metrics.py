@@ -30,11 +30,11 @@ def ranking(scores: DataFrame, by: list[str] | None = None) -> DataFrame:
     """auroc, auprc and precision at k = P (expected over ties at the cut) per group of (score, y)."""
     by, c = by or [], cumulative(scores, by)
     better = F.col("N") - F.col("fp")  # negatives strictly below
-    auroc = F.sum(F.col("pos") * (better + F.col("neg") / 2)) / F.first(F.col("P") * F.col("N"))
-    auprc = F.sum(F.col("pos") / F.col("P") * F.try_divide(F.col("tp"), F.col("tp") + F.col("fp")))
+    auroc = F.try_divide(F.sum(F.col("pos") * (better + F.col("neg") / 2)), F.first(F.col("P") * F.col("N")))
+    auprc = F.sum(F.try_divide(F.col("pos"), F.col("P")) * F.try_divide(F.col("tp"), F.col("tp") + F.col("fp")))
     size, start = F.col("pos") + F.col("neg"), F.col("tp") + F.col("fp") - F.col("pos") - F.col("neg")
     share = F.greatest(F.lit(0), F.least(size, F.col("P") - start)) / size
-    at_k = F.sum(F.col("pos") * share) / F.first("P")
+    at_k = F.try_divide(F.sum(F.col("pos") * share), F.first("P"))
     # Without positives or negatives no measure is defined.
     return c.groupBy(*by).agg(F.when((F.first("P") > 0) & (F.first("N") > 0), auroc).alias("auroc"), F.when(F.first("P") > 0, auprc).alias("auprc"), F.when(F.first("P") > 0, at_k).alias("p_at_k"))
 

@@ -2,3 +2,5 @@
 from relanom.queries import labels_metrics  # noqa: F401
 from relanom.queries import graph_views  # noqa: F401
 from relanom.queries import rule_queries  # noqa: F401
+from relanom.queries import experiment_queries  # noqa: F401
+from relanom.queries import operators, stream_queries  # noqa: F401

@@ -41,13 +41,13 @@ def canonical(conditions: Iterable[tuple[str, str, float]]) -> list[tuple[str, s
 
 # ---- forest
 def fit_forest(view: DataFrame, features: list[str], preset: Preset, seed: int = 0):
-    """Random forest with balanced class weights over numeric features; (model, features)."""
+    """Random forest with balanced class weights over numeric features; nulls are -1, and rules are measured anew on the nulls themselves."""
     from pyspark.ml.classification import RandomForestClassifier
     from pyspark.ml.functions import array_to_vector
 
     from relanom.splits import class_weights
 
-    rows = view.join(F.broadcast(class_weights(view)), "y").select(array_to_vector(F.array(*[F.col(f).cast("double") for f in features])).alias("features"), F.col("y").cast("double").alias("label"), "weight")
+    rows = view.join(F.broadcast(class_weights(view)), "y").select(array_to_vector(F.array(*[F.coalesce(F.col(f).cast("double"), F.lit(-1.0)) for f in features])).alias("features"), F.col("y").cast("double").alias("label"), "weight")
     forest = RandomForestClassifier(numTrees=preset.trees, maxDepth=preset.max_depth, minInstancesPerNode=preset.min_leaf, weightCol="weight", maxBins=64, seed=seed, featureSubsetStrategy="sqrt")
     return forest.fit(rows)
 

@@ -56,6 +56,17 @@ class Fitted:
         return rows.mapInPandas(run, "target long, y int, split string, score double")
 
 
+def _local(packed: bytes, steps: int, size: int, rate: float, seed: int):
+    """One shard's part of a round: its row count and parameters."""
+
+    def one(key, pdf):
+        model = pickle.loads(packed)
+        params = nn.local_steps(model, batch_of(pdf.sort_values("target"), model.spec), steps, size, rate, seed + int(key[0]))
+        return pd.DataFrame({"n": [len(pdf)], "params": [pickle.dumps(params)]})
+
+    return one
+
+
 def fit(rows: DataFrame, model: nn.Model, rounds: int = 4, steps: int = 30, size: int = 512, rate: float = 0.01, shards: int = 4, patience: int = 10, seed: int = 0) -> Fitted:
     """Train on split 'train', keep the parameters of the best validation AUPRC."""
     train, valid = rows.filter("split = 'train'"), rows.filter("split = 'valid'")
@@ -65,14 +76,7 @@ def fit(rows: DataFrame, model: nn.Model, rounds: int = 4, steps: int = 30, size
         model.prepare(batch_of(train.orderBy(u(F.col("target"), "centre")).limit(2000).toPandas(), model.spec))
     best, stale = Fitted(pickle.loads(pickle.dumps(model)), 0, -1.0), 0
     for r in range(1, rounds + 1):
-        packed = pickle.dumps(model)
-
-        def one(key, pdf, packed=packed, r=r):
-            local = pickle.loads(packed)
-            params = nn.local_steps(local, batch_of(pdf.sort_values("target"), local.spec), steps, size, rate, seed * 1000 + r * 37 + int(key[0]))
-            return pd.DataFrame({"n": [len(pdf)], "params": [pickle.dumps(params)]})
-
-        found = dealt.groupBy("shard").applyInPandas(one, "n long, params binary").collect()
+        found = dealt.groupBy("shard").applyInPandas(_local(pickle.dumps(model), steps, size, rate, seed * 1000 + r * 37), "n long, params binary").collect()
         total = sum(f["n"] for f in found)
         if not total:
             break

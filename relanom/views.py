@@ -27,10 +27,10 @@ def cyber(spark, sf_dir: str) -> DataFrame:
     back = lambda key, seconds=None: Window.partitionBy(key).orderBy("us").rangeBetween(-seconds * 1_000_000 if seconds else Window.unboundedPreceding, -1)
     pair = Window.partitionBy("user", "machine").orderBy("us").rangeBetween(Window.unboundedPreceding, -1)
     auth = F.col("log") == "auth"
-    out = logs.withColumns({"pair_before": F.coalesce(F.count_if(auth).over(pair), F.lit(0)), "pair_last": F.max(F.when(auth, F.col("us"))).over(pair)})
+    out = logs.withColumns({"pair_before": F.coalesce(F.count_if(auth).over(pair), F.lit(0)), "pair_last": F.max(F.when(auth, F.col("us"))).over(pair), "any_last": F.max("us").over(pair)})
     out = out.withColumns({f"user_{log}_{name}": F.count_if(F.col("log") == log).over(back("user", s)) for log in ("auth", "dns", "flow", "process") for name, s in WIDTHS.items()})
-    # A machine is new to the trailing day if the pair's last use is older: counting these counts distinct machines without a set.
-    fresh = auth & (F.col("pair_last").isNull() | (F.col("us") - F.col("pair_last") > 86_400_000_000))
+    # Uses of a machine that the user had not used for a day, in whatever log: counting them counts machines without a set.
+    fresh = F.col("any_last").isNull() | (F.col("us") - F.col("any_last") > 86_400_000_000)
     out = out.withColumn("fresh", fresh.cast("int")).withColumn("fanout_1d", F.coalesce(F.sum("fresh").over(back("user", 86400)), F.lit(0)))
     first = (auth & (F.col("pair_before") == 0)).cast("int")
     out = out.withColumn("first_pair", first)
