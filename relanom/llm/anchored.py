@@ -6,8 +6,11 @@ that travels as one string.  Only segments whose anchor occurs at least twice in
 corpus go on; equal segments are counted under a 128-bit digest before anything is
 grouped, and the distinct segments of an anchor meet in one task, where the caller's
 index compares their windows.  An anchor with more than ``heavy`` distinct segments
-is taken apart instead: each window's digest becomes a key of its own, so no group
-grows with the corpus.
+is taken apart instead, so no group grows with the corpus: its windows are dealt into
+blocks by their distance to the anchor, at which equal windows agree.  A block whose
+whole text occurs in two segments is marked at once; one whose core, the text all its
+windows share, occurs nowhere else holds no repeat; only what lies between is listed
+window by window, under a digest each.
 
 Documents are identified by ``doc_id`` and a hash of the text: repeated rows count as
 separate documents and get equal results; a null ``doc_id`` is a value like any other.
@@ -18,6 +21,7 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from hashlib import blake2b
+from math import isqrt
 
 import numpy as np
 import pyarrow as pa
@@ -35,12 +39,13 @@ BROADCAST_ROWS = 1 << 20
 
 @dataclass
 class Cut:
-    """Segments of a block of documents; arrays are parallel."""
+    """Segments of a block of documents; arrays are parallel, ``at`` is the anchor's distance from a segment's start."""
 
     doc: np.ndarray
     start: np.ndarray
     windows: np.ndarray
     anchor: np.ndarray
+    at: np.ndarray
     body: Callable[[int], bytes]
 
 
@@ -48,14 +53,20 @@ class Cut:
 class Windowing:
     """How one operator sees a text.
 
-    prepare: stored text to the bytes that windows are taken from; cut: prepared texts to segments; pieces: a
-    prepared text and (start, windows) pairs to the segments' bytes; slices: a segment's bytes to its windows.
+    length, gram: units (bytes or words) of a window and of an anchor; prepare: stored text to the bytes that windows
+    are taken from; cut: prepared texts to segments; between: a prepared text and (first, end) units to the bytes there.
     """
 
+    length: int
+    gram: int
     prepare: Callable[[bytes], bytes]
     cut: Callable[[list[bytes]], Cut]
-    pieces: Callable[[bytes, list[tuple[int, int]]], list[bytes]]
-    slices: Callable[[bytes, int], Iterator[bytes]]
+    between: Callable[[bytes, list[tuple[int, int]]], list[bytes]]
+
+    @property
+    def block(self) -> int:
+        """Windows of a block: as many as a segment has blocks."""
+        return max(1, isqrt(self.length - self.gram + 1))
 
 
 def digest(data: bytes) -> bytes:
@@ -122,7 +133,7 @@ def _extract(windowing: Windowing):
         for batch in batches:
             for text, wanted in zip(batch.column("text").cast(pa.binary()), batch.column("wanted")):
                 todo = wanted.as_py()
-                bodies = windowing.pieces(windowing.prepare(text.as_py()), [(x["start"], x["windows"]) for x in todo])
+                bodies = windowing.between(windowing.prepare(text.as_py()), [(x["start"], x["start"] + x["windows"] + windowing.length - 1) for x in todo])
                 for x, body in zip(todo, bodies):
                     yield x["anchor"], x["segment"], x["windows"], x["heavy"], x["whole"], body
 
@@ -155,18 +166,60 @@ def _index_groups(index: Callable[[list[tuple[bytes, int]]], list[list[tuple[int
     return lambda batches: kernels.row_batches(rows(batches), schema)
 
 
-def _window_digests(windowing: Windowing):
-    schema = pa.schema([("segment", pa.binary()), ("whole", pa.bool_()), ("a", pa.int32()), ("window", pa.binary())])
+def _blocks(windowing: Windowing):
+    """Blocks of windows [a, b) with digests of their whole text and of their core."""
+    schema = pa.schema([("segment", pa.binary()), ("whole", pa.bool_()), ("a", pa.int32()), ("b", pa.int32()), ("text", pa.binary()), ("core", pa.binary())])
+    size, length = windowing.block, windowing.length
+
+    def rows(batches):
+        for batch in batches:
+            segments, windows, whole, bodies = (batch.column(c).to_pylist() for c in ("segment", "windows", "whole", "body"))
+            # A segment's bytes hold its windows and nothing else: cut again, they are one run with the same anchor.
+            for segment, n, flag, body, at in zip(segments, windows, whole, bodies, windowing.cut(bodies).at.tolist()):
+                spans, numbers, cores, a = [], [], [], 0
+                while a < n:
+                    number = (at - a) // size
+                    last = at - number * size
+                    spans.append((a, min(n, last + 1)))
+                    numbers.append(number)
+                    cores.append((last, last - size + 1 + length))
+                    a = last + 1
+                texts = windowing.between(body, [(a, b + length - 1) for a, b in spans] + cores)
+                for (a, b), number, text, core in zip(spans, numbers, texts, texts[len(spans) :]):
+                    yield segment, flag, a, b, digest(text), digest(b"%d " % number + core)
+
+    return lambda batches: kernels.row_batches(rows(batches), schema)
+
+
+def _listed(windowing: Windowing):
+    """Digests of the windows of some blocks of each segment."""
+    schema = pa.schema([("segment", pa.binary()), ("mark", pa.bool_()), ("a", pa.int32()), ("window", pa.binary())])
 
     def rows(batches):
         for batch in batches:
-            for segment, windows, whole, body in zip(*(batch.column(c).to_pylist() for c in ("segment", "windows", "whole", "body"))):
-                for a, window in enumerate(windowing.slices(body, windows)):
-                    yield segment, whole, a, digest(window)
+            for segment, body, blocks in zip(*(batch.column(c).to_pylist() for c in ("segment", "body", "blocks"))):
+                starts = [(x["mark"], a) for x in blocks for a in range(x["a"], x["b"])]
+                for (mark, a), window in zip(starts, windowing.between(body, [(a, a + windowing.length) for _, a in starts])):
+                    yield segment, mark, a, digest(window)
 
     return lambda batches: kernels.row_batches(rows(batches), schema)
 
 
+def _heavy_marks(bodies: DataFrame, windowing: Windowing) -> DataFrame:
+    """(segment, a, b): repeated windows of the segments of heavy anchors; segments that occur twice are marked elsewhere."""
+    blocks = bodies.mapInArrow(_blocks(windowing), "segment binary, whole boolean, a int, b int, text binary, core binary").distinct()
+    blocks = scratch.table(blocks, "blocks")
+    texts = scratch.table(blocks.groupBy("text", "core").agg(F.count("*").alias("n"), F.min(F.struct("segment", "a", "b", "whole")).alias("one")), "texts")
+    settled = blocks.filter("not whole").join(texts.filter("n > 1").select("text"), "text", "left_semi").select("segment", "a", "b")
+    near = texts.groupBy("core").count().filter("count > 1").select("core")
+    open_ = texts.join(near, "core", "left_semi").select("one.segment", F.struct("one.a", "one.b", (~F.col("one.whole") & (F.col("n") == 1)).alias("mark")).alias("block"))
+    per_segment = open_.groupBy("segment").agg(F.collect_list("block").alias("blocks"))
+    listed = bodies.select("segment", "body").join(per_segment, "segment").mapInArrow(_listed(windowing), "segment binary, mark boolean, a int, window binary")
+    listed = scratch.table(listed.distinct(), "listed")
+    often = listed.groupBy("window").count().filter("count > 1").select("window")
+    return settled.unionByName(listed.filter("mark").join(often, "window", "left_semi").select("segment", "a", (F.col("a") + 1).alias("b")))
+
+
 def keyed(documents: DataFrame) -> DataFrame:
     """doc_id, text and the text's hash; other columns, whatever their names, are left behind."""
     return documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("th", F.xxhash64("text"))
@@ -195,13 +248,9 @@ def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: i
     light = bodies.filter("not heavy").repartition("anchor").sortWithinPartitions("anchor", "segment")
     marks = light.mapInArrow(_index_groups(index, limit), "segment binary, a int, b int")
     if any_heavy:
-        # Heavy anchors are dealt by segment, evenly, before their windows are listed.
+        # Heavy anchors are dealt by segment, evenly, before their windows are looked at.
         tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        heavy_bodies = bodies.filter("heavy").select("segment", "windows", "whole", "body").repartition(tasks, "segment")
-        windows = scratch.table(heavy_bodies.mapInArrow(_window_digests(windowing), "segment binary, whole boolean, a int, window binary").distinct(), "windows")
-        often = scratch.table(windows.groupBy("window").count().filter("count > 1").select("window"), "often")
-        # Segments that occur twice are marked whole; their windows only count for the others.
-        marks = marks.unionByName(windows.filter("not whole").join(often, "window", "left_semi").select("segment", "a", (F.col("a") + 1).alias("b")))
+        marks = marks.unionByName(_heavy_marks(bodies.filter("heavy").select("segment", "windows", "whole", "body").repartition(tasks, "segment"), windowing))
     whole = distinct.filter("n > 1").select("segment", F.lit(0).alias("a"), F.col("windows").alias("b"))
     marks = scratch.table(marks.unionByName(whole), "marks")
     spans = segments.join(marks, "segment").select("doc_id", "th", (F.col("start") + F.col("a")).alias("a"), (F.col("start") + F.col("b")).alias("b"))

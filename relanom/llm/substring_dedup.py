@@ -70,13 +70,13 @@ def windowing(length: int, gram: int = GRAM) -> anchored.Windowing:
         minima = kernels.window_minima(grams, length - gram + 1)
         doc, rel, windows, at = anchored.cut_runs(minima, first, np.maximum(words - length + 1, 0))
         begin, stop = start[first[doc] + rel].tolist(), end[first[doc] + rel + windows + length - 2].tolist()
-        return anchored.Cut(doc, rel, windows, grams[at].view(np.int64), lambda i: data[begin[i] : stop[i]])
+        return anchored.Cut(doc, rel, windows, grams[at].view(np.int64), at - first[doc] - rel, lambda i: data[begin[i] : stop[i]])
 
-    def pieces(text: bytes, wanted: list[tuple[int, int]]) -> list[bytes]:
+    def between(text: bytes, wanted: list[tuple[int, int]]) -> list[bytes]:
         at = _word_starts(text)
-        return [text[at[s] : at[s + w + length - 1] - 1] for s, w in wanted]
+        return [text[at[a] : at[b] - 1] for a, b in wanted]
 
-    return anchored.Windowing(prepare=_pack, cut=cut, pieces=pieces, slices=lambda body, windows: _windows(body, windows, length))
+    return anchored.Windowing(length, gram, prepare=_pack, cut=cut, between=between)
 
 
 def repeated_word_windows(documents: DataFrame, length: int = 35, heavy: int = 128) -> DataFrame:

@@ -144,14 +144,9 @@ def windowing(length: int, gram: int = GRAM) -> anchored.Windowing:
         minima = kernels.window_minima(hashes, length - gram + 1)
         doc, start, windows, at = anchored.cut_runs(minima, first, np.maximum(sizes - length + 1, 0))
         begin, end = (first[doc] + start).tolist(), (first[doc] + start + windows + length - 1).tolist()
-        return anchored.Cut(doc, start, windows, hashes[at].view(np.int64), lambda i: data[begin[i] : end[i]])
-
-    return anchored.Windowing(
-        prepare=bytes,
-        cut=cut,
-        pieces=lambda text, wanted: [text[s : s + w + length - 1] for s, w in wanted],
-        slices=lambda body, windows: (body[i : i + length] for i in range(windows)),
-    )
+        return anchored.Cut(doc, start, windows, hashes[at].view(np.int64), at - first[doc] - start, lambda i: data[begin[i] : end[i]])
+
+    return anchored.Windowing(length, gram, prepare=bytes, cut=cut, between=lambda text, wanted: [text[a:b] for a, b in wanted])
 
 
 def repeated_bytes(documents: DataFrame, length: int = 400, heavy: int = 128) -> DataFrame:
