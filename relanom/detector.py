@@ -64,6 +64,20 @@ def cyber_task(spark, sf_dir: str, labels: DataFrame | None = None) -> Task:
     return Task("cyber", rows, features, ((2, 4), (1, 3)))
 
 
+def document_task(spark, sf_dir: str) -> Task:
+    """Documents with their source and language; labels cover some, the others have y null and still shape their source's state."""
+    view = views.documents(spark, sf_dir)
+    features = ["chars", "spaces", "digit_share", "upper_share", "mark_share"]
+    known = load(spark, sf_dir, "labels", ["doc_id", "toxic"]).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("y"))
+    rows = view.join(known, F.col("entity") == F.col("doc_id"), "left")
+    for k, parent in enumerate(("source", "lang")):
+        state = view.groupBy(parent).agg(F.log1p(F.count("*")).alias("n"), *(F.avg(c).alias(f"m_{c}") for c in features))
+        near = _neighbours([F.col("n")], [F.log1p("m_chars"), *(F.col(f"m_{c}") for c in features[2:])])
+        rows = rows.join(state.select(F.col(parent).alias("parent"), F.array(near).alias(f"nb{k}")), F.col(parent) == F.col("parent"), "left").drop("parent")
+    rows = rows.withColumn("split", splits.by_hash(F.col("entity"))).withColumn("target", F.col("entity"))
+    return Task("documents", rows.drop("doc_id", "entity", "source", "lang"), features, ((1, 4), (1, 4)))
+
+
 def assembled(task: Task, rule_set: rules.RuleSet | None = None, flat: bool = False) -> tuple[DataFrame, nn.Spec]:
     """Standardised features, rule bits behind them, neighbours: what a model trains on. Statistics come from train rows."""
     from relanom import encode

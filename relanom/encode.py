@@ -50,3 +50,8 @@ def profile(df: DataFrame, columns: list[str]) -> DataFrame:
     """One row per feature: min, max, mean, distinct values, share of nulls; one pass over the data."""
     parts = [F.struct(F.lit(c).alias("feature"), F.min(F.col(c).cast("double")).alias("low"), F.max(F.col(c).cast("double")).alias("high"), F.avg(F.col(c).cast("double")).alias("mean"), F.count_distinct(c).alias("distinct_values"), F.avg(F.col(c).isNull().cast("int")).alias("null_share")).alias(f"p{i}") for i, c in enumerate(columns)]
     return df.agg(*parts).select(F.explode(F.array(*[f"p{i}" for i in range(len(columns))])).alias("p")).select("p.*")
+
+
+def assemble(df: DataFrame, columns: list[str], name: str = "x") -> DataFrame:
+    """The columns as one array of doubles."""
+    return df.withColumn(name, F.array(*(F.col(c).cast("double") for c in columns)))

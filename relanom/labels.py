@@ -53,3 +53,48 @@ def to_prevalence(rows: DataFrame, prevalence: float, key: str = "entity", salt:
     ranked = rows.filter("y = 1").withColumn("rank", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(draw, key)))
     positives = ranked.join(F.broadcast(kept), F.col("rank") <= F.col("k")).drop("rank", "k")
     return rows.filter("y = 0").unionByName(positives)
+
+
+def match_prevalence(valid: DataFrame, train: DataFrame, key: str = "entity", salt: str = "prev") -> DataFrame:
+    """Validation rows with so many positives, first by draw, that their share equals that of ``train`` as it is now."""
+    counts = lambda rows, p, n: rows.agg(F.count_if(F.col("y") == 1).alias(p), F.count_if(F.col("y") == 0).alias(n))
+    kept = counts(train, "tp", "tn").join(counts(valid, "vp", "vn")).select(F.expr("coalesce(try_divide(vn * tp, tn), 0)").alias("k"))
+    ranked = valid.filter("y = 1").withColumn("rank", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(u(F.col(key), salt), key)))
+    return valid.filter("y = 0").unionByName(ranked.join(F.broadcast(kept), F.col("rank") <= F.col("k")).drop("rank", "k"))
+
+
+def threshold_for(active: DataFrame, levels: list[float], root: float = LAMBDA[1], growth: float = LAMBDA[2]) -> DataFrame:
+    """(prevalence, base, positives): the greatest base of the threshold that labels at most the wanted share of all entities.
+
+    A churned entity is positive while the base exceeds what its decline leaves over, so the base is an
+    order statistic of that rest; it is looked up among its distinct values, which are few.
+    """
+    rest = F.round(-F.col("g") - F.ln(F.col("mu") + 1) / F.ln(F.lit(root)) * (1 + growth * F.col("mu")), 9)
+    counts = active.withColumn("q", rest).filter("churn = 1").groupBy("q").agg(F.count("*").alias("n"))
+    upto = counts.withColumn("upto", F.sum("n").over(Window.partitionBy(F.lit(0)).orderBy("q")))
+    total = active.agg(F.count("*").alias("total"))
+    wanted = total.select(F.explode(F.array(*map(F.lit, levels))).alias("prevalence"), "total")
+    wanted = wanted.select("prevalence", F.floor(F.col("prevalence") * F.col("total")).alias("k"))
+    found = upto.join(F.broadcast(wanted), F.col("upto") > F.col("k"))
+    return found.groupBy("prevalence").agg(F.min("q").alias("base"), F.min(F.col("upto") - F.col("n")).cast("long").alias("positives"))
+
+
+def planted_campaigns(log: DataFrame, start: str = "2024-01-01", days: int = 29) -> DataFrame:
+    """Authentication rows with y, and bursts of four to six rows on distinct machines within ten minutes.
+
+    A fifth of the users get a burst, a fifth of those a harmless one; single rows are incidents
+    without a burst, so no one feature decides.
+    """
+    real = log.filter("log = 'auth'").select("event", "user", "machine", "t", (u(F.col("event"), "lone") < 0.005).cast("int").alias("y"))
+    user = F.col("user")
+    burst = log.select("user").distinct().filter(u(user, "camp") < 0.2)
+    burst = burst.withColumn("i", F.explode(F.sequence(F.lit(0).cast("long"), 3 + F.floor(u(user, "size") * 3))))
+    at = F.floor(u(user, "when") * days * 86400) + 100 * F.col("i")
+    made = burst.select(
+        (10**9 + user * 10 + F.col("i")).alias("event"),
+        "user",
+        ((F.floor(u(user, "first") * 100) + 17 * F.col("i")) % 100).cast("int").alias("machine"),
+        (F.lit(start).cast("timestamp_ntz") + F.make_dt_interval(secs=at.cast("decimal(18,6)"))).alias("t"),
+        (u(user, "benign") >= 0.2).cast("int").alias("y"),
+    )
+    return real.unionByName(made)

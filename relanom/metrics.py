@@ -67,3 +67,11 @@ def average_rank(results: DataFrame) -> DataFrame:
 
 def over_seeds(results: DataFrame) -> DataFrame:
     return results.groupBy("method", "task", "metric").agg(F.avg("value").alias("mean"), F.stddev_samp("value").alias("std"), F.count("*").alias("seeds"))
+
+
+def paired(results: DataFrame, a: str, b: str) -> DataFrame:
+    """Per task and metric the difference of two methods over the seeds both ran: mean, std, seeds and wins of ``a``."""
+    value = lambda m: F.max(F.when(F.col("method") == m, F.col("value")))  # noqa: E731  one row per method and seed
+    both = results.filter(F.col("method").isin(a, b)).groupBy("task", "metric", "seed").agg(value(a).alias("a"), value(b).alias("b")).filter("a is not null and b is not null")
+    d = F.col("a") - F.col("b")
+    return both.groupBy("task", "metric").agg(F.avg(d).alias("mean"), F.stddev_samp(d).alias("std"), F.count("*").alias("seeds"), F.count_if(d > 0).alias("wins"))

@@ -75,3 +75,8 @@ def documents(spark, sf_dir: str) -> DataFrame:
     size = F.greatest(F.length("text"), F.lit(1))
     share = lambda pattern: F.coalesce(F.length(F.regexp_replace("text", pattern, "")) / size, F.lit(0.0))
     return docs.select(F.col("doc_id").alias("entity"), F.length("text").alias("chars"), (F.length("text") - F.length(F.replace("text", F.lit(" "), F.lit("")))).alias("spaces"), share("[^0-9]").alias("digit_share"), share("[^A-Z]").alias("upper_share"), share("[^!?.,;:]").alias("mark_share"), "lang", "source")
+
+
+def align(view: DataFrame, targets: DataFrame) -> DataFrame:
+    """Every target node once with its flat row, nulls where the view has none."""
+    return targets.join(view, F.col("nid") == F.col("entity"), "left")
