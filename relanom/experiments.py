@@ -82,8 +82,10 @@ class Arms:
 
     def _decisions(self) -> rules.RuleSet:
         """Single splits of the first trees as bits, instead of whole paths."""
-        found = rules.candidates(rules.paths(rules.node_table(self.task.rows.sparkSession, rules.fit_forest(self.task.rows.filter("split = 'train'"), self.task.features, tasks.small(tasks.PRESETS[self.preset])), f"{self.folder}/raw"), 12), self.task.features, tasks.small(tasks.PRESETS[self.preset]))
-        texts = list(dict.fromkeys(rules.text_of([c]) for r in found for c in r))[:64]
+        preset = tasks.small(tasks.PRESETS[self.preset])
+        forest = rules.fit_forest(self.task.rows.filter("split = 'train'"), self.task.features, preset, self.seed)
+        nodes = rules.node_table(self.task.rows.sparkSession, forest, f"{self.folder}/raw")
+        texts = rules.split_texts(nodes, self.task.features, preset.first_trees, preset.max_rules)
         return rules.RuleSet(tuple(texts), (1.0,) * len(texts))
 
     def _posthoc(self) -> DataFrame:

@@ -93,6 +93,21 @@ def sample_pairs(rows: DataFrame, per_positive: int, buckets: int = 256, hard: b
     return drawn.join(F.broadcast(lent), "bucket").select("positive", F.col("j").cast("long").alias("j"), "negative")
 
 
+def sampled_rank_loss(rows: DataFrame, per_positive: int, buckets: int = 256, hard: bool = False) -> DataFrame:
+    """(pairs, loss): mean softplus of negative minus positive score over the drawn pairs of (target, y, score)."""
+    score = lambda name: rows.select(F.col("target").alias(name), F.col("score").alias(f"{name}_score"))
+    drawn = sample_pairs(rows, per_positive, buckets, hard).join(score("positive"), "positive").join(score("negative"), "negative")
+    d = F.col("negative_score") - F.col("positive_score")
+    return drawn.agg(F.count("*").alias("pairs"), F.avg(F.greatest(d, F.lit(0.0)) + F.log1p(F.exp(-F.abs(d)))).alias("loss"))
+
+
+def combined_score(errors: DataFrame, incident: DataFrame, weight: float) -> DataFrame:
+    """Attribute error of (nid, error) plus ``weight`` times the mean cross-entropy of the node's edges (dst, prob); no edge adds nothing."""
+    edge = incident.groupBy("dst").agg(F.avg(-F.ln("prob")).alias("edge"))
+    joined = errors.join(edge, F.col("nid") == F.col("dst"), "left")
+    return joined.select("nid", (F.col("error") + weight * F.coalesce("edge", F.lit(0.0))).alias("score"))
+
+
 def field_sizes(near: DataFrame, fanout: int) -> DataFrame:
     """Per target the neighbours it has and the neighbours a receptive field of ``fanout`` keeps, per relation."""
     return near.groupBy("rel", "dst").agg(F.count("*").alias("degree")).withColumn("kept", F.least(F.col("degree"), F.lit(fanout)).cast("long"))

@@ -161,6 +161,11 @@ def _machine_users(spark, sf_dir):
     return views.cyber(spark, sf_dir).select("event", "machine_users")
 
 
+@query("flat_cyber_fanout", f"WITH {LOG}, v AS (SELECT event, log, count(DISTINCT machine) OVER (PARTITION BY \"user\" ORDER BY t {_frame('1 DAY')})::BIGINT AS fanout_1d FROM log) SELECT event, fanout_1d FROM v WHERE log = 'auth'")
+def _cyber_fanout(spark, sf_dir):
+    return views.cyber(spark, sf_dir).select("event", "fanout_1d")
+
+
 @query("flat_review", f"""WITH {TX} SELECT customer AS entity, {', '.join(f"count(*) FILTER (age < {d})::BIGINT AS reviews_{d}d" for d in (30, 90, 180))}, count(*)::BIGINT AS reviews,
   count(DISTINCT part)::BIGINT AS products, (max(age) - min(age))::BIGINT AS span, min(age)::BIGINT AS since_last FROM tx WHERE flag <> 'N' AND age >= 0 GROUP BY customer""")
 def _review(spark, sf_dir):

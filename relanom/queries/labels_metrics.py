@@ -109,6 +109,14 @@ def _split_hash(spark, sf_dir):
     return load(spark, sf_dir, "customer", ["c_custkey"]).select(F.col("c_custkey").alias("entity"), splits.by_hash(F.col("c_custkey")).alias("split"))
 
 
+@query("split_disjoint", f"WITH s AS (SELECT o_custkey AS entity, {SPLIT_SQL.replace('entity', 'o_custkey')} AS split FROM orders) SELECT count(*)::BIGINT AS entities, count(*) FILTER (n > 1)::BIGINT AS in_several FROM (SELECT entity, count(DISTINCT split) AS n FROM s GROUP BY entity)")
+def _split_disjoint(spark, sf_dir):
+    """Targets met through their child rows fall into one split each."""
+    o = load(spark, sf_dir, "orders", ["o_custkey"]).select(F.col("o_custkey").alias("entity"), splits.by_hash(F.col("o_custkey")).alias("split"))
+    seen = o.groupBy("entity").agg(F.min("split").alias("least"), F.max("split").alias("most"))
+    return seen.agg(F.count("*").alias("entities"), F.count_if(F.col("least") != F.col("most")).alias("in_several"))
+
+
 @query("split_time", "SELECT CASE WHEN ts < TIMESTAMP '2024-01-20' THEN 'train' WHEN ts < TIMESTAMP '2024-01-25' THEN 'valid' ELSE 'test' END AS split, count(*)::BIGINT AS n FROM events GROUP BY 1")
 def _split_time(spark, sf_dir):
     return load(spark, sf_dir, "events", ["ts"]).groupBy(splits.by_time(F.col("ts"), "2024-01-20", "2024-01-25").alias("split")).agg(F.count("*").alias("n"))

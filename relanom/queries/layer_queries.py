@@ -78,6 +78,24 @@ def _pairs(spark, sf_dir):
 _SP = lambda v: f"(greatest({v}, 0) + ln(1 + exp(-abs({v}))))"
 
 
+@query("rank_loss_sampled", f"""WITH p AS (SELECT c_custkey AS positive, c_acctbal / 10000 AS ps, unnest(range(1, 4)) AS j FROM customer WHERE c_nationkey = 3),
+n AS (SELECT c_acctbal / 10000 AS s, floor({u_sql('c_custkey', 'pair')} * 64) AS b, {u_sql('c_custkey', 'pair-in')} AS d FROM customer WHERE c_nationkey <> 3),
+l AS (SELECT b, arg_min(s, d) AS ns FROM n GROUP BY b)
+SELECT count(*)::BIGINT AS pairs, round(avg({_SP('(ns - ps)')}), 6) AS loss FROM p JOIN l ON floor({u_sql("(positive::VARCHAR || ':' || j::VARCHAR)", 'pair')} * 64) = b""")
+def _sampled_loss(spark, sf_dir):
+    rows = load(spark, sf_dir, "customer").select(F.col("c_custkey").alias("target"), (F.col("c_nationkey") == 3).cast("int").alias("y"), (F.col("c_acctbal") / 10000).alias("score"))
+    return layers.sampled_rank_loss(rows, 3, 64).select("pairs", F.round("loss", 6).alias("loss"))
+
+
+@query("score_combined", f"""WITH {_O}, {_C}, e AS (SELECT c.id, avg(-ln(1 / (1 + exp(-({_ROW(W_PLACED[0], 'o.x0', 'o.x1')} * c.x0 + {_ROW(W_PLACED[1], 'o.x0', 'o.x1')} * c.x1))))) AS edge FROM o JOIN c ON o.cust = c.id GROUP BY c.id)
+SELECT c.id AS nid, round(pow(c.x0 - 0.5, 2) + 0.3 * coalesce(edge, 0), 6) AS score FROM c LEFT JOIN e ON c.id = e.id""")
+def _combined(spark, sf_dir):
+    o, c, e = _states(spark, sf_dir)
+    errors = c.select("nid", layers.squared_distance(F.slice("h", 1, 1), F.array(F.lit(0.5))).alias("error"))
+    scores = layers.combined_score(errors, layers.edge_probability(e, o, c, W_PLACED), 0.3)
+    return scores.select((F.col("nid") - AWAY).alias("nid"), F.round("score", 6).alias("score"))
+
+
 @query("objective_total", f"""WITH a AS (SELECT avg(pow(c_acctbal / 10000 - 0.5, 2)) AS attr FROM customer),
 s AS (SELECT avg(CASE WHEN o_orderstatus = 'F' THEN {_SP('-o_totalprice / 200000')} ELSE {_SP('o_totalprice / 200000')} END) AS struct FROM orders),
 r AS (SELECT avg({_SP('(n_nationkey - n_regionkey * 3) / 10.0')}) AS rank FROM nation)

@@ -140,6 +140,24 @@ def _rejections(spark, sf_dir):
     return spark.createDataFrame([(t, rules.problem(v, t, allowed) or "ok") for t in PROPOSED], "text string, reason string")
 
 
+@query("refine_rescore", f"{_VIEW}, {_MEASURED} SELECT text, support, round(confidence, 6) AS confidence, row_number() OVER (ORDER BY confidence DESC, support DESC, len(string_split(text, ' AND ')), text)::BIGINT AS rank FROM m WHERE support >= 1")
+def _rescore(spark, sf_dir):
+    """Proposals, some of them refused and one given twice, measured and ranked like mined rules."""
+    v = view(spark, sf_dir)
+    allowed = {c for c in v.columns if c not in ("entity", "y")}
+    found = rules.revalidate(v, [*TEXTS, "y = 1", "nothing > 1", TEXTS[0]], allowed, tasks.PRESETS["review"])
+    return found.select("text", "support", F.round("confidence", 6).alias("confidence"), "rank")
+
+
+@query("raw_decision_features", f"{_VIEW} SELECT entity, (level <= 0.5)::BIGINT AS d0, (trend <= 2.0)::BIGINT AS d1, (trend <= 3.0)::BIGINT AS d2, (trend <= 1.5)::BIGINT AS d3 FROM view")
+def _raw_decisions(spark, sf_dir):
+    """Every inner node of the small trees as one bit, no paths."""
+    nodes = spark.createDataFrame(TREES, "tree long, node long, left long, right long, feature long, threshold double, rows long, p double")
+    texts = rules.split_texts(nodes, ["level", "trend"], 2)
+    bits = view(spark, sf_dir).withColumn("r", rules.RuleSet(tuple(texts)).vector())
+    return bits.select("entity", *[F.col("r")[i].cast("long").alias(f"d{i}") for i in range(len(texts))])
+
+
 RULE = [("bought_180d", "<=", 6.0), ("since_last", ">", 20.0)]
 
 

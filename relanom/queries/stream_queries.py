@@ -38,3 +38,8 @@ def _novelty(spark, sf_dir):
 def _scores(spark, sf_dir):
     frozen = rules.RuleSet(("value > 100", "event_type = 'error'"), (0.7, 0.4))
     return streaming.finished(streaming.scored(streaming.source(spark, sf_dir), frozen), "append", spark)
+
+
+@query("stream_join", "SELECT a.event_id, b.event_id AS before_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts BETWEEN a.ts - INTERVAL 6 HOUR AND a.ts WHERE a.event_type IN ('signup', 'purchase') AND b.event_type = 'click'")
+def _join(spark, sf_dir):
+    return streaming.finished(streaming.joined_logs(streaming.source(spark, sf_dir), 360), "append", spark)

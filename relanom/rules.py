@@ -141,6 +141,22 @@ def seeds(pool: DataFrame, n: int, salt: str = "seed") -> DataFrame:
     return pool.withColumn("key", key).orderBy("key", "text").limit(n).drop("key")
 
 
+def revalidate(view: DataFrame, proposals: list[str], allowed: set[str], preset: Preset, trusted: Iterable[str] = ()) -> DataFrame:
+    """Proposals go through validation, measuring, filter and ranking like any other rule; refused ones and repeats drop out.
+
+    ``trusted`` texts, such as forest paths, are written by the engine itself and not parsed again.
+    """
+    known = set(trusted)
+    fine = [t for t in dict.fromkeys(proposals) if t in known or problem(view, t, allowed) is None]
+    return ranked(measure(view, fine), preset) if fine else ranked(measure(view, ["false"]), preset).limit(0)
+
+
+def split_texts(nodes: DataFrame, features: list[str], first_trees: int, limit: int = 64) -> list[str]:
+    """Each inner node of the first trees as a predicate of its own, in order of tree and node, without repeats; at most ``limit``."""
+    inner = nodes.filter((F.col("tree") < first_trees) & (F.col("left") >= 0)).groupBy("feature", "threshold").agg(F.min(F.struct("tree", "node")).alias("first"))
+    return [text_of([(features[r["feature"]], "<=", r["threshold"])]) for r in inner.orderBy("first").limit(limit).collect()]
+
+
 # ---- refinement
 def prune(rule: list[tuple[str, str, float]]) -> list[list[tuple[str, str, float]]]:
     return [rule[:i] + rule[i + 1 :] for i in range(len(rule))] if len(rule) > 1 else []
@@ -277,7 +293,6 @@ def mine(view: DataFrame, features: list[str], preset: Preset, folder: str, refi
         context = guarded_context(train, features, drawn)
         chosen = [by_text[d["text"]] for d in drawn]
         proposals = [*by_text, *(proposer or ScriptedProposer()).propose(context, chosen), *(text_of(tighten(train, r)) for r in chosen[:5])]
-        fine = list(dict.fromkeys(t for t in proposals if t in by_text or problem(view, t, set(features)) is None))
-        best = ranked(measure(on, fine), preset).orderBy("rank").limit(preset.max_rules).collect()
+        best = revalidate(on, proposals, set(features), preset, by_text).orderBy("rank").limit(preset.max_rules).collect()
     train.unpersist()
     return RuleSet(tuple(r["text"] for r in best), tuple(float(r["confidence"]) for r in best))

@@ -50,6 +50,18 @@ def novelty(events: DataFrame) -> DataFrame:
     return rows.groupBy("user_id").applyInPandasWithState(run, "event_id long, novel boolean", "machines array<int>", "append", "NoTimeout")
 
 
+def joined_logs(events: DataFrame, minutes: int = 10) -> DataFrame:
+    """(event_id, before_id): authentications with the same user's process rows of the ``minutes`` before, as two joined streams.
+
+    Repeated events are dropped within the watermark; the time condition bounds the state of both sides.
+    """
+    once = events.withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(["event_id"])
+    auth = once.filter(F.col("event_type").isin("signup", "purchase")).select("event_id", F.col("user_id").alias("u"), F.col("ts").alias("t"))
+    process = once.filter("event_type = 'click'").select(F.col("event_id").alias("before_id"), "user_id", "ts")
+    near = (F.col("u") == F.col("user_id")) & (F.col("ts") <= F.col("t")) & (F.col("ts") >= F.col("t") - F.expr(f"interval {minutes} minutes"))
+    return auth.join(process, near).select("event_id", "before_id")
+
+
 def scored(events: DataFrame, rule_set) -> DataFrame:
     """Frozen rules on each event: stateless, the rules are literals of the plan."""
     return events.select("event_id", rule_set.score().alias("score"))

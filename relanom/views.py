@@ -17,21 +17,36 @@ def _micros(c: str = "t"):
     return F.unix_micros(F.col(c).cast("timestamp"))
 
 
+def distinct_within(rows: DataFrame, key: str, item: str, seconds: int, name: str) -> DataFrame:
+    """Adds the number of distinct items of the key in the ``seconds`` before each row (``us``), exactly and without a set.
+
+    A use of an item keeps it in the window until ``seconds`` later; overlapping stays of one item
+    merge. Each merged stay is +1 at its start and -1 at an added row at its end, and one running sum counts them.
+    """
+    wide = seconds * 1_000_000
+    uses = Window.partitionBy(key, item).orderBy("us")
+    before, after, known = F.lag("us").over(uses), F.lead("us").over(uses), F.col(item).isNotNull()
+    marked = rows.withColumn("_starts", (known & (before.isNull() | (F.col("us") - before > wide))).cast("int")).withColumn("_ends", known & (after.isNull() | (after - F.col("us") > wide)))
+    step = lambda us, delta, end: F.struct(us.alias("us"), delta.alias("delta"), F.lit(end).alias("end"))
+    steps = F.array_compact(F.array(step(F.col("us"), F.col("_starts"), False), F.when(F.col("_ends"), step(F.col("us") + wide, F.lit(-1), True))))
+    placed = marked.withColumn("_step", F.explode(steps)).withColumn("us", F.col("_step.us"))
+    running = Window.partitionBy(key).orderBy("us").rangeBetween(Window.unboundedPreceding, -1)
+    counted = placed.withColumn(name, F.coalesce(F.sum("_step.delta").over(running), F.lit(0)))
+    return counted.filter("not _step.end").drop("_starts", "_ends", "_step")
+
+
 def cyber(spark, sf_dir: str) -> DataFrame:
     """Features of each authentication event: attributes, pair novelty, recent activity of user and machine, fan-out.
 
-    Two shuffles: all windows over the user's rows share one, all over the machine's the other.
+    Windows over the user's rows share one shuffle, those over the machine's another.
     """
-    logs = tasks.auth_log(spark, sf_dir).withColumn("us", _micros())
+    logs = distinct_within(tasks.auth_log(spark, sf_dir).withColumn("us", _micros()), "user", "machine", 86400, "fanout_1d")
     # Rows of one entity at one instant are not before each other.
     back = lambda key, seconds=None: Window.partitionBy(key).orderBy("us").rangeBetween(-seconds * 1_000_000 if seconds else Window.unboundedPreceding, -1)
     pair = Window.partitionBy("user", "machine").orderBy("us").rangeBetween(Window.unboundedPreceding, -1)
     auth = F.col("log") == "auth"
-    out = logs.withColumns({"pair_before": F.coalesce(F.count_if(auth).over(pair), F.lit(0)), "pair_last": F.max(F.when(auth, F.col("us"))).over(pair), "any_last": F.max("us").over(pair)})
+    out = logs.withColumns({"pair_before": F.coalesce(F.count_if(auth).over(pair), F.lit(0)), "pair_last": F.max(F.when(auth, F.col("us"))).over(pair)})
     out = out.withColumns({f"user_{log}_{name}": F.count_if(F.col("log") == log).over(back("user", s)) for log in ("auth", "dns", "flow", "process") for name, s in WIDTHS.items()})
-    # Uses of a machine that the user had not used for a day, in whatever log: counting them counts machines without a set.
-    fresh = F.col("any_last").isNull() | (F.col("us") - F.col("any_last") > 86_400_000_000)
-    out = out.withColumn("fresh", fresh.cast("int")).withColumn("fanout_1d", F.coalesce(F.sum("fresh").over(back("user", 86400)), F.lit(0)))
     first = (auth & (F.col("pair_before") == 0)).cast("int")
     out = out.withColumn("first_pair", first)
     out = out.withColumns({f"machine_auth_{name}": F.count_if(auth).over(back("machine", s)) for name, s in WIDTHS.items()} | {"machine_users": F.coalesce(F.sum("first_pair").over(back("machine")), F.lit(0))})
