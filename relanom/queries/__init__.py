@@ -5,3 +5,4 @@ from relanom.queries import rule_queries  # noqa: F401
 from relanom.queries import experiment_queries  # noqa: F401
 from relanom.queries import operators, stream_queries  # noqa: F401
 from relanom.queries import layer_queries  # noqa: F401
+from relanom.queries import extension_queries  # noqa: F401

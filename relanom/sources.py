@@ -18,6 +18,24 @@ def register(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = TABLES)
         load(spark, sf_dir, name).createOrReplaceTempView(name)
 
 
-def save(df: DataFrame, path: str, partitions: list[str] | None = None) -> None:
-    writer = df.write.mode("overwrite")
-    (writer.partitionBy(*partitions) if partitions else writer).parquet(path)
+FORMATS = ("parquet", "orc", "json", "csv")
+
+
+def read(spark: SparkSession, path: str, form: str = "parquet", schema: str | None = None) -> DataFrame:
+    """A file or folder in one of ``FORMATS``; text formats need an explicit schema, so no file is read twice to guess it."""
+    if form not in FORMATS:
+        raise ValueError(f"no format {form}")
+    if form in ("json", "csv") and schema is None:
+        raise ValueError(f"{form} needs a schema")
+    reader = spark.read.format(form)
+    return (reader.schema(schema) if schema else reader).options(**({"header": True} if form == "csv" else {})).load(path)
+
+
+def save(df: DataFrame, path: str, partitions: list[str] | None = None, form: str = "parquet") -> None:
+    writer = df.write.mode("overwrite").format(form).options(**({"header": True} if form == "csv" else {}))
+    (writer.partitionBy(*partitions) if partitions else writer).save(path)
+
+
+def save_bucketed(df: DataFrame, table: str, key: str, buckets: int) -> None:
+    """A table of the warehouse, bucketed and sorted by a key, so that joins on it need no shuffle."""
+    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).format("parquet").saveAsTable(table)
