@@ -54,7 +54,9 @@ def cyber_task(spark, sf_dir: str, labels: DataFrame | None = None) -> Task:
     view = views.cyber(spark, sf_dir)
     features = [c for c in view.columns if c not in ("event", "t", "user", "machine")]
     if labels is None:
-        labels = view.select("event", ((F.col("novel") == 1) & (F.col("fanout_1d") >= 6)).cast("int").alias("y"))
+        from relanom.labels import behavioural
+
+        labels = behavioural(tasks.auth_log(spark, sf_dir))
     users = load(spark, sf_dir, "customer", ["c_custkey", "c_acctbal", "c_nationkey"])
     joined = view.join(labels.select("event", F.col("y").cast("int").alias("y")), "event").join(users, F.col("user") == F.col("c_custkey"), "left")
     scaled = lambda names: [F.log1p(F.col(c)) for c in names]

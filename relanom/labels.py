@@ -98,3 +98,16 @@ def planted_campaigns(log: DataFrame, start: str = "2024-01-01", days: int = 29)
         (u(user, "benign") >= 0.2).cast("int").alias("y"),
     )
     return real.unionByName(made)
+
+
+def behavioural(logs: DataFrame, machines: int = 6) -> DataFrame:
+    """(event, y) of authentications: the user's first use of the machine in any log, which makes it at least ``machines`` within a day.
+
+    Rows of one instant are not before each other. As the machine is new, it adds one to those of the day before.
+    """
+    from relanom.views import distinct_within
+
+    rows = distinct_within(logs.withColumn("us", F.unix_micros(F.col("t").cast("timestamp"))), "user", "machine", 86400, "others")
+    pair = Window.partitionBy("user", "machine").orderBy("us").rangeBetween(Window.unboundedPreceding, -1)
+    new = F.count("*").over(pair) == 0
+    return rows.withColumn("y", (new & (F.col("others") + 1 >= machines)).cast("int")).filter("log = 'auth'").select("event", "y")

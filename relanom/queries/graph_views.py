@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from relanom import encode, graph, tasks, views
+from relanom import encode, graph, labels, tasks, views
 from relanom.draws import u_sql
 from relanom.registry import query
 from relanom.sources import TABLES, load
@@ -221,6 +221,12 @@ def label_cyber(spark, sf_dir):
     return tasks.auth_log(spark, sf_dir).filter("log = 'auth'").select("event", (u(F.col("event"), "lone") < 0.005).cast("long").alias("y"))
 
 
+@query("label_behavioural", f"""WITH {LOG}, v AS (SELECT event, log, row_number() OVER (PARTITION BY "user", machine ORDER BY t) AS k,
+  count(DISTINCT machine) OVER (PARTITION BY "user" ORDER BY t RANGE BETWEEN INTERVAL 1 DAY PRECEDING AND CURRENT ROW) AS n FROM log) SELECT event, (k = 1 AND n >= 6)::BIGINT AS y FROM v WHERE log = 'auth'""")
+def _label_behavioural(spark, sf_dir):
+    return labels.behavioural(tasks.auth_log(spark, sf_dir)).select("event", *long("y"))
+
+
 @query("label_documents", "SELECT d.doc_id AS entity, l.toxic::BIGINT AS y FROM documents d LEFT JOIN labels l USING (doc_id)")
 def _label_documents(spark, sf_dir):
     d, y = load(spark, sf_dir, "documents", ["doc_id"]), load(spark, sf_dir, "labels", ["doc_id", "toxic"])
