@@ -43,8 +43,8 @@ PATTERN = (
     rf"{_SECRET}[A-Za-z0-9+/_=-]{{8,}}|(?<![{_W}])(?:(?=[\d+(])(?:{PATTERNS['ip']}|{PATTERNS['card']}|{PATTERNS['ssn']}|{PATTERNS['phone']})"
     rf"|(?=\p{{Lu}})(?:{PATTERNS['iban']}|{PATTERNS['name']})|{PATTERNS['email']})"
 )
-#: Every text that the pattern can match has a digit, an @ or one of these.
-_SIGNS = [t + " " for t in TITLES] + [t + "." for t in _DOTTED] + ["assw", "ASSW", "pwd", "PWD", "ecret", "ECRET", "oken", "OKEN", "key", "KEY", "Key"]
+#: Every text that the pattern can match has a digit, an @, one of these or the start of a secret.
+_SIGNS = [t + " " for t in TITLES] + [t + "." for t in _DOTTED]
 #: Letters and digits by script and case.
 _SCRIPTS = [
     "abcdefghijklmnopqrstuvwxyz",
@@ -70,7 +70,7 @@ def maybe(text: Column) -> Column:
     some = text.rlike("[0-9@]")
     for sign in _SIGNS:
         some = some | text.contains(sign)
-    return some
+    return some | ((text.contains("=") | text.contains(":")) & text.rlike(_SECRET))
 
 
 def kind_of(mention: Column) -> Column:

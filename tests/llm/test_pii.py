@@ -1,5 +1,7 @@
 import re
 
+from pyspark.sql import functions as F
+
 from relanom.llm import pii
 
 SF = "/root/testdata/sf0.01"
@@ -72,3 +74,18 @@ def test_collisions_are_redrawn(spark, monkeypatch):
     texts = [f"call +1 (555) 555-{i:04d} now" for i in range(40)] + ["call 000-000-0000"]
     got = [r.text for r in pii.replace(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()]
     assert len(set(got)) == len(texts) and not set(got) & set(texts)
+
+
+def test_sift_keeps_secrets_in_any_case(spark):
+    words = ["password", "passwd", "pwd", "secret", "token", "apikey", "api_key", "access_key"]
+    cases = [str, str.upper, str.capitalize, str.swapcase, lambda w: w[0] + w[1:].capitalize(), lambda w: "".join(c.upper() if i % 2 else c for i, c in enumerate(w))]
+    rows = [(i, f"{case(w)}{sep}correcthorsebattery") for i, (w, case, sep) in enumerate((w, c, s) for w in words for c in cases for s in (": ", "="))]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    got = {r.doc_id: r for r in pii.replace(df).collect()}
+    assert len(got) == len(rows)
+    for i, text in rows:
+        assert got[i].n_entities == 1 and "correcthorsebattery" not in got[i].text, text
+        assert got[i].text.startswith(text[: -len("correcthorsebattery")])
+    # Every row that the pattern finds passes the sift; no keyword, no pass.
+    assert df.filter(pii.maybe(df.text)).count() == len(rows)
+    assert spark.createDataFrame([("key words: none",), ("a pwd here",)], "text string").filter(pii.maybe(F.col("text"))).count() == 0
