@@ -7,7 +7,8 @@ in lanes of ``LANE`` characters, all lanes and languages in step, so a text's ph
 those of its lanes together.
 
 The sample is bounded by ``chars`` per language, taken in passages of ``passage`` characters
-from rows chosen by a hash of their text; everything else covers all rows.  At most
+from the distinct texts of least hash until it is full or no text is left; everything else
+covers all rows.  At most
 ``MAX_LANGUAGES`` labels are learned from, more raise an error.
 
 Null texts and texts without a letter are ``und`` with score 0.  Ties go to the first
@@ -142,22 +143,27 @@ class CrossParser:
 def labelled_sample(learn: DataFrame, chars: int, passage: int) -> dict[str, str]:
     """Per language at most ``chars`` characters in passages; ``learn`` has text and a non-null lang."""
     hashed = learn.select("lang", "text", F.xxhash64("text").alias("h"))
-    counts = {r["lang"]: r["n"] for r in hashed.groupBy("lang").agg(F.count("*").alias("n")).limit(MAX_LANGUAGES + 1).collect()}
-    if len(counts) > MAX_LANGUAGES:
+    # What each distinct text can give, however many copies it has.
+    useful = hashed.groupBy("lang", "h").agg(F.max(F.least(F.length("text"), F.lit(passage)) + 1).alias("chars"))
+    given = {r["lang"]: r["chars"] for r in useful.groupBy("lang").agg(F.sum("chars").alias("chars")).limit(MAX_LANGUAGES + 1).collect()}
+    if len(given) > MAX_LANGUAGES:
         raise ValueError(f"more than {MAX_LANGUAGES} languages")
-    if not counts:
-        return {}
-    rows = -(-2 * chars // passage)
-    # A row's hash falls below its language's share with a probability that gives about 3 * rows of them, whatever the size.
-    share = F.create_map(*[F.lit(x) for lang, n in counts.items() for x in (lang, min(1.0, 3 * rows / n))])[F.col("lang")]
     start = 1 + F.pmod(F.col("h"), F.greatest(F.lit(1), F.length("text") - passage)).cast("int")
-    drawn = hashed.filter(F.pmod(F.col("h"), F.lit(1 << 20)) / float(1 << 20) < share)
-    texts, seen = defaultdict(str), defaultdict(set)
-    for lang, h, text in sorted(drawn.select("lang", "h", F.substring(F.col("text"), start, F.lit(passage)).alias("text")).distinct().collect(), key=lambda r: (r[0], r[1] & 0xFFFFF, r[1], r[2])):
-        if len(texts[lang]) < chars and h not in seen[lang]:
-            seen[lang].add(h)
-            texts[lang] += (text + " ")[: chars - len(texts[lang])]
-    return dict(texts)
+    out: dict[str, str] = {}
+    # A hash falls below its language's share with a probability that gives about ``times`` the bound in distinct passages; a language that got less draws again.
+    times = 3
+    while open_ := sorted(set(given) - set(out)):
+        shares = {lang: min(1.0, times * chars / max(1, given[lang])) for lang in open_}
+        share = F.create_map(*[F.lit(x) for pair in shares.items() for x in pair])[F.col("lang")]
+        drawn = hashed.filter(F.pmod(F.col("h"), F.lit(1 << 20)) / float(1 << 20) < share)
+        texts, seen = defaultdict(str), defaultdict(set)
+        for lang, h, text in sorted(drawn.select("lang", "h", F.substring(F.col("text"), start, F.lit(passage)).alias("text")).distinct().collect(), key=lambda r: (r[0], r[1] & 0xFFFFF, r[1], r[2])):
+            if len(texts[lang]) < chars and h not in seen[lang]:
+                seen[lang].add(h)
+                texts[lang] += (text + " ")[: chars - len(texts[lang])]
+        out |= {lang: texts[lang] for lang in open_ if len(texts[lang]) >= chars or shares[lang] == 1.0}
+        times *= 8
+    return out
 
 
 def identify(documents: DataFrame, learn: DataFrame | None = None, chars: int = 24_000, passage: int = 1_000, keep: list[str] | None = None) -> DataFrame:

@@ -90,3 +90,19 @@ def test_components(spark, seed):
             root[b] = a
     got = {x.node: x.root for x in components.components(spark.createDataFrame(edges, "u long, v long")).collect()}
     assert got == {x: find(x) for e in edges if e[0] != e[1] for x in e}
+
+
+def test_copies_do_not_thin_the_sample(spark):
+    # 60 distinct texts in 120,000 rows: a draw by rows expects less than one of them.
+    texts = spark.range(60).select(F.col("id").alias("k"), F.array_join(F.transform(F.sequence(F.lit(1), F.lit(60)), lambda i: F.sha2(F.concat_ws(":", F.col("id"), i), 256)), " ").alias("text"))
+    copies = texts.crossJoin(spark.range(2000)).select(F.lit("xx").alias("lang"), "text")
+    few = spark.createDataFrame([("yy", f"short line {i}") for i in range(5)], "lang string, text string")
+    got = language_id.labelled_sample(copies.unionByName(few), 24_000, 1_000)
+    assert len(got["xx"]) == 24_000 and len(set(got["xx"].split(" "))) > 300
+    assert sorted(w for w in got["yy"].split() if w.isdigit()) == list("01234")
+
+
+def test_short_texts_fill_the_sample(spark):
+    # 144 passages of 41 characters would be a quarter of the bound.
+    lines = spark.range(3000).select(F.lit("xx").alias("lang"), F.substring(F.sha2(F.col("id").cast("string"), 256), 1, 40).alias("text"))
+    assert len(language_id.labelled_sample(lines, 24_000, 1_000)["xx"]) == 24_000
