@@ -381,12 +381,15 @@ def part_of(batch: dict, at: np.ndarray) -> dict:
 
 
 def local_steps(model: Model, batch: dict, steps: int, size: int, rate: float, seed: int) -> dict[str, np.ndarray]:
-    """Parameters after some steps on one shard; every mini-batch holds the shard's positives."""
+    """Parameters after ``steps`` mini-batches on one shard, or as many as all its rows take, in drawn order; each adds positives drawn anew from all of the shard's."""
     rng, adam = np.random.default_rng(seed), Adam(rate)
-    params = dict(model.params)
-    positives = np.flatnonzero(batch["y"] == 1)
-    for _ in range(steps):
-        at = np.unique(np.concatenate((rng.integers(0, len(batch["x"]), min(size, len(batch["x"]))), positives[: size // 2])))
+    params, rows = dict(model.params), len(batch["x"])
+    positives, order = np.flatnonzero(batch["y"] == 1), np.zeros(0, int)
+    for _ in range(max(steps, -(-rows // size))):
+        while len(order) < min(size, rows):
+            order = np.concatenate((order, rng.permutation(rows)))
+        drawn, order = order[:size], order[size:]
+        at = np.unique(np.concatenate((drawn, rng.choice(positives, min(len(positives), size // 2), replace=False))))
         p = {k: Var(v) for k, v in params.items()}
         model.loss(p, part_of(batch, at), rng).backward()
         adam.step(params, {k: v.grad for k, v in p.items() if v.grad is not None})

@@ -67,9 +67,18 @@ def _local(packed: bytes, steps: int, size: int, rate: float, seed: int):
     return one
 
 
+def shards_for(rows: int, steps: int, size: int, least: int) -> int:
+    """So many that a shard's rows fill about ``steps`` mini-batches, at least ``least``."""
+    return max(least, -(-rows // (steps * size)))
+
+
 def fit(rows: DataFrame, model: nn.Model, rounds: int = 4, steps: int = 30, size: int = 512, rate: float = 0.01, shards: int = 4, patience: int = 10, seed: int = 0) -> Fitted:
-    """Train on split 'train', keep the parameters of the best validation AUPRC."""
+    """Train on split 'train', keep the parameters of the best validation AUPRC.
+
+    Each round runs through all train rows; ``steps`` and ``shards`` are the least, more rows make more shards.
+    """
     train, valid = rows.filter("split = 'train'"), rows.filter("split = 'valid'")
+    shards = shards_for(train.count(), steps, size, shards)
     dealt = train.withColumn("shard", F.floor(u(F.col("target"), "shard") * shards).cast("int"))
     if isinstance(model, nn.DeepSvdd):
         # The centre comes from the first embeddings of a bounded sample of train rows.

@@ -1,7 +1,7 @@
 import numpy as np
 import pytest
 
-from relanom import isolation, nn
+from relanom import isolation, nn, trainer
 
 
 def batch(rng, spec, n=12):
@@ -59,3 +59,24 @@ def test_rank_loss_and_adam():
 def test_isolation_constants():
     assert isolation.c(1) == 0 and isolation.c(2) == 1
     assert isolation.c(256) == pytest.approx(2 * (np.log(255) + 0.5772156649) - 2 * 255 / 256)
+
+
+@pytest.mark.parametrize("rows, positive", [(4000, 1200), (900, 700), (100, 0)])
+def test_local_steps_reach_all_rows_and_positives(monkeypatch, rows, positive):
+    rng = np.random.default_rng(2)
+    y = np.zeros(rows)
+    y[:positive] = 1
+    b = {"x": np.column_stack((np.arange(rows), rng.standard_normal((rows, 4)))), "y": y, "relations": []}
+    seen, part_of = [], nn.part_of
+    monkeypatch.setattr(nn, "part_of", lambda batch, at: seen.append(at) or part_of(batch, at))
+    nn.local_steps(nn.Mlp(nn.Spec(5), 4), b, 3, 512, 0.01, 7)
+    assert len(seen) >= 3 and len(np.unique(np.concatenate(seen))) == rows
+    if positive > 256:
+        # No positive is in every mini-batch just because its id is small.
+        first = [set(at[at < positive].tolist()) for at in seen[:2]]
+        assert not set(range(256)) <= first[0] & first[1]
+
+
+def test_shards_grow_with_rows():
+    assert trainer.shards_for(100, 30, 512, 4) == 4
+    assert trainer.shards_for(30 * 512 * 9 + 1, 30, 512, 4) == 10
