@@ -4,11 +4,10 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from relanom import nn, rules, splits, tasks, trainer, views
-from relanom.draws import u
 from relanom.sources import load
 
 
@@ -26,8 +25,8 @@ def _neighbours(x: list, m: list):
     return F.struct(F.array(*[F.coalesce(c.cast("double"), F.lit(0.0)) for c in x]).alias("x"), F.array(*[F.coalesce(c.cast("double"), F.lit(0.0)) for c in m]).alias("m"))
 
 
-def customer_task(spark, sf_dir: str, kind: str = "purchase", labels: DataFrame | None = None, fanout: int = 20) -> Task:
-    """Customers with their last transactions and each transaction's article; everything at or before the cut."""
+def customer_task(spark, sf_dir: str, kind: str = "purchase", labels: DataFrame | None = None) -> Task:
+    """Customers with all their transactions and each transaction's article; everything at or before the cut."""
     view = views.purchase(spark, sf_dir) if kind == "purchase" else views.review(spark, sf_dir)
     features = [c for c in view.columns if c != "entity"]
     if labels is None:
@@ -37,12 +36,10 @@ def customer_task(spark, sf_dir: str, kind: str = "purchase", labels: DataFrame
     log = tasks.transactions(spark, sf_dir) if kind == "purchase" else tasks.reviews(spark, sf_dir)
     age = F.datediff(F.lit(tasks.CUT), "t")
     log = log.withColumn("age", age).filter("age >= 0")
-    last = Window.partitionBy("customer").orderBy("age", u(F.concat_ws(":", "part", "price", "quantity"), "fan"))
-    capped = log.withColumn("k", F.row_number().over(last)).filter(F.col("k") <= fanout)
     parts = load(spark, sf_dir, "part", ["p_partkey", "p_brand", "p_size", "p_retailprice"])
     far = [F.col("p_size") / 50, F.col("p_retailprice") / 1000, *[(F.pmod(F.xxhash64("p_brand"), F.lit(32)) == i).cast("double") for i in range(32)]]
     near = [F.col("age") / 1000, F.col("price") / 50000, F.col("quantity") / 50]
-    joined = capped.join(parts, F.col("part") == F.col("p_partkey"), "left")
+    joined = log.join(parts, F.col("part") == F.col("p_partkey"), "left")
     fields = joined.groupBy("customer").agg(F.collect_list(_neighbours(near, far)).alias("nb0"))
     rows = view.join(labels.select("entity", F.col("y").cast("int").alias("y")), "entity").join(fields, F.col("entity") == F.col("customer"), "left")
     rows = rows.withColumn("split", splits.by_hash(F.col("entity"))).withColumn("target", F.col("entity").cast("long"))

@@ -1,7 +1,8 @@
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
-from relanom import isolation, nn, trainer
+from relanom import detector, isolation, nn, tasks, trainer
 
 
 def batch(rng, spec, n=12):
@@ -80,3 +81,13 @@ def test_local_steps_reach_all_rows_and_positives(monkeypatch, rows, positive):
 def test_shards_grow_with_rows():
     assert trainer.shards_for(100, 30, 512, 4) == 4
     assert trainer.shards_for(30 * 512 * 9 + 1, 30, 512, 4) == 10
+
+
+@pytest.mark.parametrize("kind", ["purchase", "review"])
+def test_customers_see_all_their_transactions(spark, kind):
+    sf = "/root/testdata/sf0.01"
+    log = (tasks.transactions if kind == "purchase" else tasks.reviews)(spark, sf).filter(F.datediff(F.lit(tasks.CUT), "t") >= 0)
+    degrees = {r["customer"]: r["count"] for r in log.groupBy("customer").count().collect()}
+    rows = detector.customer_task(spark, sf, kind).rows.select("target", F.size("nb0").alias("n")).collect()
+    assert max(degrees.values()) > 20 and rows
+    assert all(max(r["n"], 0) == degrees.get(r["target"], 0) for r in rows)
