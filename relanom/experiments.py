@@ -27,14 +27,19 @@ def union(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
-def mined(task: detector.Task, preset: str, folder: str, refine: bool = True) -> rules.RuleSet:
-    return rules.mine(task.rows.select("y", "split", *task.features), task.features, tasks.small(tasks.PRESETS[preset]), folder, refine)
+def mined(task: detector.Task, preset: str | tasks.Preset, folder: str, refine: bool = True) -> rules.RuleSet:
+    return rules.mine(task.rows.select("y", "split", *task.features), task.features, setting(preset), folder, refine)
+
+
+def setting(preset: str | tasks.Preset) -> tasks.Preset:
+    """A task's full settings by name, or those that are given."""
+    return tasks.PRESETS[preset] if isinstance(preset, str) else preset
 
 
 class Arms:
     """The methods of the comparison on one task; the flat and the relational table are each made once."""
 
-    def __init__(self, task: detector.Task, folder: str, preset: str, hidden: int = 16, rounds: int = 4, seed: int = 0):
+    def __init__(self, task: detector.Task, folder: str, preset: str | tasks.Preset, hidden: int = 16, rounds: int = 4, seed: int = 0):
         self.task, self.folder, self.preset = task, folder, preset
         self.hidden, self.rounds, self.seed = hidden, rounds, seed
         task.rows = task.rows.cache()
@@ -82,7 +87,7 @@ class Arms:
 
     def _decisions(self) -> rules.RuleSet:
         """Single splits of the first trees as bits, instead of whole paths."""
-        preset = tasks.small(tasks.PRESETS[self.preset])
+        preset = setting(self.preset)
         forest = rules.fit_forest(self.task.rows.filter("split = 'train'"), self.task.features, preset, self.seed)
         nodes = rules.node_table(self.task.rows.sparkSession, forest, f"{self.folder}/raw")
         texts = rules.split_texts(nodes, self.task.features, preset.first_trees, preset.max_rules)
@@ -93,7 +98,7 @@ class Arms:
         return fusion.weighted_sum(self.task.rows.join(scores, "target"), self.rules())
 
 
-def compare(task: detector.Task, folder: str, preset: str, methods: list[str], **options) -> DataFrame:
+def compare(task: detector.Task, folder: str, preset: str | tasks.Preset, methods: list[str], **options) -> DataFrame:
     arms = Arms(task, folder, preset, **options)
     return union([arms.run(m) for m in methods])
 

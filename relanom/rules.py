@@ -285,7 +285,7 @@ def mine(view: DataFrame, features: list[str], preset: Preset, folder: str, refi
     if not found:
         return RuleSet(())
     by_text = {text_of(r): r for r in found}
-    pool = ranked(measure(on, list(by_text)[:4096]), preset)
+    pool = ranked(measure(on, list(by_text)), preset)
     if not refine:
         best = seeds(pool, preset.seeds).collect()
     else:
