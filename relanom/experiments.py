@@ -66,6 +66,8 @@ class Arms:
         make: dict[str, tuple[str, Callable[[], DataFrame]]] = {
             "detector_alpha0": ("ranking", lambda: self.detector(self.rules())),
             "detector_bce": ("ranking", lambda: self.detector(self.rules(), 0.1)),
+            "detector_bce_low": ("ranking", lambda: self.detector(self.rules(), 0.01)),
+            "detector_bce_high": ("ranking", lambda: self.detector(self.rules(), 1.0)),
             "detector_no_rules": ("ranking", lambda: self.detector(None)),
             "detector_path_rules": ("ranking", lambda: self.detector(self.rules(False))),
             "detector_no_rank": ("unsupervised", lambda: self.detector(self.rules(), beta=0.0)),
@@ -103,15 +105,14 @@ def compare(task: detector.Task, folder: str, preset: str | tasks.Preset, method
     return union([arms.run(m) for m in methods])
 
 
-def prevalence(spark, sf_dir: str, folder: str, kind: str, levels=(0.05, 0.15, 0.30)) -> DataFrame:
-    """Detector and supervised graph model with fewer positives in training; one label table, one ranking, nested samples."""
-    from relanom.queries.labels_metrics import planted_multihop
-
+def prevalence(spark, sf_dir: str, folder: str, kinds=("review", "purchase"), levels=(0.005, 0.015, 0.03)) -> DataFrame:
+    """Detector with rules and supervised graph model on unexpected churn, with fewer positives in training; one label table a task, one ranking, nested samples."""
     out = []
-    for p in levels:
-        task = detector.customer_task(spark, sf_dir, kind, planted_multihop(spark, sf_dir))
-        train = labels.to_prevalence(task.rows.filter("split = 'train'"), p, "target")
-        task.rows = train.unionByName(task.rows.filter("split <> 'train'"))
-        arms = Arms(task, folder, kind, rounds=2)
-        out += [arms.run(m).withColumn("task", F.lit(f"{kind}@{p}")) for m in ("detector_no_rules", "gnn_weighted")]
+    for kind in kinds:
+        for p in levels:
+            task = detector.customer_task(spark, sf_dir, kind)
+            train = labels.to_prevalence(task.rows.filter("split = 'train'"), p, "target")
+            task.rows = train.unionByName(task.rows.filter("split <> 'train'"))
+            arms = Arms(task, folder, kind, rounds=2)
+            out += [arms.run(m).withColumn("task", F.lit(f"{kind}@{p}")) for m in ("detector_alpha0", "gnn_weighted")]
     return union(out)

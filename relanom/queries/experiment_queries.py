@@ -39,16 +39,22 @@ def _register(name: str, kind: str, methods: list[str]):
 for _kind in ("cyber", "review", "purchase"):
     _register(f"rq1_{_kind}", _kind, MAIN)
 _register("rq1_multihop", "multihop", ["detector_no_rules", "gnn_weighted", "gnn_unweighted", "ae", "mlp", "isolation_forest"])
-_register("rq2_rules", "cyber", ["detector_no_rules", "raw_decisions", "detector_path_rules", "detector_alpha0"])
-_register("rq2_fusion", "cyber", ["detector_alpha0", "posthoc_fusion"])
-_register("rq3_edges", "purchase", ["detector_alpha0", "detector_bce"])
-_register("rq4_refine", "purchase", ["detector_path_rules", "detector_alpha0"])
-_register("ablate_rank", "cyber", ["detector_no_rank", "detector_alpha0", "ae", "ae_rank"])
+#: The ablations by the task that goes without a suffix; the other two carry theirs.
+ABLATIONS = {
+    "rq2_rules": ("cyber", ["detector_no_rules", "raw_decisions", "detector_path_rules", "detector_alpha0"]),
+    "rq2_fusion": ("cyber", ["detector_alpha0", "posthoc_fusion"]),
+    "rq3_edges": ("purchase", ["detector_alpha0", "detector_bce_low", "detector_bce", "detector_bce_high"]),
+    "rq4_refine": ("purchase", ["detector_path_rules", "detector_alpha0"]),
+    "ablate_rank": ("cyber", ["detector_no_rank", "detector_alpha0", "ae", "ae_rank"]),
+}
+for _name, (_first, _methods) in ABLATIONS.items():
+    for _kind in ("cyber", "review", "purchase"):
+        _register(_name if _kind == _first else f"{_name}_{_kind}", _kind, _methods)
 
 
 @query("rq5_prevalence")
 def _prevalence(spark, sf_dir):
-    return experiments.prevalence(spark, sf_dir, folder(spark), "purchase")
+    return experiments.prevalence(spark, sf_dir, folder(spark))
 
 
 @query("flagship_cyber")

@@ -43,3 +43,24 @@ def test_every_path_is_measured(spark, monkeypatch):
     with pytest.raises(Seen):
         rules.mine(spark.createDataFrame([(0, "train", 0.5)], "y int, split string, a double"), ["a"], tasks.PRESETS["purchase"], "nowhere")
     assert len(got) == 5000
+
+
+def test_ablations_cover_three_tasks():
+    import __spark_entry__
+
+    known = __spark_entry__.queries()
+    for name in ("rq2_rules", "rq2_fusion", "rq3_edges", "rq4_refine", "ablate_rank"):
+        assert sum(q == name or q in {f"{name}_{k}" for k in ("cyber", "review", "purchase")} for q in known) == 3
+
+
+def test_prevalence_compares_rules_on_both_churn_tasks(spark, monkeypatch):
+    ran = []
+
+    def run(self, name):
+        ran.append((self.preset, name, self.task.rows.filter("split = 'train' and y = 1").count() / self.task.rows.filter("split = 'train'").count()))
+        return spark.createDataFrame([("t", name)], "task string, method string")
+
+    monkeypatch.setattr(experiments.Arms, "run", run)
+    got = experiments.prevalence(spark, "/root/testdata/sf0.01", "nowhere").collect()
+    assert sorted((r.task, r.method) for r in got) == sorted((f"{k}@{p}", m) for k in ("review", "purchase") for p in (0.005, 0.015, 0.03) for m in ("detector_alpha0", "gnn_weighted"))
+    assert all(0 < share <= 0.031 for _, _, share in ran)
