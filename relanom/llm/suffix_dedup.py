@@ -1,11 +1,10 @@
 """Repeated byte strings through a run-length compressed Burrows-Wheeler index.
 
-Per task the distinct segments of some anchors (see ``anchored``) are concatenated, their
-Burrows-Wheeler transform is run-length encoded, and the match lengths of suffixes with
-their two lexicographic neighbours are sampled at run ends only: inside a run the length
-of text position p follows from that of p - 1, one less.  Streaming the text against the
-samples yields each position's longest match elsewhere; positions of at least ``length``
-are marked.  In repetitive text runs are few, so samples are too.
+Per task the distinct segments of some anchors (see ``anchored``) are joined and indexed by
+the run-length encoded Burrows-Wheeler transform, with match lengths sampled at run ends.
+Every segment is streamed backwards through the index, one step along its run a byte, which
+yields each position's longest match elsewhere; positions of at least ``length`` are marked.
+In repetitive text runs are few, so samples are too.
 
 Null text counts as empty.  Texts shorter than ``length`` keep every byte.  Ties (equal
 segments, overlapping occurrences) all count; nothing is kept as a "first" copy.
@@ -80,48 +79,79 @@ def _common(text: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray:
 
 
 class RunLengthIndex:
-    """Run-compressed transform of a text with match lengths sampled at run ends."""
+    """Run-compressed transform of segments that are each closed by ``_END`` and joined.
+
+    A run is its byte, its first and last row and the row that its first row steps to.  The match length with the
+    neighbour above is kept where a run's first row steps to, that with the neighbour below where its last row does,
+    and both where a segment's stream begins.  Text, suffix array and transform are not kept.
+    """
 
     def __init__(self, text: np.ndarray):
-        self.n = len(text)
         order = suffix_array(text)
-        # Text position 0 has nothing before it: a letter of its own keeps it out of its neighbours' runs.
-        bwt = text[order - 1].astype(np.int16)
-        bwt[order == 0] = -1
-        change = np.flatnonzero(bwt[1:] != bwt[:-1]) + 1
-        heads = np.concatenate(([0], change))
-        tails = np.append(change - 1, self.n - 1)
-        self.run_bytes, self.run_lengths = bwt[heads], np.diff(np.append(heads, self.n))
-        self.before = self._samples(text, order, heads, -1)
-        self.after = self._samples(text, order, tails, 1)
-
-    def _samples(self, text: np.ndarray, order: np.ndarray, rows: np.ndarray, step: int) -> tuple[np.ndarray, np.ndarray]:
-        other = rows + step
-        real = (other >= 0) & (other < self.n)
+        # Nothing stands before text position 0: a letter of its own keeps it out of its neighbours' runs.
+        before = text[order - 1].astype(np.int16)
+        before[order == 0] = -1
+        self.heads = np.concatenate(([0], np.flatnonzero(before[1:] != before[:-1]) + 1))
+        self.tails = np.append(self.heads[1:] - 1, len(text) - 1)
+        self.bytes = before[self.heads]
+        self.steps = self._steps()
+        inner = np.flatnonzero((self.bytes >= 0) & (self.bytes < _END))
+        self.above, self.below = np.zeros(len(self.heads), np.int64), np.zeros(len(self.heads), np.int64)
+        self.above[inner] = self._matches(text, order, self.steps[inner], -1)
+        self.below[inner] = self._matches(text, order, (self.steps + self.tails - self.heads)[inner], 1)
+        ends = np.flatnonzero(text == _END)
+        self.sizes = np.diff(ends, prepend=-1) - 1
+        rows = np.flatnonzero(text[order] == _END)
+        self.entry = rows[np.argsort(order[rows])]
+        self.entry_above = self._matches(text, order, self.entry, -1)
+        self.entry_below = self._matches(text, order, self.entry, 1)
+
+    def _steps(self) -> np.ndarray:
+        """Where each run's first row steps to: behind the suffixes of smaller bytes and those of its byte above it."""
+        by = np.argsort(self.bytes, kind="stable")
+        size = np.where(self.bytes < 0, 0, self.tails - self.heads + 1)[by]
+        out = np.empty(len(by), np.int64)
+        out[by] = np.cumsum(size) - size
+        return out
+
+    @staticmethod
+    def _matches(text: np.ndarray, order: np.ndarray, rows: np.ndarray, beside: int) -> np.ndarray:
+        """Length of the match of the suffixes at ``rows`` with those ``beside`` them."""
+        other = rows + beside
+        real = (other >= 0) & (other < len(order))
         length = np.zeros(len(rows), np.int64)
         length[real] = _common(text, order[rows[real]], order[other[real]])
-        by = np.argsort(order[rows])
-        return order[rows][by], length[by]
-
-    def matching_lengths(self) -> np.ndarray:
-        """For every text position the longest match that also starts at another position."""
-        best = np.zeros(self.n, np.int64)
-        position = np.arange(self.n)
-        for where, length in (self.before, self.after):
-            at = np.searchsorted(where, position, side="right") - 1
-            best = np.maximum(best, length[at] - (position - where[at]))
-        return best
+        return length
+
+    def matching_lengths(self) -> list[np.ndarray]:
+        """Per segment and byte the longest match that also starts at another position.
+
+        All segments are streamed in step from their ends to their starts.  With each byte a row steps along its run:
+        inside the run the neighbour steps along and the match grows by one, at the run's first or last row the
+        neighbour is another and the sample holds.
+        """
+        by = np.argsort(-self.sizes, kind="stable")
+        row, up, down, sizes = self.entry[by], self.entry_above[by], self.entry_below[by], self.sizes[by]
+        best = np.zeros((int(sizes.max(initial=0)), len(by)), np.int32)
+        for t in range(len(best)):
+            k = int(np.searchsorted(-sizes, -t, side="left"))
+            now = row[:k]
+            run = np.searchsorted(self.heads, now, side="right") - 1
+            up[:k] = np.where(now > self.heads[run], up[:k] + 1, self.above[run])
+            down[:k] = np.where(now < self.tails[run], down[:k] + 1, self.below[run])
+            row[:k] = self.steps[run] + now - self.heads[run]
+            best[t, :k] = np.maximum(up[:k], down[:k])
+        out: list[np.ndarray] = [np.empty(0, np.int32)] * len(by)
+        for lane, (segment, size) in enumerate(zip(by.tolist(), sizes.tolist())):
+            out[segment] = best[:size, lane][::-1]
+        return out
 
 
 def index_segments(length: int):
     def index(segments: list[tuple[bytes, int]]) -> list[list[tuple[int, int]]]:
         text = np.frombuffer(b"".join(body + bytes([_END]) for body, _ in segments), np.uint8)
-        long_enough = RunLengthIndex(text).matching_lengths() >= length
-        out, at = [], 0
-        for body, windows in segments:
-            out.append(kernels.flagged_runs(long_enough[at : at + windows]))
-            at += len(body) + 1
-        return out
+        found = RunLengthIndex(text).matching_lengths()
+        return [kernels.flagged_runs(longest[:windows] >= length) for longest, (_, windows) in zip(found, segments)]
 
     return index
 
