@@ -8,8 +8,8 @@ those of its lanes together.
 
 The sample is bounded by ``chars`` per language, taken in passages of ``passage`` characters
 from the distinct texts of least hash until it is full or no text is left; everything else
-covers all rows.  At most
-``MAX_LANGUAGES`` labels are learned from, more raise an error.
+covers all rows.  Every label with text is learned from and every letter of a sample has its
+transitions, however many scripts there are; what is broadcast grows with the labels only.
 
 Null texts and texts without a letter are ``und`` with score 0.  Ties go to the first
 language in text order.  Nothing to learn from: every row is ``und``.  The score is one less
@@ -28,9 +28,7 @@ from pyspark.sql import functions as F
 
 from relanom.llm import kernels
 
-LANE = 512
-MAX_LANGUAGES = 64
-CLASSES = 96
+LANE = 8192
 _LETTER = re.compile(r"[^\W\d_]")
 RESULT = "doc_id long, held_out boolean, lang_pred string, score double"
 
@@ -66,35 +64,55 @@ def suffix_automaton(codes: list[int]) -> list[dict[int, int]]:
 
 
 class CrossParser:
-    """Automata of all languages as one dense table [language, state, character class]; 0 is no transition."""
+    """Automata of all languages as one hash table from (state, letter) to state; states are numbered through, a language's root first."""
 
     def __init__(self, samples: dict[str, str]):
         self.languages = sorted(samples)
-        texts = {k: samples[k].lower() for k in self.languages}
-        seen = defaultdict(int)
-        for text in texts.values():
-            for ch in text:
-                if ch.isalpha() and ord(ch) < 0x10000:
-                    seen[ch] += 1
-        letters = sorted(sorted(seen), key=lambda ch: -seen[ch])[: CLASSES - 2]
-        # Class 0 is what is no letter, 1 a letter that no sample has.
-        self.classes = np.zeros(0x10000, np.uint8)
-        self.classes[[i for i in range(0x10000) if chr(i).isalpha()]] = 1
-        for i, ch in enumerate(letters):
-            self.classes[ord(ch)] = i + 2
-        automata = [suffix_automaton(self.codes(texts[k]).tolist()) for k in self.languages]
-        states = max(map(len, automata), default=1)
-        self.table = np.zeros((len(automata), states, len(letters) + 2), np.int32)
-        for table, automaton in zip(self.table, automata):
-            for state, after in enumerate(automaton):
-                for c, to in after.items():
-                    table[state, c] = to
-        self.table[:, :, 1] = 0
-        self.cost = np.array([np.log2(max(2, len(texts[k]))) for k in self.languages])
+        texts = [samples[k].lower() for k in self.languages]
+        # Letters are their own code points, whatever is no letter is one sign.
+        self.signs = np.array([i if chr(i).isalpha() else 0 for i in range(0x110000)], np.int32)
+        self.roots, keys, targets, states = [], [], [], 1
+        for text in texts:
+            self.roots.append(states)
+            for state, after in enumerate(suffix_automaton(self.codes(text).tolist())):
+                keys += [(states + state) << 21 | c for c in after]
+                targets += [states + to for to in after.values()]
+            states = max(targets, default=states) + 1
+        self.bits = max(4, (2 * len(keys)).bit_length())
+        self.keys, self.to = np.full(1 << self.bits, -1, np.int64), np.zeros(1 << self.bits, np.int32)
+        self._store(np.array(keys, np.int64), np.array(targets, np.int32))
+        self.cost = np.array([np.log2(max(2, len(t))) for t in texts])
+
+    def _slots(self, keys: np.ndarray) -> np.ndarray:
+        return ((keys.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - self.bits)).astype(np.int64)
+
+    def _store(self, keys: np.ndarray, targets: np.ndarray) -> None:
+        slot, left = self._slots(keys), np.arange(len(keys))
+        while len(left):
+            free = left[self.keys[slot[left]] < 0]
+            self.keys[slot[free]] = keys[free]
+            placed = self.keys[slot[left]] == keys[left]
+            self.to[slot[left[placed]]] = targets[left[placed]]
+            left = left[~placed]
+            slot[left] = (slot[left] + 1) & ((1 << self.bits) - 1)
+
+    def step(self, states: np.ndarray, signs: np.ndarray) -> np.ndarray:
+        """Next states, 0 where there is no transition."""
+        keys = (states.astype(np.int64) << 21 | signs).ravel()
+        slot = self._slots(keys)
+        found = self.keys[slot]
+        out = np.where(found == keys, self.to[slot], 0)
+        open_ = np.flatnonzero((found != keys) & (found >= 0))
+        while len(open_):
+            slot[open_] = (slot[open_] + 1) & ((1 << self.bits) - 1)
+            found = self.keys[slot[open_]]
+            hit = found == keys[open_]
+            out[open_[hit]] = self.to[slot[open_[hit]]]
+            open_ = open_[~hit & (found >= 0)]
+        return out.reshape(states.shape)
 
     def codes(self, text: str) -> np.ndarray:
-        points = np.frombuffer(text.encode("utf-32-le", "replace"), np.uint32)
-        return np.where(points < 0x10000, self.classes[np.minimum(points, 0xFFFF)], 1)
+        return self.signs[np.frombuffer(text.encode("utf-32-le", "replace"), np.uint32)]
 
     def phrases(self, texts: list[str]) -> np.ndarray:
         """[language, text] counts of longest-match phrases."""
@@ -108,19 +126,18 @@ class CrossParser:
         grid = np.zeros((LANE, len(lanes)), np.int32)
         for k, (n, i, a) in enumerate(lanes):
             grid[:n, k] = codes[i][a : a + n]
-        languages, states, classes = self.table.shape
-        flat = self.table.ravel()
-        base = (np.arange(languages) * states * classes).astype(np.int32)[:, None]
-        state = np.zeros((languages, len(lanes)), np.int32)
-        count = np.zeros((languages, len(lanes)), np.int32)
+        roots = np.array(self.roots, np.int32)[:, None]
+        state = np.broadcast_to(roots, (len(roots), len(lanes))).copy()
+        count = np.zeros(state.shape, np.int32)
         for t in range(sizes[0]):
             k = int(np.searchsorted(-sizes, -t, side="left"))
-            c = grid[t, :k][None, :] + base
-            now = state[:, :k]
-            after = flat[now * classes + c]
-            new = (after == 0) | (now == 0)
-            state[:, :k] = np.where(after == 0, flat[c], after)
-            count[:, :k] += new
+            signs, now = np.broadcast_to(grid[t, :k], (len(roots), k)), state[:, :k]
+            after = self.step(now, signs)
+            ended = after == 0
+            count[:, :k] += ended | (now == roots)
+            # A phrase that ends here leaves this letter to the next one; a letter that the sample lacks is one by itself.
+            after[ended] = self.step(np.broadcast_to(roots, now.shape)[ended], signs[ended])
+            state[:, :k] = np.where(after == 0, roots, after)
         owner = np.array([i for _, i, _ in lanes])
         for total, own in zip(out, count):
             total += np.bincount(owner, own, len(texts)).astype(np.int64)
@@ -145,9 +162,7 @@ def labelled_sample(learn: DataFrame, chars: int, passage: int) -> dict[str, str
     hashed = learn.select("lang", "text", F.xxhash64("text").alias("h"))
     # What each distinct text can give, however many copies it has.
     useful = hashed.groupBy("lang", "h").agg(F.max(F.least(F.length("text"), F.lit(passage)) + 1).alias("chars"))
-    given = {r["lang"]: r["chars"] for r in useful.groupBy("lang").agg(F.sum("chars").alias("chars")).limit(MAX_LANGUAGES + 1).collect()}
-    if len(given) > MAX_LANGUAGES:
-        raise ValueError(f"more than {MAX_LANGUAGES} languages")
+    given = {r["lang"]: r["chars"] for r in useful.groupBy("lang").agg(F.sum("chars").alias("chars")).collect()}
     start = 1 + F.pmod(F.col("h"), F.greatest(F.lit(1), F.length("text") - passage)).cast("int")
     out: dict[str, str] = {}
     # A hash falls below its language's share with a probability that gives about ``times`` the bound in distinct passages; a language that got less draws again.
@@ -187,7 +202,7 @@ def identify(documents: DataFrame, learn: DataFrame | None = None, chars: int =
             for text in texts:
                 held.append(text.as_py())
                 size += len(held[-1] or "")
-                if size > 1 << 20:
+                if size > 1 << 22:
                     found += parser.value.predict(held)
                     held, size = [], 0
             found += parser.value.predict(held)

@@ -3,6 +3,7 @@ import gzip
 import random
 from hashlib import sha1
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -37,6 +38,39 @@ def test_held_out_accuracy(spark):
     assert right > 0.97
 
 
+def test_no_cap_on_letters_or_languages(spark):
+    # 2000 letters in one sample, some beyond U+FFFF, and 100 languages.
+    letters = [chr(0x4E00 + i) for i in range(1500)] + [chr(0x20000 + i) for i in range(500)]
+    r = random.Random(3)
+    samples = {f"l{k:03}": "".join(r.choices("abcdefghijklmnop", k=300)) for k in range(100)} | {"zh": "".join(letters), "rev": "".join(reversed(letters))}
+    parser = language_id.CrossParser(samples)
+    found = parser.predict(["".join(letters[700:900]), "".join(reversed(letters[1600:1900])), samples["l042"][40:160]])
+    assert [k for k, _ in found] == ["zh", "rev", "l042"] and all(score > 0.9 for _, score in found)
+    df = spark.createDataFrame([(i, t, k) for i, (k, t) in enumerate(samples.items())], "doc_id long, text string, lang string")
+    got = language_id.identify(df)
+    assert got.count() == 102 and got.filter("not held_out").select("lang_pred").distinct().count() > 60
+
+
+def test_predictions_match_brute_force():
+    r = random.Random(5)
+    samples = {k: "".join(r.choices(a, k=400)) for k, a in (("x", "abc "), ("y", "abd "), ("z", "αβ "))}
+    texts = ["".join(r.choices("abcdαβ 1", k=r.randrange(1, 300))) for _ in range(40)]
+    parser = language_id.CrossParser(samples)
+    for text, (lang, score) in zip(texts, parser.predict(texts)):
+        if not any(ch.isalpha() for ch in text):
+            assert (lang, score) == ("und", 0.0)
+            continue
+        cost = {}
+        for k, sample in samples.items():
+            clean, rest, n = sample.replace("1", " "), text.replace("1", " "), 0
+            while rest:
+                size = next((i for i in range(len(rest), 0, -1) if rest[:i] in clean), 1)
+                rest, n = rest[size:], n + 1
+            cost[k] = n * np.log2(len(sample))
+        ranked = sorted(cost.items(), key=lambda x: (x[1], x[0]))
+        assert lang == ranked[0][0] and score == pytest.approx(1 - ranked[0][1] / ranked[1][1])
+
+
 def test_language_edges(spark):
     rows = [(1, None, "en"), (2, "", "en"), (3, "123 ?!", None), (4, "x" * 3000, "en"), (None, "hello", "en"), (5, "ß" * 10, None)]
     df = spark.createDataFrame([(*r, 0.5) for r in rows], "doc_id long, text string, lang string, score double")
