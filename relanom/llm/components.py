@@ -27,9 +27,13 @@ def components(edges: DataFrame) -> DataFrame:
     before = _state(edges)
     while True:
         both = scratch.table(edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v"))), "both")
-        large = scratch.table(both.join(_least(both), "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct(), "large")
-        small = large.join(_least(large), "u")
+        least = _least(both)
+        large = scratch.table(both.join(least, "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct(), "large")
+        scratch.drop(both, least, edges)
+        least = _least(large)
+        small = large.join(least, "u")
         edges = scratch.table(small.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(small.select("u", F.col("m").alias("v"))).filter("u <> v").distinct(), "small")
+        scratch.drop(large, least)
         now = _state(edges)
         if now == before:
             break

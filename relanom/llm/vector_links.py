@@ -12,9 +12,9 @@ A pair counts in the first table whose cell it shares, so links are counted once
 listing them: a cell returns per node its number of links and one edge of a spanning forest.
 Cells of more than ``BLOCK`` nodes are compared block against block in separate tasks.
 
-Vectors that are null, empty, zero or hold null or non-finite components link with nothing,
-nor do vectors without a vec_id; vectors of different length do not link.  Repeated rows link
-with each other.
+Vectors that are null, empty, zero or hold null or non-finite components link with nothing;
+vectors of different length do not link.  Repeated rows link with each other.  A row without a
+vec_id links like any other; a component is named by its least vec_id, null if it has none.
 """
 
 from __future__ import annotations
@@ -33,7 +33,7 @@ BLOCK = 1024
 PROJECTIONS = 24
 MISS = 1e-3
 SEED = 20_11
-_FOUND = "rep long, h long, links long, root_rep long, root_h long"
+_FOUND = "h long, g long, links long, root_h long, root_g long"
 
 
 def plan_tables(nodes: int, cosine: float) -> tuple[int, int]:
@@ -74,8 +74,8 @@ def collisions(projected: np.ndarray, width: float) -> np.ndarray:
     return counts
 
 
-def cell_links(unit: np.ndarray, codes: np.ndarray, table: int, side: np.ndarray | None, cosine: float) -> tuple[np.ndarray, np.ndarray]:
-    """Linked pairs (i, j), i < j, of a cell that share no earlier table's cell; with ``side``, pairs across sides only."""
+def cell_links(unit: np.ndarray, earlier: np.ndarray, side: np.ndarray | None, cosine: float) -> tuple[np.ndarray, np.ndarray]:
+    """Linked pairs (i, j), i < j, of a cell that share no cell of the ``earlier`` tables; with ``side``, pairs across sides only."""
     width, least = least_count(cosine)
     counts = collisions(unit @ directions(unit.shape[1], PROJECTIONS, 1), width)
     i, j = np.nonzero(np.triu(counts >= least, 1))
@@ -86,7 +86,7 @@ def cell_links(unit: np.ndarray, codes: np.ndarray, table: int, side: np.ndarray
         return i, j
     good = np.concatenate([np.einsum("ij,ij->i", unit[i[a : a + 65536]], unit[j[a : a + 65536]]) >= cosine for a in range(0, len(i), 65536)])
     i, j = i[good], j[good]
-    new = ~(codes[i, :table] == codes[j, :table]).any(axis=1)
+    new = ~(earlier[i] == earlier[j]).any(axis=1)
     return i[new], j[new]
 
 
@@ -107,9 +107,18 @@ def forest(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
     return np.array([find(x) for x in range(n)])
 
 
+def cells(raw: np.ndarray, bits: int, tables: int, upto: int) -> np.ndarray:
+    """[vector, table] cells of the first ``upto`` tables: the signs of ``bits`` projections each."""
+    signs = (raw @ directions(raw.shape[1], max(1, bits * tables), 0)) > 0
+    codes = np.zeros((len(raw), upto), np.int64)
+    for b in range(bits):
+        codes = codes << 1 | signs[:, b * tables : b * tables + upto]
+    return codes
+
+
 def _dealt(nodes: DataFrame, bits: int, tables: int) -> DataFrame:
-    """(cell, rep, h, n, vector, codes) of every node in every table; a cell's key has the table in its first place."""
-    schema = pa.schema([("tab", pa.int32()), ("dim", pa.int32()), ("cell", pa.int64()), ("rep", pa.int64()), ("h", pa.int64()), ("n", pa.int64()), ("vector", pa.binary()), ("codes", pa.binary())])
+    """(tab, dim, cell, h, g, n, vector) of every node in every table."""
+    schema = pa.schema([("tab", pa.int32()), ("dim", pa.int32()), ("cell", pa.int64()), ("h", pa.int64()), ("g", pa.int64()), ("n", pa.int64()), ("vector", pa.binary())])
 
     def run(batches):
         for batch in batches:
@@ -117,16 +126,39 @@ def _dealt(nodes: DataFrame, bits: int, tables: int) -> DataFrame:
             for dim in np.unique(sizes).tolist():
                 part = batch.filter(pa.array(sizes == dim))
                 raw = np.asarray(part.column("vector").flatten(), np.float64).reshape(-1, dim)
-                signs = (raw @ directions(dim, max(1, bits * tables), 0)) > 0
-                codes = np.zeros((len(raw), tables), np.int64)
-                for b in range(bits):
-                    codes = codes << 1 | signs[:, b * tables : (b + 1) * tables]
-                plain = [x.tobytes() for x in raw]
-                kept = [x.tobytes() for x in codes]
+                codes = cells(raw, bits, tables, tables)
+                plain = pa.array([x.tobytes() for x in raw], pa.binary())
                 for t in range(tables):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(raw), t, np.int32)), pa.array(np.full(len(raw), dim, np.int32)), pa.array(codes[:, t]), part.column("rep"), part.column("h"), part.column("n"), pa.array(plain, pa.binary()), pa.array(kept, pa.binary())], schema=schema)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(raw), t, np.int32)), pa.array(np.full(len(raw), dim, np.int32)), pa.array(codes[:, t]), part.column("h"), part.column("g"), part.column("n"), plain], schema=schema)
+
+    return nodes.select("h", "g", "n", "vector").mapInArrow(run, "tab int, dim int, cell long, h long, g long, n long, vector binary")
+
+
+class _Cell:
+    """The rows of one task key, gathered over batches."""
+
+    def __init__(self, key: tuple):
+        self.key, self.parts = key, []
 
-    return nodes.select("rep", "h", "n", "vector").mapInArrow(run, "tab int, dim int, cell long, rep long, h long, n long, vector binary, codes binary")
+    def add(self, columns: dict[str, np.ndarray], vectors: np.ndarray, a: int, b: int) -> None:
+        self.parts.append(({c: v[a:b] for c, v in columns.items()}, vectors))
+
+    def found(self, bits: int, tables: int, cosine: float) -> pa.RecordBatch | None:
+        table, dim, _, first, second = self.key
+        of = lambda c: np.concatenate([p[0][c] for p in self.parts])
+        raw = np.concatenate([p[1] for p in self.parts]).reshape(-1, dim)
+        if len(raw) < 2:
+            return None
+        unit = raw / np.linalg.norm(raw, axis=1, keepdims=True)
+        # Cells of earlier tables are worked out again: cheaper than to carry them through the shuffle.
+        i, j = cell_links(unit, cells(raw, bits, tables, table), of("block") if first != second else None, cosine)
+        if not len(i):
+            return None
+        size, h, g = of("n"), of("h"), of("g")
+        count = (np.bincount(i, size[j], len(raw)) + np.bincount(j, size[i], len(raw))).astype(np.int64)
+        at = np.flatnonzero(count)
+        root = forest(len(raw), i, j)[at]
+        return pa.RecordBatch.from_arrays([pa.array(x) for x in (h[at], g[at], count[at], h[root], g[root])], names=[x.split()[0] for x in _FOUND.split(", ")])
 
 
 def links(nodes: DataFrame, cosine: float) -> DataFrame:
@@ -136,60 +168,56 @@ def links(nodes: DataFrame, cosine: float) -> DataFrame:
     large = dealt.groupBy("tab", "dim", "cell").agg(F.count("*").alias("size")).filter(F.col("size") > BLOCK)
     large = scratch.table(large.withColumn("blocks", F.ceil(F.col("size") / BLOCK)).drop("size"), "cells")
     split = dealt.join(large, ["tab", "dim", "cell"], "left").withColumn("blocks", F.coalesce("blocks", F.lit(1).cast("long")))
-    split = split.withColumn("block", F.pmod(F.xxhash64("rep", "h"), "blocks")).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    split = split.withColumn("block", F.pmod(F.xxhash64("h", "g"), "blocks")).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
     split = split.withColumn("i", F.least("block", "other")).withColumn("j", F.greatest("block", "other")).drop("other", "blocks")
     key = ["tab", "dim", "cell", "i", "j"]
-    schema = pa.schema([(x.split()[0], pa.int64()) for x in _FOUND.split(", ")])
 
-    def rows(batches):
-        at, held = None, []
+    def run(batches):
+        held = None
         for batch in batches:
-            columns = [batch.column(c).to_pylist() for c in (*key, "rep", "h", "n", "vector", "codes", "block")]
-            for *k, rep, h, n, vector, codes, block in zip(*columns):
-                if k != at:
-                    yield from found(at, held)
-                    at, held = k, []
-                held.append((rep, h, n, vector, codes, block))
-        yield from found(at, held)
-
-    def found(at, held):
-        if len(held) < 2:
-            return
-        raw = np.frombuffer(b"".join(x[3] for x in held), np.float64).reshape(len(held), -1)
-        unit = raw / np.linalg.norm(raw, axis=1, keepdims=True)
-        codes = np.frombuffer(b"".join(x[4] for x in held), np.int64).reshape(len(held), -1)
-        side = np.array([x[5] for x in held]) if at[3] != at[4] else None
-        i, j = cell_links(unit, codes, at[0], side, cosine)
-        if not len(i):
-            return
-        size = np.array([x[2] for x in held])
-        count = np.bincount(i, size[j], len(held)) + np.bincount(j, size[i], len(held))
-        root = forest(len(held), i, j)
-        for x in np.flatnonzero(count).tolist():
-            yield held[x][0], held[x][1], int(count[x]), held[root[x]][0], held[root[x]][1]
+            columns = {c: batch.column(c).to_numpy() for c in (*key, "h", "g", "n", "block")}
+            vector = batch.column("vector")
+            ends = np.frombuffer(vector.buffers()[1], np.int32)[vector.offset : vector.offset + len(vector) + 1] // 8
+            values = np.frombuffer(vector.buffers()[2] or b"", np.float64, int(ends[-1]))
+            change = np.any([columns[c][1:] != columns[c][:-1] for c in key], axis=0)
+            starts = np.concatenate(([0], np.flatnonzero(change) + 1, [batch.num_rows])).tolist()
+            for a, b in zip(starts, starts[1:]):
+                if a == b:
+                    continue
+                k = tuple(int(columns[c][a]) for c in key)
+                if held is None or held.key != k:
+                    if held and (out := held.found(bits, tables, cosine)):
+                        yield out
+                    held = _Cell(k)
+                held.add(columns, values[ends[a] : ends[b]], a, b)
+        if held and (out := held.found(bits, tables, cosine)):
+            yield out
 
     dealt = split.repartition(*key).sortWithinPartitions(*key)
-    return dealt.mapInArrow(lambda b: kernels.row_batches(rows(b), schema), _FOUND)
+    return dealt.mapInArrow(run, _FOUND)
 
 
 def link_vectors(vectors: DataFrame, cosine: float = 0.9) -> DataFrame:
     """vec_id, n_links, component_id and kept of every row of ``vectors`` (vec_id, embedding)."""
     rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("vector"))
-    # Zeros of either sign are one component, so that equal vectors group.
-    fit = F.expr("vec_id is not null and vector is not null and size(vector) > 0 and forall(vector, x -> x is not null and not isnan(x) and abs(x) < double('infinity')) and exists(vector, x -> x <> 0)")
+    fit = F.expr("vector is not null and size(vector) > 0 and forall(vector, x -> x is not null and not isnan(x) and abs(x) < double('infinity')) and exists(vector, x -> x <> 0)")
+    # Zeros of either sign are one component, so that equal vectors group. Two hashes with different seeds name a vector.
     rows = rows.withColumn("fit", F.coalesce(fit, F.lit(False))).withColumn("vector", F.when(F.col("fit"), F.expr("transform(vector, x -> x + 0d)")))
-    rows = rows.withColumn("h", F.xxhash64("vector"))
-    nodes = scratch.table(rows.filter("fit").groupBy("vector", "h").agg(F.min("vec_id").alias("rep"), F.count("*").alias("n")), "vectors")
+    rows = rows.withColumn("h", F.xxhash64("vector")).withColumn("g", F.xxhash64(F.lit("second"), F.reverse("vector")))
+    nodes = scratch.table(rows.filter("fit").groupBy("h", "g").agg(F.min("vec_id").alias("rep"), F.count("*").alias("n"), F.first("vector").alias("vector")), "vectors")
     found = scratch.table(links(nodes, cosine), "found")
-    count = found.groupBy("rep", "h").agg(F.sum("links").alias("links"))
-    node = lambda a, b: F.struct(F.col(a).alias("rep"), F.col(b).alias("h"))
-    roots = components.components(found.select(node("rep", "h").alias("u"), node("root_rep", "root_h").alias("v")))
-    roots = roots.select(F.col("node.rep").alias("rep"), F.col("node.h").alias("h"), F.col("root.rep").alias("root"))
-    summed = nodes.join(count, ["rep", "h"], "left").join(roots, ["rep", "h"], "left").select("vector", F.col("h").alias("k"), (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("links"), F.coalesce("root", "rep").alias("root"))
-    summed = scratch.table(summed, "summed")
-    joined = rows.join(summed.withColumnRenamed("vector", "v"), (F.col("h") == F.col("k")) & (F.col("vector") == F.col("v")) & F.col("fit"), "left")
-    component = F.coalesce("root", "vec_id")
-    return joined.select("vec_id", F.coalesce("links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(False)).alias("kept"))
+    count = found.groupBy("h", "g").agg(F.sum("links").alias("links"))
+    node = lambda a, b: F.struct(F.col(a).alias("h"), F.col(b).alias("g"))
+    roots = scratch.table(components.components(found.select(node("h", "g").alias("u"), node("root_h", "root_g").alias("v"))), "roots")
+    named = nodes.select(node("h", "g").alias("node"), "rep", "n").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    named = scratch.table(named, "named")
+    least = scratch.table(named.groupBy("root").agg(F.min("rep").alias("component_id")), "least")
+    summed = named.join(least, "root").select("node.*", "n", "component_id").join(count, ["h", "g"], "left")
+    summed = scratch.table(summed.select("h", "g", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).cast("long").alias("n_links"), "component_id"), "summed")
+    scratch.drop(nodes, found, roots, named, least)
+    joined = rows.withColumn("h", F.when(F.col("fit"), F.col("h"))).join(summed, ["h", "g"], "left")
+    component = F.when(F.col("fit"), F.col("component_id")).otherwise(F.col("vec_id"))
+    return joined.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(False)).alias("kept"))
 
 
 def op10_collision_counting(spark, sf_dir: str) -> DataFrame:
