@@ -211,12 +211,13 @@ def _heavy_marks(bodies: DataFrame, windowing: Windowing) -> DataFrame:
     blocks = scratch.table(blocks, "blocks")
     texts = scratch.table(blocks.groupBy("text", "core").agg(F.count("*").alias("n"), F.min(F.struct("segment", "a", "b", "whole")).alias("one")), "texts")
     settled = blocks.filter("not whole").join(texts.filter("n > 1").select("text"), "text", "left_semi").select("segment", "a", "b")
-    near = texts.groupBy("core").count().filter("count > 1").select("core")
+    # Written, so that the join by core is not tied to the partitioning of this count and a common core can be split.
+    near = scratch.table(texts.groupBy("core").count().filter("count > 1").select("core"), "near")
     open_ = texts.join(near, "core", "left_semi").select("one.segment", F.struct("one.a", "one.b", (~F.col("one.whole") & (F.col("n") == 1)).alias("mark")).alias("block"))
     per_segment = open_.groupBy("segment").agg(F.collect_list("block").alias("blocks"))
     listed = bodies.select("segment", "body").join(per_segment, "segment").mapInArrow(_listed(windowing), "segment binary, mark boolean, a int, window binary")
     listed = scratch.table(listed.distinct(), "listed")
-    often = listed.groupBy("window").count().filter("count > 1").select("window")
+    often = scratch.table(listed.groupBy("window").count().filter("count > 1").select("window"), "often")
     return settled.unionByName(listed.filter("mark").join(often, "window", "left_semi").select("segment", "a", (F.col("a") + 1).alias("b")))
 
 
@@ -254,7 +255,8 @@ def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: i
     whole = distinct.filter("n > 1").select("segment", F.lit(0).alias("a"), F.col("windows").alias("b"))
     marks = scratch.table(marks.unionByName(whole), "marks")
     spans = segments.join(marks, "segment").select("doc_id", "th", (F.col("start") + F.col("a")).alias("a"), (F.col("start") + F.col("b")).alias("b"))
-    return spans.groupBy("doc_id", "th").agg(F.collect_list(F.struct("a", "b")).alias("spans"))
+    # Rows that repeat under one id give each span once per row; a set holds it once.
+    return spans.groupBy("doc_id", "th").agg(F.collect_set(F.struct("a", "b")).alias("spans"))
 
 
 def with_spans(documents: DataFrame, spans: DataFrame) -> DataFrame:

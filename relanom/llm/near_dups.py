@@ -12,8 +12,9 @@ band's bucket every node is compared with the bucket's first; that joins groups
 with as many comparisons as members.  Buckets that still hold nodes of several classes are
 then compared in full, without listing pairs: blocks of ``BLOCK`` nodes meet in one task,
 signature against signature, and a pair of different classes that agrees in enough places and
-in no earlier band is compared exactly there.  Each link found makes its two classes one, so
-a task returns fewer links than it has nodes.
+in no earlier band is compared exactly there.  Nodes of a bucket's largest class meet the
+others only, not each other, so a large group of copies with a few strangers stays linear.
+Each link found makes its two classes one, so a task returns fewer links than it has nodes.
 
 Words are as in ``decontaminate``; a text of fewer than five is one shingle.  Texts without
 words, null ones too, are classes of their own.  A class is named by its least doc_id, null
@@ -157,19 +158,32 @@ def _verify(pairs: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
     return both.select("u", "v", "x", "y").mapInArrow(lambda b: kernels.row_batches(rows(b), _LINKS), "u binary, v binary").distinct()
 
 
+def _dealt(members: DataFrame) -> DataFrame:
+    """Each member in every task (bucket, band, kind, i, j) it is compared in; ``side`` tells the two sides of a task apart.
+
+    Kind 0 sets block i of the largest class against block j of the rest, kind 1 two blocks of the rest against each other.
+    """
+    major = F.col("class") == F.col("major")
+    members = members.withColumn("own", F.pmod(F.xxhash64("node"), F.when(major, F.col("major_blocks")).otherwise(F.col("rest_blocks"))))
+    upto = lambda c: F.sequence(F.lit(0).cast("long"), F.col(c) - 1)
+    task = lambda kind, i, j, side: F.struct(F.lit(kind).alias("kind"), i.alias("i"), j.alias("j"), side.alias("side"))
+    own, one, zero = F.col("own"), F.lit(1).cast("long"), F.lit(0).cast("long")
+    of_major = F.transform(upto("rest_blocks"), lambda j: task(0, own, j, one))
+    of_rest = F.concat(F.transform(upto("major_blocks"), lambda i: task(0, i, own, zero)), F.transform(upto("rest_blocks"), lambda o: task(1, F.least(own, o), F.greatest(own, o), own)))
+    return members.select("band", "bucket", "node", "class", "signature", "text", F.explode(F.when(major, of_major).otherwise(of_rest)).alias("task")).select("*", "task.*").drop("task")
+
+
 def _block_links(members: DataFrame, similarity: float) -> DataFrame:
-    """Links (u, v) between classes within buckets (band, bucket, blocks, node, class, signature, text)."""
+    """Links (u, v) between classes within buckets (band, bucket, major, major_blocks, rest_blocks, node, class, signature, text)."""
     # Three deviations below the expected number of agreeing places.
     enough = PLACES * similarity - 3 * (PLACES * similarity * (1 - similarity)) ** 0.5
-    members = members.withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")))
-    dealt = members.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
-    dealt = dealt.select("band", "bucket", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "node", "class", "signature", "block", "text")
-    dealt = dealt.repartition("bucket", "i", "j").sortWithinPartitions("bucket", "band", "i", "j", "node")
+    key_columns = ["bucket", "band", "kind", "i", "j"]
+    dealt = _dealt(members).repartition("bucket", "kind", "i", "j").sortWithinPartitions(*key_columns, "node")
 
     def rows(batches):
         key, held = None, []
         for batch in batches:
-            columns = [batch.column(c).to_pylist() for c in ("bucket", "band", "i", "j", "node", "class", "signature", "block", "text")]
+            columns = [batch.column(c).to_pylist() for c in (*key_columns, "node", "class", "signature", "side", "text")]
             for *k, node, name, signature, own, text in zip(*columns):
                 if k != key:
                     yield from compare(held, key)
@@ -181,7 +195,8 @@ def _block_links(members: DataFrame, similarity: float) -> DataFrame:
     def compare(held, key):
         if len(held) < 2:
             return
-        _, band, first, second = key
+        _, band, kind, first, second = key
+        across = kind == 0 or first != second
         signs, root, sets = np.stack([x[2] for x in held]), {}, {}
         bands = signs[:, : PLACES // ROWS * ROWS].reshape(len(held), -1, ROWS)
 
@@ -200,7 +215,7 @@ def _block_links(members: DataFrame, similarity: float) -> DataFrame:
             near = np.flatnonzero(agree >= enough)
             for j in (near[np.argsort(-agree[near], kind="stable")] + i + 1).tolist():
                 a, b = find(name), find(held[j][1])
-                if a == b or (first != second and held[j][3] == own) or (bands[i, :band] == bands[j, :band]).all(axis=1).any():
+                if a == b or (across and held[j][3] == own) or (bands[i, :band] == bands[j, :band]).all(axis=1).any():
                     continue
                 if probability_jaccard(set_of(i), set_of(j)) >= similarity - 1e-12:
                     root[max(a, b)] = min(a, b)
@@ -222,12 +237,16 @@ def node_classes(documents: DataFrame, similarity: float = SIMILARITY) -> tuple[
     texts = scratch.table(_texts(members.select("node"), documents, nodes), "texts")
     links = scratch.table(_verify(pairs, texts, similarity), "links")
     roots = scratch.table(components.components(links), "roots")
-    named = scratch.table(members.join(roots, "node", "left").select("band", "bucket", "n", "node", F.coalesce("root", "node").alias("class")), "named")
-    open_ = named.groupBy("band", "bucket").agg(F.min("class").alias("a"), F.max("class").alias("b"), F.max("n").alias("n")).filter("a <> b").select("band", "bucket", F.ceil(F.col("n") / BLOCK).alias("blocks"))
-    left = named.drop("n").join(scratch.table(open_, "open"), ["band", "bucket"]).join(nodes.select("node", "signature"), "node").join(texts, "node")
+    named = scratch.table(members.join(roots, "node", "left").select("band", "bucket", "node", F.coalesce("root", "node").alias("class")), "named")
+    sizes = named.groupBy("band", "bucket", "class").agg(F.count("*").alias("n"))
+    largest = sizes.groupBy("band", "bucket").agg(F.max(F.struct("n", "class")).alias("top"), F.sum("n").alias("all")).filter(F.col("all") > F.col("top.n"))
+    open_ = scratch.table(largest.select("band", "bucket", F.col("top.class").alias("major"), F.ceil(F.col("top.n") / BLOCK).alias("major_blocks"), F.ceil((F.col("all") - F.col("top.n")) / BLOCK).alias("rest_blocks")), "open")
+    left = named.join(open_, ["band", "bucket"]).join(nodes.select("node", "signature"), "node").join(texts, "node")
     more = scratch.table(_block_links(left, similarity).distinct(), "more")
     if more.limit(1).count():
+        scratch.drop(roots)
         roots = scratch.table(components.components(links.unionByName(more)), "roots")
+    scratch.drop(nodes, buckets, members, pairs, texts, links, named, open_, more)
     return signs, roots
 
 
@@ -236,13 +255,15 @@ def classes(documents: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     signs, roots = node_classes(documents, similarity)
     rooted = signs.select("doc_id", "th", "node").join(roots, "node", "left").withColumn("class", F.coalesce("root", "node"))
     rooted = scratch.table(rooted.select("doc_id", "th", "class"), "rooted")
+    scratch.drop(signs, roots)
     least = scratch.table(rooted.filter("class is not null").groupBy("class").agg(F.min("doc_id").alias("class_id")), "least")
     return rooted.join(least, "class", "left").select("doc_id", "th", "class", F.when(F.col("class").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"))
 
 
 def deduplicated(documents: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """The documents, all columns, one row of each class: that with the least doc_id."""
-    named = classes(documents, similarity)
+    # Written, so that the join that names the classes is not tied to the grouping below and a large class can be split.
+    named = scratch.table(classes(documents, similarity), "classes")
     # Several rows can share the least id (or have none); equal texts among them are one, others are told apart by their hash.
     keepers = named.filter("class is not null and (doc_id = class_id or (doc_id is null and class_id is null))").groupBy("class").agg(F.first("doc_id").alias("k_id"), F.min("th").alias("k_th")).select("k_id", "k_th")
     keepers = keepers.unionByName(named.filter("class is null").select(F.col("doc_id").alias("k_id"), F.col("th").alias("k_th")).distinct())
