@@ -29,19 +29,21 @@ from pyspark.sql import functions as F
 from relanom.llm import kernels
 
 LANE = 8192
+DENSE = 1 << 22
 _LETTER = re.compile(r"[^\W\d_]")
 RESULT = "doc_id long, held_out boolean, lang_pred string, score double"
 
 
-def suffix_automaton(codes: list[int]) -> list[dict[int, int]]:
-    """Transitions of the automaton that accepts every substring of ``codes``; state 0 is the root."""
+def suffix_automaton(codes: list[int]) -> tuple[list[dict[int, int]], np.ndarray]:
+    """Transitions of the automaton that accepts every substring of ``codes``, root 0, and how often each state's substrings occur."""
     after: list[dict[int, int]] = [{}]
-    link, size, last = [-1], [0], 0
+    link, size, often, last = [-1], [0], [0], 0
     for c in codes:
         now = len(after)
         after.append({})
         size.append(size[last] + 1)
         link.append(0)
+        often.append(1)
         p = last
         while p >= 0 and c not in after[p]:
             after[p][c] = now
@@ -55,38 +57,62 @@ def suffix_automaton(codes: list[int]) -> list[dict[int, int]]:
                 after.append(dict(after[q]))
                 size.append(size[p] + 1)
                 link.append(link[q])
+                often.append(0)
                 while p >= 0 and after[p].get(c) == q:
                     after[p][c] = twin
                     p = link[p]
                 link[q] = link[now] = twin
         last = now
-    return after
+    for state in sorted(range(1, len(after)), key=lambda x: -size[x]):
+        often[link[state]] += often[state]
+    return after, np.array(often)
 
 
 class CrossParser:
-    """Automata of all languages as one hash table from (state, letter) to state; states are numbered through, a language's root first."""
+    """Automata of all languages with their states numbered through.
+
+    The states whose substrings occur most often have a row of a dense table, about ``DENSE`` entries in all languages
+    together; the transitions of all others are in one hash table from (state, letter) to state.
+    """
 
     def __init__(self, samples: dict[str, str]):
         self.languages = sorted(samples)
         texts = [samples[k].lower() for k in self.languages]
-        # Letters are their own code points, whatever is no letter is one sign.
-        self.signs = np.array([i if chr(i).isalpha() else 0 for i in range(0x110000)], np.int32)
-        self.roots, keys, targets, states = [], [], [], 1
-        for text in texts:
-            self.roots.append(states)
-            for state, after in enumerate(suffix_automaton(self.codes(text).tolist())):
-                keys += [(states + state) << 21 | c for c in after]
-                targets += [states + to for to in after.values()]
-            states = max(targets, default=states) + 1
-        self.bits = max(4, (2 * len(keys)).bit_length())
-        self.keys, self.to = np.full(1 << self.bits, -1, np.int64), np.zeros(1 << self.bits, np.int32)
-        self._store(np.array(keys, np.int64), np.array(targets, np.int32))
+        letters = sorted({ch for t in texts for ch in t if ch.isalpha()})
+        # Sign 0 is whatever is no letter, 1 a letter that no sample has.
+        self.signs = np.array([chr(i).isalpha() for i in range(0x110000)], np.int32)
+        self.signs[[ord(ch) for ch in letters]] = np.arange(2, len(letters) + 2)
+        self.width = len(letters) + 2
+        automata = [suffix_automaton(self.codes(t).tolist()) for t in texts]
+        rows = max(1, DENSE // (self.width * max(1, len(automata))))
+        numbers, self.dense_states = [], 1
+        for after, often in automata:
+            rank = np.empty(len(after), np.int64)
+            often[0] = len(after) + 1 + often.max(initial=0)
+            rank[np.argsort(-often, kind="stable")] = np.arange(len(after))
+            numbers.append(rank)
+            self.dense_states += min(rows, len(after))
+        first, beyond, edges = 1, self.dense_states, []
+        self.roots = []
+        for (after, _), rank in zip(automata, numbers):
+            kept = min(rows, len(after))
+            number = np.where(rank < kept, rank + first, rank - kept + beyond)
+            self.roots.append(int(number[0]))
+            edges += [(int(number[state]), c, int(number[to])) for state, out in enumerate(after) for c, to in out.items()]
+            first, beyond = first + kept, beyond + len(after) - kept
+        at = np.array(edges, np.int64).reshape(-1, 3)
+        self.dense = np.zeros(self.dense_states * self.width, np.int32)
+        inside = at[:, 0] < self.dense_states
+        self.dense[at[inside, 0] * self.width + at[inside, 1]] = at[inside, 2]
+        self._store(at[~inside, 0] * self.width + at[~inside, 1], at[~inside, 2].astype(np.int32))
         self.cost = np.array([np.log2(max(2, len(t))) for t in texts])
 
     def _slots(self, keys: np.ndarray) -> np.ndarray:
         return ((keys.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - self.bits)).astype(np.int64)
 
     def _store(self, keys: np.ndarray, targets: np.ndarray) -> None:
+        self.bits = max(4, (2 * len(keys)).bit_length())
+        self.keys, self.to = np.full(1 << self.bits, -1, np.int64), np.zeros(1 << self.bits, np.int32)
         slot, left = self._slots(keys), np.arange(len(keys))
         while len(left):
             free = left[self.keys[slot[left]] < 0]
@@ -96,20 +122,23 @@ class CrossParser:
             left = left[~placed]
             slot[left] = (slot[left] + 1) & ((1 << self.bits) - 1)
 
+    def _looked_up(self, keys: np.ndarray) -> np.ndarray:
+        slot, out, left = self._slots(keys), np.zeros(len(keys), np.int32), np.arange(len(keys))
+        while len(left):
+            found = self.keys[slot[left]]
+            hit = left[found == keys[left]]
+            out[hit] = self.to[slot[hit]]
+            left = left[(found != keys[left]) & (found >= 0)]
+            slot[left] = (slot[left] + 1) & ((1 << self.bits) - 1)
+        return out
+
     def step(self, states: np.ndarray, signs: np.ndarray) -> np.ndarray:
-        """Next states, 0 where there is no transition."""
-        keys = (states.astype(np.int64) << 21 | signs).ravel()
-        slot = self._slots(keys)
-        found = self.keys[slot]
-        out = np.where(found == keys, self.to[slot], 0)
-        open_ = np.flatnonzero((found != keys) & (found >= 0))
-        while len(open_):
-            slot[open_] = (slot[open_] + 1) & ((1 << self.bits) - 1)
-            found = self.keys[slot[open_]]
-            hit = found == keys[open_]
-            out[open_[hit]] = self.to[slot[open_[hit]]]
-            open_ = open_[~hit & (found >= 0)]
-        return out.reshape(states.shape)
+        """Next states, 0 where there is no transition; ``signs`` are broadcast against the states."""
+        out = self.dense[np.minimum(states, self.dense_states - 1) * self.width + signs]
+        rare = np.nonzero(states >= self.dense_states)
+        if len(rare[0]):
+            out[rare] = self._looked_up(states[rare] * self.width + np.broadcast_to(signs, states.shape)[rare])
+        return out
 
     def codes(self, text: str) -> np.ndarray:
         return self.signs[np.frombuffer(text.encode("utf-32-le", "replace"), np.uint32)]
@@ -126,18 +155,19 @@ class CrossParser:
         grid = np.zeros((LANE, len(lanes)), np.int32)
         for k, (n, i, a) in enumerate(lanes):
             grid[:n, k] = codes[i][a : a + n]
-        roots = np.array(self.roots, np.int32)[:, None]
+        roots = np.array(self.roots, np.int64)[:, None]
+        fresh = roots * self.width
         state = np.broadcast_to(roots, (len(roots), len(lanes))).copy()
         count = np.zeros(state.shape, np.int32)
         for t in range(sizes[0]):
             k = int(np.searchsorted(-sizes, -t, side="left"))
-            signs, now = np.broadcast_to(grid[t, :k], (len(roots), k)), state[:, :k]
+            signs, now = grid[t, :k], state[:, :k]
             after = self.step(now, signs)
             ended = after == 0
             count[:, :k] += ended | (now == roots)
             # A phrase that ends here leaves this letter to the next one; a letter that the sample lacks is one by itself.
-            after[ended] = self.step(np.broadcast_to(roots, now.shape)[ended], signs[ended])
-            state[:, :k] = np.where(after == 0, roots, after)
+            anew = self.dense[fresh + signs]
+            state[:, :k] = np.where(ended, np.where(anew == 0, roots, anew), after)
         owner = np.array([i for _, i, _ in lanes])
         for total, own in zip(out, count):
             total += np.bincount(owner, own, len(texts)).astype(np.int64)
