@@ -7,15 +7,21 @@ its payload digest and have digests of their own; ids are name-based, so a retri
 writes the same records.
 
 A null or empty payload gives empty text and no outlinks; a null target keeps its records and
-leaves out the header lines.  Repeated rows give repeated records of equal id.
+leaves out the header lines.  Repeated rows give repeated records of equal id; other columns,
+whatever their names, are left behind, an empty table gives no records.  White space and control
+characters of a target are percent-encoded in header lines; the column keeps the target as it is.
+A page is scanned once from left to right, so its time grows with its length only.
 """
 
 from __future__ import annotations
 
 import base64
+import gzip
 import html
+import io
 import re
 import uuid
+import zlib
 from collections.abc import Iterator
 from hashlib import sha1
 
@@ -26,12 +32,14 @@ from pyspark.sql import functions as F
 from relanom.llm import kernels
 
 DATE = "1970-01-01T00:00:00Z"
-_DROP = re.compile(r"<!--.*?-->|<(script|style|noscript|template)\b[^>]*>.*?</\1\s*>", re.S | re.I)
-_BREAK = re.compile(r"</?(?:p|div|br|li|ul|ol|tr|table|h[1-6]|section|article|nav|header|footer|title|head|body|blockquote|pre|hr|td|th)\b[^>]*>", re.I)
-_TAG = re.compile(r"<[^>]*>")
-_TITLE = re.compile(r"<title\b[^>]*>(.*?)</title", re.S | re.I)
-_LINK = re.compile(r"""<a\b[^>]*?\bhref\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]+))""", re.I)
+#: Elements whose content is no text; each with what closes it.
+_DROP = {name: re.compile(rf"</{name}\s*>", re.I) for name in ("script", "style", "noscript", "template")}
+_BREAK = set("p div br li ul ol tr table h1 h2 h3 h4 h5 h6 section article nav header footer title head body blockquote pre hr td th".split())
+_NAME = re.compile(r"</?([A-Za-z][A-Za-z0-9]*)(?!\w)")
+_HREF = re.compile(r"""<a\b[^>]*?\bhref\s*=\s*(?:"([^">]*)"|'([^'>]*)'|([^\s>]+))""", re.I)
+_TITLE = re.compile(r"<title\b[^>]*>", re.I), re.compile(r"</title", re.I)
 _SPACE = re.compile(r"[ \t\r\f\v\xa0]+")
+_UNSAFE = re.compile(r"[\x00-\x20\x7f]")
 SCHEMA = "page_id long, warc_type string, record_id string, refers_to string, target_uri string, source_digest string, block_digest string, content_length long, header string, block string"
 
 
@@ -43,19 +51,66 @@ def record_id(*parts: str) -> str:
     return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, chr(0).join(parts))}>"
 
 
+def scan(page: str) -> tuple[list[str], list[str]]:
+    """(pieces of text and white space for tags, link targets), in one pass from left to right.
+
+    Comments and the content of ``_DROP`` elements are skipped if they are closed; what is searched for in vain once is
+    not searched for again, so the time is in proportion to the page.
+    """
+    pieces, links, at, missing = [], [], 0, set()
+    while (start := page.find("<", at)) >= 0:
+        pieces.append(page[at:start])
+        if page.startswith("<!--", start) and "comment" not in missing:
+            end = page.find("-->", start + 4)
+            if end >= 0:
+                pieces.append(" ")
+                at = end + 3
+                continue
+            missing.add("comment")
+        end = page.find(">", start)
+        if end < 0:
+            return [*pieces, page[start:]], links
+        name = _NAME.match(page, start)
+        kind = name[1].lower() if name else ""
+        if kind in _DROP and kind not in missing and page[start + 1] != "/":
+            close = _DROP[kind].search(page, end + 1)
+            if close:
+                pieces.append(" ")
+                at = close.end()
+                continue
+            missing.add(kind)
+        if kind == "a" and (link := _HREF.match(page, start, end + 1)):
+            links.append(link[1] or link[2] or link[3] or "")
+        pieces.append("\n" if kind in _BREAK else " ")
+        at = end + 1
+    return [*pieces, page[at:]], links
+
+
 def plain_text(page: str) -> str:
     """Visible text: scripts, styles and comments are gone, block tags break lines, entities are resolved."""
-    text = html.unescape(_TAG.sub(" ", _BREAK.sub("\n", _DROP.sub(" ", page))))
+    text = html.unescape("".join(scan(page)[0]))
     lines = (_SPACE.sub(" ", line).strip() for line in text.split("\n"))
     return "\n".join(line for line in lines if line)
 
 
+def _title(page: str) -> str | None:
+    begin = _TITLE[0].search(page)
+    end = begin and _TITLE[1].search(page, begin.end())
+    return page[begin.end() : end.start()] if end else None
+
+
 def metadata_fields(page: str, http_header: str) -> list[tuple[str, str]]:
-    title = _TITLE.search(page)
+    """WARC fields of a response: its header lines, title and outlinks, each on one line."""
+    title = _title(page)
     one_line = lambda s: " ".join(html.unescape(s).split())
     fields = [("source-header", line) for line in http_header.splitlines() if line.strip()]
-    fields += [("title", one_line(title[1]))] if title else []
-    return fields + [("outlink", f"{one_line(a or b or c)} L a/@href") for a, b, c in _LINK.findall(_DROP.sub(" ", page))]
+    fields += [("title", one_line(title))] if title is not None else []
+    return fields + [("outlink", f"{one_line(link)} L a/@href") for link in scan(page)[1]]
+
+
+def safe(uri: str | None) -> str | None:
+    """A URI without white space and control characters, which would end or add a header line; they are percent-encoded."""
+    return None if uri is None else _UNSAFE.sub(lambda m: f"%{ord(m[0]):02X}", uri)
 
 
 def header_block(fields: list[tuple[str, str | None]]) -> str:
@@ -71,8 +126,8 @@ def derived(source_id: str, target: str | None, date: str | None, http_header: s
         raw = block.encode("utf-8", "replace")
         own = record_id(kind, source_id, of)
         head = header_block([
-            ("WARC-Type", kind), ("WARC-Record-ID", own), ("WARC-Date", date or DATE), ("WARC-Target-URI", target), ("WARC-Refers-To", source_id),
-            ("WARC-Refers-To-Target-URI", target), ("WARC-Refers-To-Date", date or DATE), ("X-Source-Payload-Digest", of), ("WARC-Block-Digest", digest(raw)),
+            ("WARC-Type", kind), ("WARC-Record-ID", own), ("WARC-Date", date or DATE), ("WARC-Target-URI", safe(target)), ("WARC-Refers-To", source_id),
+            ("WARC-Refers-To-Target-URI", safe(target)), ("WARC-Refers-To-Date", date or DATE), ("X-Source-Payload-Digest", of), ("WARC-Block-Digest", digest(raw)),
             ("Content-Type", content), ("Content-Length", str(len(raw))),
         ])
         yield kind, own, of, digest(raw), len(raw), head, raw.decode()
@@ -107,30 +162,90 @@ def record_bytes(header: str, block: str) -> bytes:
 
 def parse_records(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
     """Header fields and block of each record of an uncompressed file."""
-    at = 0
-    while at < len(data):
-        end = data.index(b"\r\n\r\n", at)
-        fields = dict(line.split(": ", 1) for line in data[at:end].decode().split("\r\n")[1:])
-        size = int(fields["Content-Length"])
-        yield fields, data[end + 4 : end + 4 + size]
-        at = end + 8 + size
+    return stream_records(io.BytesIO(data))
+
+
+def stream_records(file) -> Iterator[tuple[dict[str, str], bytes]]:
+    """Header fields and block of each record, read one by one; a record that is cut short or has no length ends the file."""
+    while True:
+        line = file.readline()
+        while line in (b"\r\n", b"\n"):
+            line = file.readline()
+        if not line.startswith(b"WARC/"):
+            return
+        fields = {}
+        while (line := file.readline()) not in (b"", b"\r\n", b"\n"):
+            name, _, value = line.decode("utf-8", "replace").partition(":")
+            fields[name.strip()] = value.strip()
+        size = fields.get("Content-Length", "")
+        if not size.isdigit():
+            return
+        block = file.read(int(size))
+        if len(block) < int(size):
+            return
+        yield fields, block
+
+
+class _Inflated(io.RawIOBase):
+    """The gzip members in ``data``, decompressed as they are read; a damaged or missing end is the end."""
+
+    def __init__(self, data: pa.Buffer, chunk: int = 1 << 16):
+        self.data, self.chunk, self.at, self.state, self.rest = data, chunk, 0, zlib.decompressobj(31), b""
+
+    def readable(self) -> bool:
+        return True
+
+    def readinto(self, into) -> int:
+        while not self.rest:
+            feed = self.state.unconsumed_tail
+            if not feed and self.state.eof:
+                feed, self.state = self.state.unused_data, zlib.decompressobj(31)
+            if not feed:
+                feed = self.data[self.at : self.at + self.chunk].to_pybytes()
+                self.at += len(feed)
+                if not feed:
+                    return 0
+            try:
+                self.rest = self.state.decompress(feed, 1 << 20)
+            except zlib.error:
+                self.at, self.state = self.data.size, zlib.decompressobj(31)
+                return 0
+        n = min(len(into), len(self.rest))
+        into[:n], self.rest = self.rest[:n], self.rest[n:]
+        return n
+
+
+def body_text(head: str, body: bytes) -> str:
+    """The payload as text: gzip and deflate are undone, the header's charset is used if it is known, else UTF-8."""
+    fields = {k.strip().lower(): v.strip() for k, _, v in (line.partition(":") for line in head.split("\r\n")[1:])}
+    coding = fields.get("content-encoding", "").lower()
+    if coding in ("gzip", "x-gzip", "deflate"):
+        try:
+            body = zlib.decompressobj(47 if "gzip" in coding else 15 if body[:1] == b"\x78" else -15).decompress(body)
+        except zlib.error:
+            return ""
+    charset = re.search(r"charset\s*=\s*[\"']?([\w.-]+)", fields.get("content-type", ""), re.I)
+    try:
+        return body.decode(charset[1] if charset else "utf-8", "replace")
+    except LookupError:
+        return body.decode("utf-8", "replace")
 
 
 def read_responses(spark, path: str) -> DataFrame:
-    """Responses of the WARC files under ``path`` (one task per file, gzip or plain)."""
-    import gzip
-
+    """Responses of the WARC files under ``path`` (one task per file, gzip or plain); a file's records are decompressed one by one."""
     names = ("page_id", "record_id", "target_uri", "date", "http_header", "payload")
     schema = pa.schema([(n, pa.int64() if n == "page_id" else pa.string()) for n in names])
 
     def rows(batches):
         for batch in batches:
             for content in batch.column("content"):
-                data = content.as_py()
-                for fields, block in parse_records(gzip.decompress(data) if data[:2] == b"\x1f\x8b" else data):
+                data = content.as_buffer()
+                zipped = data[:2].to_pybytes() == b"\x1f\x8b"
+                for fields, block in stream_records(io.BufferedReader(_Inflated(data) if zipped else pa.BufferReader(data))):
                     if fields.get("WARC-Type") == "response":
                         head, _, body = block.partition(b"\r\n\r\n")
-                        yield None, fields["WARC-Record-ID"], fields.get("WARC-Target-URI"), fields.get("WARC-Date"), head.decode("latin-1"), body.decode("utf-8", "replace")
+                        head = head.decode("latin-1")
+                        yield None, fields.get("WARC-Record-ID"), fields.get("WARC-Target-URI"), fields.get("WARC-Date"), head, body_text(head, body)
 
     files = spark.read.format("binaryFile").load(path).select("content")
     return files.mapInArrow(lambda b: kernels.row_batches(rows(b), schema, 200), "page_id long, record_id string, target_uri string, date string, http_header string, payload string")
@@ -138,8 +253,6 @@ def read_responses(spark, path: str) -> DataFrame:
 
 def write_records(records: DataFrame, path: str) -> None:
     """Write derivatives under ``path`` as Parquet rows (record_id, record); each record is a gzip member, so their concatenation is a WARC file."""
-    import gzip
-
     schema = pa.schema([("record_id", pa.string()), ("record", pa.binary())])
 
     def rows(batches):
@@ -152,4 +265,5 @@ def write_records(records: DataFrame, path: str) -> None:
 
 
 def op1_warc_derivatives(spark, sf_dir: str) -> DataFrame:
+    """Both derivatives of every page of ``pages``."""
     return derive(responses(spark.read.parquet(f"{sf_dir}/pages.parquet")))

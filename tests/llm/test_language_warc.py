@@ -1,6 +1,9 @@
 import base64
 import gzip
+import html
 import random
+import re
+import time
 from hashlib import sha1
 
 import numpy as np
@@ -103,6 +106,59 @@ def test_warc_round_trip(spark, tmp_path):
     assert all(r.refers_to == "<urn:x>" and "WARC-Refers-To-Date: 2020-01-01T00:00:00Z" in r.header for r in read)
 
 
+def old_text(page):
+    """The same reading by regular expressions, as a second opinion on closed pages."""
+    page = re.sub(r"<!--.*?-->|<(script|style|noscript|template)\b[^>]*>.*?</\1\s*>", " ", page, flags=re.S | re.I)
+    page = re.sub(r"</?(?:p|div|br|li|ul|ol|tr|table|h[1-6]|section|article|nav|header|footer|title|head|body|blockquote|pre|hr|td|th)\b[^>]*>", "\n", page, flags=re.I)
+    lines = (re.sub(r"[ \t\r\f\v\xa0]+", " ", line).strip() for line in html.unescape(re.sub(r"<[^>]*>", " ", page)).split("\n"))
+    return "\n".join(line for line in lines if line)
+
+
+def test_every_page_and_derivative_match_a_second_reading(spark):
+    pages = spark.read.parquet(f"{SF}/pages.parquet")
+    texts = {r.page_id: r.html or "" for r in pages.collect()}
+    rows = warc.derive(warc.responses(pages.withColumn("payload", F.lit(1)).withColumn("date", F.lit(2)))).collect()
+    assert len(rows) == 2 * len(texts)
+    for r in rows:
+        page = texts[r.page_id]
+        assert r.source_digest == "sha1:" + base64.b32encode(sha1(page.encode()).digest()).decode()
+        if r.warc_type == "conversion":
+            assert r.block == old_text(page)
+        else:
+            links = re.findall(r"""<a\b[^>]*?\bhref\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]+))""", re.sub(r"<!--.*?-->", " ", page, flags=re.S), re.I)
+            assert [line for line in r.block.split("\r\n") if line.startswith("outlink")] == [f"outlink: {' '.join(html.unescape(''.join(x)).split())} L a/@href" for x in links]
+    assert warc.derive(warc.responses(pages.limit(0))).count() == 0
+
+
+def test_hostile_pages_take_linear_time(spark):
+    for page in ("<script>" * 60_000, "<!-- x " * 60_000, "<a " * 150_000, "<a href='" * 50_000, "<title>" * 60_000, "<a b>" * 100_000, "<" * 400_000):
+        start = time.process_time()
+        warc.plain_text(page), warc.metadata_fields(page, "")
+        assert time.process_time() - start < 3
+    long_page = "<p>" + "word " * 600_000 + "</p>"
+    rows = warc.derive(warc.responses(spark.createDataFrame([(1, "u", long_page)], "page_id long, url string, html string"))).collect()
+    assert max(r.content_length for r in rows) == 3_000_000 - 1
+
+
+def test_targets_cannot_add_header_lines(spark):
+    df = spark.createDataFrame([(1, "http://a/\r\nX-Injected: 1", "<p>x</p>")], "page_id long, url string, html string")
+    for r in warc.derive(warc.responses(df)).collect():
+        ((fields, _),) = warc.parse_records(warc.record_bytes(r.header, r.block))
+        assert "X-Injected" not in fields and fields["WARC-Target-URI"] == "http://a/%0D%0AX-Injected:%201" and r.target_uri == "http://a/\r\nX-Injected: 1"
+
+
+def test_reading_codings_charsets_and_cut_files(spark, tmp_path):
+    def record(head, body):
+        block = ("HTTP/1.1 200 OK\r\n" + head).encode() + b"\r\n\r\n" + body
+        return warc.header_block([("WARC-Type", "response"), ("WARC-Record-ID", "<urn:x>"), ("Content-Length", str(len(block)))]).encode() + block + b"\r\n\r\n"
+
+    whole = record("Content-Encoding: gzip", gzip.compress("<p>é</p>".encode())) + record("Content-Type: text/html; charset=latin-1", "<p>ü</p>".encode("latin-1")) + record("Content-Type: text/html; charset=nonsense", b"<p>z</p>")
+    (tmp_path / "a.warc").write_bytes(whole + record("X: y", b"cut")[:-20])
+    (tmp_path / "b.warc.gz").write_bytes(gzip.compress(whole)[:-12])
+    read = warc.read_responses(spark, str(tmp_path))
+    assert [r.payload for r in read.collect()].count("<p>é</p>") == 2 and {"<p>ü</p>", "<p>z</p>"} <= {r.payload for r in read.collect()} and read.filter("payload like '%cut%'").count() == 0
+
+
 def test_plain_text():
     assert warc.plain_text("<head><title>T &amp; U</title><style>p{}</style><script>var t='</p>';</script></head><p>a<b>b</b>  c</p><!-- x --><div>d</div>") == "T & U\na b c\nd"
 
