@@ -7,9 +7,9 @@ document's fingerprint is one of the benchmark's, the windows around it are comp
 word with the benchmark's windows and hits are extended over every word they cover.  Items
 shorter than a window are one window of their own length, found by a hash of that length.
 
-The benchmark is broadcast only while its text stays under ``broadcast_bytes``; beyond,
-fingerprints are joined by a shuffle, and candidates (document, item) are confirmed pair by
-pair.  Both ways give the same rows.
+The benchmark is broadcast, as sorted arrays, only while its text stays under
+``broadcast_bytes``; beyond, fingerprints are joined by a shuffle, and candidates (document,
+item) are confirmed document by document.  Both ways give the same rows.
 
 Null and wordless texts have no words and no windows.  Items with a null ``item_id`` or no
 words are ignored; items of equal text count one each.  Repeated documents are judged row by
@@ -46,32 +46,54 @@ def fingerprints(grams: np.ndarray, w: int) -> np.ndarray:
 
 
 class BenchmarkIndex:
-    """Windows of the benchmark by their words, and the fingerprints that lead to them."""
+    """Windows of the benchmark as sorted hashes with their items, and the fingerprints that lead to them.
+
+    Arrays only: 24 bytes a window beside the words' bytes, which confirm every hit.
+    """
 
     def __init__(self, items: list[tuple[int, bytes]], window: int, gram: int = GRAM):
         self.window, self.gram = window, gram
-        self.windows: dict[bytes, set[int]] = defaultdict(set)
-        prints, short = [np.empty(0, np.uint64)], defaultdict(list)
-        for item, text in items:
-            words = words_of(text)
+        prints, short, hashes, owner, begin, end, text, at = [np.empty(0, np.uint64)], defaultdict(list), [], [], [], [], [], 0
+        for item, raw in items:
+            words = words_of(raw)
             size = min(window, len(words))
-            for i in range(len(words) - size + 1 if words else 0):
-                self.windows[b" ".join(words[i : i + size])].add(item)
-            hashes = self._hashes(words)
+            if not size:
+                continue
+            sizes = np.array([len(w) + 1 for w in words], np.int64)
+            starts = np.concatenate(([0], np.cumsum(sizes)))
+            own = self._hashes(words)
+            grams = kernels.gram_hashes(own, size)
+            n = len(grams)
+            hashes.append(grams)
+            owner.append(np.full(n, item, np.int64))
+            begin.append(at + starts[:n])
+            end.append(at + starts[size : size + n] - 1)
+            text.append(b" ".join(words))
+            at += len(text[-1]) + 1
             if size == window:
-                grams = kernels.gram_hashes(hashes, gram)
+                grams = kernels.gram_hashes(own, gram)
                 prints.append(grams[fingerprints(grams, window - gram + 1)])
-            elif size:
-                short[size].append(kernels.gram_hashes(hashes, size))
+            else:
+                short[size].append(grams)
         self.prints = np.unique(np.concatenate(prints))
         self.short = {size: np.unique(np.concatenate(x)) for size, x in short.items()}
-        self.windows = dict(self.windows)
+        self.text = b" ".join(text)
+        joined = lambda parts, kind: np.concatenate([np.empty(0, kind), *parts]).astype(kind)
+        hashes = joined(hashes, np.uint64)
+        order = np.argsort(hashes, kind="stable")
+        self.hashes, self.items = hashes[order], joined(owner, np.int64)[order]
+        self.begin, self.end = joined(begin, np.int64)[order].astype(np.int32), joined(end, np.int64)[order].astype(np.int32)
 
     @staticmethod
     def _hashes(words: list[bytes]) -> np.ndarray:
         raw = np.frombuffer(b" ".join(words), np.uint8)
         return kernels.word_hashes(raw, *kernels.word_spans(raw, _INSIDE))
 
+    def items_of(self, hashed: np.uint64, window: bytes) -> set[int]:
+        """Items that hold the words of ``window``, joined by one space; equal hashes of other words are told apart by the bytes."""
+        low, high = np.searchsorted(self.hashes, hashed, "left"), np.searchsorted(self.hashes, hashed, "right")
+        return {int(self.items[k]) for k in range(low, high) if self.text[self.begin[k] : self.end[k]] == window}
+
     def hits(self, texts: list[bytes]) -> list[tuple[int, set[int], set[int]]]:
         """Per lower-cased text: number of words, hit words, items."""
         data = b"\n".join(texts)
@@ -82,27 +104,26 @@ class BenchmarkIndex:
         hashes = kernels.word_hashes(raw, start, end)
         out = [(int(n), set(), set()) for n in np.diff(first)]
 
-        def confirm(s: int, size: int) -> None:
-            doc = int(np.searchsorted(first, s, side="right")) - 1
-            if s < first[doc] or s + size > first[doc + 1]:
-                return
-            items = self.windows.get(b" ".join(data[a:b] for a, b in zip(start[s : s + size].tolist(), end[s : s + size].tolist())))
-            if items:
-                out[doc][1].update(range(s - int(first[doc]), s - int(first[doc]) + size))
-                out[doc][2].update(items)
+        def confirm(at: np.ndarray, size: int) -> None:
+            """Windows of ``size`` words from the words ``at`` on."""
+            doc = np.searchsorted(first, at, side="right") - 1
+            inside = (at + size <= first[doc + 1]) & (at + size <= len(hashes))
+            at, doc = at[inside], doc[inside]
+            own = kernels.gram_hashes(hashes[at[:, None] + np.arange(size)].ravel(), size)[::size] if len(at) else np.empty(0, np.uint64)
+            known = _found(own, self.hashes)
+            for s, d, h in zip(at[known].tolist(), doc[known].tolist(), own[known]):
+                items = self.items_of(h, b" ".join(data[a:b] for a, b in zip(start[s : s + size].tolist(), end[s : s + size].tolist())))
+                if items:
+                    out[d][1].update(range(s - int(first[d]), s - int(first[d]) + size))
+                    out[d][2].update(items)
 
         grams = kernels.gram_hashes(hashes, self.gram)
         kept = fingerprints(grams, self.window - self.gram + 1)
-        seen: set[int] = set()
-        for at in kept[_found(grams[kept], self.prints)].tolist():
-            for s in range(max(0, at - self.window + self.gram), at + 1):
-                if s not in seen:
-                    seen.add(s)
-                    confirm(s, self.window)
+        hit = kept[_found(grams[kept], self.prints)]
+        around = np.unique(hit[:, None] - np.arange(self.window - self.gram + 1))
+        confirm(around[around >= 0], self.window)
         for size, known in self.short.items():
-            grams = kernels.gram_hashes(hashes, size)
-            for s in np.flatnonzero(_found(grams, known)).tolist():
-                confirm(s, size)
+            confirm(np.flatnonzero(_found(kernels.gram_hashes(hashes, size), known)), size)
         return out
 
 
@@ -188,7 +209,7 @@ def _by_shuffle(docs: DataFrame, items: DataFrame, window: int, keep_hash: bool
     return joined.mapInArrow(lambda batches: kernels.row_batches(rows(batches), schema), RESULT + ", th long" * keep_hash)
 
 
-def contamination(documents: DataFrame, benchmark: DataFrame, window: int = 10, broadcast_bytes: int = 32 << 20) -> DataFrame:
+def contamination(documents: DataFrame, benchmark: DataFrame, window: int = 10, broadcast_bytes: int = 8 << 20) -> DataFrame:
     """Per document how many of its words lie in a window of the benchmark, and in windows of which items."""
     docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).dropna()
@@ -196,7 +217,7 @@ def contamination(documents: DataFrame, benchmark: DataFrame, window: int = 10,
     return (_by_broadcast if size <= broadcast_bytes else _by_shuffle)(docs, items, window)
 
 
-def decontaminated(documents: DataFrame, benchmark: DataFrame, window: int = 10, broadcast_bytes: int = 32 << 20) -> DataFrame:
+def decontaminated(documents: DataFrame, benchmark: DataFrame, window: int = 10, broadcast_bytes: int = 8 << 20) -> DataFrame:
     """The documents, all columns, that hold no window of the benchmark."""
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).dropna()
     size = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
@@ -215,6 +236,7 @@ def decontaminated(documents: DataFrame, benchmark: DataFrame, window: int = 10,
 
 
 def op2_winnowing(spark, sf_dir: str) -> DataFrame:
+    """Contamination of every document of ``documents`` by ``benchmark``."""
     return contamination(spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 

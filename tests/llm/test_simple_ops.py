@@ -115,3 +115,61 @@ def test_best_fill_is_optimal():
             sums |= {s + k * i for s in sums for i in range(n + 1)}
         assert all(chosen[k] <= counts[k] for k in chosen)
         assert sum(k * n for k, n in chosen.items()) == max(s for s in sums if s <= room)
+
+
+def test_quick_ids_equal_the_named_tokenizer(spark):
+    """Every text of sf0.1 and texts of all scripts, long runs and odd signs."""
+    from tokenizers import Tokenizer
+
+    slow = Tokenizer.from_file(packing.default_paths()[0])
+    quick = packing.encoder(*packing.default_paths())
+    r = random.Random(8)
+    blocks = [(0x20, 0x7F), (0xA0, 0x180), (0x370, 0x400), (0x400, 0x500), (0x590, 0x700), (0x900, 0xA00), (0xE00, 0xE80), (0x1100, 0x1200), (0x2000, 0x2070), (0x3040, 0x3100), (0x4E00, 0x9FFF), (0xAC00, 0xD7A3), (0xFE00, 0xFE10), (0x1F300, 0x1F700), (0x20000, 0x2A000), (0, 0x20)]
+    odd = ["".join(chr(r.randrange(*r.choice(blocks))) for _ in range(r.randrange(1, 200))) for _ in range(2000)]
+    odd += [c * n for c in " a1\n\t\u00a0é中🙂'-" for n in (1, 2, 7, 999, 20_000)] + ["I'll we'VE 'S  x", " \n \n  x", "12345678901234567890", "\r\n" * 50 + " x", "a\u0301\u200d\ufe0f", "\ufeffx", "<|endoftext|>", "x<|endoftext|> y"]
+    texts = odd + [t.text or "" for t in spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("text").collect()]
+    for at in range(0, len(texts), 500):
+        some = texts[at : at + 500]
+        for text, want in zip(some, slow.encode_batch(some, add_special_tokens=False)):
+            assert list(quick(text)) == want.ids, text[:80]
+
+
+def test_plan_fills_as_a_planner_without_repeats():
+    r = random.Random(4)
+    for _ in range(15):
+        histogram = {r.randrange(1, 60): r.randrange(1, 30) for _ in range(r.randrange(1, 14))}
+        rows = packing.plan(histogram, 60)
+        placed, fills = {}, {}
+        for length, low, high, per, first, base in rows:
+            placed[length] = placed.get(length, 0) + high - low
+            for k in range((high - low) // per):
+                fills[first + k] = fills.get(first + k, 0) + per * length
+        assert placed == histogram and max(fills.values()) <= 60 and sorted(fills) == list(range(len(fills)))
+        left, slow = dict(histogram), []
+        while left:
+            longest = max(left)
+            left[longest] -= 1
+            sums, some = {0: {}}, {k: v for k, v in left.items() if v}
+            for k, n in sorted(some.items(), reverse=True):
+                for s, chosen in list(sums.items()):
+                    for i in range(1, n + 1):
+                        if s + k * i <= 60 - longest:
+                            sums.setdefault(s + k * i, chosen | {k: i})
+            for k, n in sums[max(sums)].items():
+                left[k] -= n
+            slow.append(longest + max(sums))
+            left = {k: v for k, v in left.items() if v}
+        assert len(fills) <= len(slow) + 1 and sum(fills.values()) == sum(slow)
+
+
+def test_packing_and_decontamination_of_long_texts_and_clashing_columns(spark):
+    long_text = "Zeta 7 beta, " * 150_000 + "a b c d e f g h i j k"
+    rows = [(1, long_text, 5, 6, 7), (2, "x", 5, 6, 7)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, length long, slice int, start long")
+    packed = packing.pack(docs).collect()
+    assert sum(r.length for r in packed if r.doc_id == 1) == len(packing.encoder(*packing.default_paths())(long_text)) + 1
+    items = spark.createDataFrame([(9, "B c d e f g h i j k l")], "item_id long, text string")
+    for limit in (1 << 20, 0):
+        got = {r.doc_id: r for r in decontaminate.contamination(docs.withColumnRenamed("slice", "th").withColumnRenamed("start", "print"), items, 10, limit).collect()}
+        assert got[1].n_words == 450_011 and got[1].n_hit == 10 and got[2].n_hit == 0
+        assert decontaminate.contamination(docs.limit(0), items, 10, limit).count() == 0
