@@ -30,7 +30,7 @@ def drop_contaminated(spark, docs, sf_dir):
 
 def replace_personal_data(spark, docs, sf_dir):
     """All documents, personal data replaced, their lengths counted anew."""
-    made = pii.replace(docs, keep=["lang", "source"])
+    made = pii.replace(docs, pii.session_key(spark), keep=["lang", "source"])
     return made.withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
 
 
