@@ -32,7 +32,7 @@ def suffix_array(text: np.ndarray) -> np.ndarray:
     key = np.zeros(n, np.uint64)
     for i in range(8):
         key = (key << np.uint64(8)) | padded[i : i + n]
-    order = np.argsort(key, kind="stable")
+    order = np.argsort(key)
     new = np.concatenate(([True], key[order][1:] != key[order][:-1]))
     head = np.flatnonzero(new)[np.cumsum(new) - 1]
     rank = np.empty(n, np.int64)
@@ -45,7 +45,7 @@ def suffix_array(text: np.ndarray) -> np.ndarray:
         beyond = at + h
         second = np.where(beyond < n, rank[np.minimum(beyond, n - 1)], -1)
         both = rank[at] * (n + 1) + second + 1
-        by = np.argsort(both, kind="stable")
+        by = np.argsort(both)
         order[todo], both = at[by], both[by]
         fresh = np.concatenate(([True], both[1:] != both[:-1]))
         heads = todo[np.flatnonzero(fresh)[np.cumsum(fresh) - 1]]
@@ -81,9 +81,9 @@ def _common(text: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray:
 class RunLengthIndex:
     """Run-compressed transform of segments that are each closed by ``_END`` and joined.
 
-    A run is its byte, its first and last row and the row that its first row steps to.  The match length with the
-    neighbour above is kept where a run's first row steps to, that with the neighbour below where its last row does,
-    and both where a segment's stream begins.  Text, suffix array and transform are not kept.
+    A run is its byte, its first and last row, the row that its first row steps to and the run which that row lies in.
+    The match length with the neighbour above is kept where a run's first row steps to, that with the neighbour below
+    where its last row does, and both where a segment's stream begins.  Text, suffix array and transform are not kept.
     """
 
     def __init__(self, text: np.ndarray):
@@ -95,6 +95,7 @@ class RunLengthIndex:
         self.tails = np.append(self.heads[1:] - 1, len(text) - 1)
         self.bytes = before[self.heads]
         self.steps = self._steps()
+        self.into = np.searchsorted(self.heads, self.steps, side="right") - 1
         inner = np.flatnonzero((self.bytes >= 0) & (self.bytes < _END))
         self.above, self.below = np.zeros(len(self.heads), np.int64), np.zeros(len(self.heads), np.int64)
         self.above[inner] = self._matches(text, order, self.steps[inner], -1)
@@ -114,6 +115,17 @@ class RunLengthIndex:
         out[by] = np.cumsum(size) - size
         return out
 
+    def _moved(self, row: np.ndarray, run: np.ndarray) -> np.ndarray:
+        """Runs of ``row``: those in ``run`` or some way behind them."""
+        beyond = np.flatnonzero(row > self.tails[run])
+        for _ in range(4):
+            if not len(beyond):
+                return run
+            run[beyond] += 1
+            beyond = beyond[row[beyond] > self.tails[run[beyond]]]
+        run[beyond] = np.searchsorted(self.heads, row[beyond], side="right") - 1
+        return run
+
     @staticmethod
     def _matches(text: np.ndarray, order: np.ndarray, rows: np.ndarray, beside: int) -> np.ndarray:
         """Length of the match of the suffixes at ``rows`` with those ``beside`` them."""
@@ -132,15 +144,17 @@ class RunLengthIndex:
         """
         by = np.argsort(-self.sizes, kind="stable")
         row, up, down, sizes = self.entry[by], self.entry_above[by], self.entry_below[by], self.sizes[by]
+        run = np.searchsorted(self.heads, row, side="right") - 1
         best = np.zeros((int(sizes.max(initial=0)), len(by)), np.int32)
         for t in range(len(best)):
             k = int(np.searchsorted(-sizes, -t, side="left"))
-            now = row[:k]
-            run = np.searchsorted(self.heads, now, side="right") - 1
-            up[:k] = np.where(now > self.heads[run], up[:k] + 1, self.above[run])
-            down[:k] = np.where(now < self.tails[run], down[:k] + 1, self.below[run])
-            row[:k] = self.steps[run] + now - self.heads[run]
-            best[t, :k] = np.maximum(up[:k], down[:k])
+            now, at = row[:k], run[:k]
+            offset = now - self.heads[at]
+            up[:k] = np.where(offset > 0, up[:k] + 1, self.above[at])
+            down[:k] = np.where(now < self.tails[at], down[:k] + 1, self.below[at])
+            row[:k] = self.steps[at] + offset
+            run[:k] = self._moved(row[:k], self.into[at])
+            np.maximum(up[:k], down[:k], out=best[t, :k], casting="unsafe")
         out: list[np.ndarray] = [np.empty(0, np.int32)] * len(by)
         for lane, (segment, size) in enumerate(zip(by.tolist(), sizes.tolist())):
             out[segment] = best[:size, lane][::-1]
