@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from relanom import nn, rules, splits, tasks, trainer, views
@@ -13,16 +13,22 @@ from relanom.sources import load
 
 @dataclass
 class Task:
-    """rows: target, y, split, flat features and nb columns; features: flat ones; relations: widths of each nb."""
+    """rows: target, y, split, flat features and nb columns; features: flat ones; relations: widths of each nb.
+
+    ``through`` names, for relations whose second hop are other targets, the column of the shared neighbour and the time
+    before which those targets lie: their mean features and rule bits join when the features are assembled.
+    """
 
     name: str
     rows: DataFrame
     features: list[str]
-    relations: tuple[tuple[int, int], ...]
+    relations: tuple[nn.Relation, ...]
+    through: dict[int, tuple[str, str]] = field(default_factory=dict)
 
 
-def _neighbours(x: list, m: list):
-    return F.struct(F.array(*[F.coalesce(c.cast("double"), F.lit(0.0)) for c in x]).alias("x"), F.array(*[F.coalesce(c.cast("double"), F.lit(0.0)) for c in m]).alias("m"))
+def _neighbours(ident, x: list, m: list | None):
+    doubles = lambda columns: F.array(*[F.coalesce(c.cast("double"), F.lit(0.0)) for c in columns])
+    return F.struct(ident.cast("long").alias("id"), doubles(x).alias("x"), (doubles(m) if m is not None else F.lit(None).cast("array<double>")).alias("m"))
 
 
 def customer_task(spark, sf_dir: str, kind: str = "purchase", labels: DataFrame | None = None) -> Task:
@@ -40,14 +46,16 @@ def customer_task(spark, sf_dir: str, kind: str = "purchase", labels: DataFrame
     far = [F.col("p_size") / 50, F.col("p_retailprice") / 1000, *[(F.pmod(F.xxhash64("p_brand"), F.lit(32)) == i).cast("double") for i in range(32)]]
     near = [F.col("age") / 1000, F.col("price") / 50000, F.col("quantity") / 50]
     joined = log.join(parts, F.col("part") == F.col("p_partkey"), "left")
-    fields = joined.groupBy("customer").agg(F.collect_list(_neighbours(near, far)).alias("nb0"))
+    # A transaction is a neighbour of its customer only, so its id need not be more than distinct.
+    ident = F.xxhash64("customer", "part", "t", "price", "quantity")
+    fields = joined.groupBy("customer").agg(F.collect_list(_neighbours(ident, near, far)).alias("nb0"))
     rows = view.join(labels.select("entity", F.col("y").cast("int").alias("y")), "entity").join(fields, F.col("entity") == F.col("customer"), "left")
     rows = rows.withColumn("split", splits.by_hash(F.col("entity"))).withColumn("target", F.col("entity").cast("long"))
-    return Task(kind, rows.drop("customer", "entity"), features, ((len(near), len(far)),))
+    return Task(kind, rows.drop("customer", "entity"), features, (nn.Relation(len(near), len(far), back=True),))
 
 
 def cyber_task(spark, sf_dir: str, labels: DataFrame | None = None) -> Task:
-    """Authentication events with their user and machine; entity states are trailing counts strictly before the event."""
+    """Authentication events with their user and machine; the second hop are the user's and the machine's earlier authentications."""
     view = views.cyber(spark, sf_dir)
     features = [c for c in view.columns if c not in ("event", "t", "user", "machine")]
     if labels is None:
@@ -56,11 +64,10 @@ def cyber_task(spark, sf_dir: str, labels: DataFrame | None = None) -> Task:
         labels = behavioural(tasks.auth_log(spark, sf_dir))
     users = load(spark, sf_dir, "customer", ["c_custkey", "c_acctbal", "c_nationkey"])
     joined = view.join(labels.select("event", F.col("y").cast("int").alias("y")), "event").join(users, F.col("user") == F.col("c_custkey"), "left")
-    scaled = lambda names: [F.log1p(F.col(c)) for c in names]
-    user = _neighbours([F.col("c_acctbal") / 10000, F.col("c_nationkey") / 25], scaled([f"user_{log}_1d" for log in ("auth", "dns", "flow", "process")]))
-    machine = _neighbours([F.log1p("machine_users")], scaled(["machine_auth_10m", "machine_auth_1h", "machine_auth_1d"]))
+    user = _neighbours(F.col("user"), [F.col("c_acctbal") / 10000, F.col("c_nationkey") / 25], None)
+    machine = _neighbours(F.col("machine"), [F.lit(1.0)], None)  # the tables say nothing of a machine but that it is one
     rows = joined.withColumn("nb0", F.array(user)).withColumn("nb1", F.array(machine)).withColumn("split", splits.by_hash(F.col("event"))).withColumn("target", F.col("event"))
-    return Task("cyber", rows, features, ((2, 4), (1, 3)))
+    return Task("cyber", rows.withColumn("us", F.unix_micros(F.col("t").cast("timestamp"))), features, (nn.Relation(2, 0, own=True), nn.Relation(1, 0, own=True)), {0: ("user", "us"), 1: ("machine", "us")})
 
 
 def document_task(spark, sf_dir: str) -> Task:
@@ -71,10 +78,30 @@ def document_task(spark, sf_dir: str) -> Task:
     rows = view.join(known, F.col("entity") == F.col("doc_id"), "left")
     for k, parent in enumerate(("source", "lang")):
         state = view.groupBy(parent).agg(F.log1p(F.count("*")).alias("n"), *(F.avg(c).alias(f"m_{c}") for c in features))
-        near = _neighbours([F.col("n")], [F.log1p("m_chars"), *(F.col(f"m_{c}") for c in features[2:])])
+        near = _neighbours(F.xxhash64(parent), [F.col("n")], [F.log1p("m_chars"), *(F.col(f"m_{c}") for c in features[2:])])
         rows = rows.join(state.select(F.col(parent).alias("parent"), F.array(near).alias(f"nb{k}")), F.col(parent) == F.col("parent"), "left").drop("parent")
     rows = rows.withColumn("split", splits.by_hash(F.col("entity"))).withColumn("target", F.col("entity"))
-    return Task("documents", rows.drop("doc_id", "entity", "source", "lang"), features, ((1, 4), (1, 4)))
+    return Task("documents", rows.drop("doc_id", "entity", "source", "lang"), features, (nn.Relation(1, 4), nn.Relation(1, 4)))
+
+
+def earlier_means(rows: DataFrame, key: str, time: str, width: int, name: str, slices: int = 64) -> DataFrame:
+    """Adds the mean of array ``x`` over the rows of the same key strictly before each row's time, null where there are none.
+
+    Time is cut into slices; sums per key and slice are carried forward, and only the rows of one key and slice meet in a
+    task, so a key with a third of all rows is spread over its slices.
+    """
+    span = rows.agg(F.min(time).alias("low"), F.max(time).alias("high")).first()
+    wide = max(1, ((span["high"] or 0) - (span["low"] or 0)) // slices + 1)
+    rows = rows.withColumn("_slice", F.floor((F.col(time) - (span["low"] or 0)) / wide))
+    of = lambda suffix: [f"_{suffix}{i}" for i in range(width)]
+    sums = rows.groupBy(key, "_slice").agg(F.count("*").alias("_n"), *[F.sum(F.col("x")[i]).alias(c) for i, c in enumerate(of("s"))])
+    carried = Window.partitionBy(key).orderBy("_slice").rowsBetween(Window.unboundedPreceding, -1)
+    before = sums.select(key, "_slice", *[F.coalesce(F.sum(c).over(carried), F.lit(0)).alias(f"_b{c}") for c in ["_n", *of("s")]])
+    inside = Window.partitionBy(key, "_slice").orderBy(time).rangeBetween(Window.unboundedPreceding, -1)
+    near = rows.select("*", F.count("*").over(inside).alias("_n"), *[F.coalesce(F.sum(F.col("x")[i]).over(inside), F.lit(0.0)).alias(c) for i, c in enumerate(of("s"))])
+    joined = near.join(before, [key, "_slice"])
+    n = F.col("_n") + F.col("_b_n")
+    return joined.withColumn(name, F.when(n > 0, F.array(*[(F.col(c) + F.col(f"_b{c}")) / n for c in of("s")]))).select(*[c for c in rows.columns if c != "_slice"], name)
 
 
 def assembled(task: Task, rule_set: rules.RuleSet | None = None, flat: bool = False) -> tuple[DataFrame, nn.Spec]:
@@ -89,21 +116,34 @@ def assembled(task: Task, rule_set: rules.RuleSet | None = None, flat: bool = Fa
     bits = len(rule_set.texts) if rule_set else 0
     if bits:
         x = F.concat(x, rule_set.vector())
-    nb = [] if flat else [f"nb{k}" for k in range(len(task.relations))]
-    return rows.select("target", "y", "split", x.alias("x"), *nb), nn.Spec(len(task.features) + bits, () if flat else task.relations)
+    width = len(task.features) + bits
+    if flat:
+        return rows.select("target", "y", "split", x.alias("x")), nn.Spec(width)
+    keys = sorted({c for pair in task.through.values() for c in pair})
+    rows = rows.select("target", "y", "split", x.alias("x"), *keys, *[f"nb{k}" for k in range(len(task.relations))])
+    for k, (key, time) in task.through.items():
+        rows = earlier_means(rows, key, time, width, "_m")
+        # The rule bits of other targets reach this one through the neighbour they share.
+        rows = rows.withColumn(f"nb{k}", F.transform(f"nb{k}", lambda n: F.struct(n["id"].alias("id"), n["x"].alias("x"), F.col("_m").alias("m")))).drop("_m")
+    relations = tuple(r._replace(m=width) if r.own else r for r in task.relations)
+    return rows.drop(*keys), nn.Spec(width, relations)
 
 
 class RelationalDetector:
     """Rule-augmented relational autoencoder; ``rule_set`` None leaves rules out."""
 
-    def __init__(self, rule_set: rules.RuleSet | None = None, alpha: float = 0.0, beta: float = 1.0, hidden: int = 16, rounds: int = 4, seed: int = 0):
-        self.rule_set, self.alpha, self.beta, self.hidden, self.rounds, self.seed = rule_set, alpha, beta, hidden, rounds, seed
+    def __init__(self, rule_set: rules.RuleSet | None = None, alpha: float = 0.0, beta: float = 1.0, hidden: int = 128, rounds: int = 4, seed: int = 0, rate: float = 0.001):
+        self.rule_set, self.alpha, self.beta, self.hidden, self.rounds, self.seed, self.rate = rule_set, alpha, beta, hidden, rounds, seed, rate
 
     def fit(self, task: Task) -> RelationalDetector:
         rows, spec = assembled(task, self.rule_set)
         self.rows = rows.cache()
-        self.fitted = trainer.fit(self.rows, nn.RelationalAutoencoder(spec, self.hidden, self.seed, alpha=self.alpha, beta=self.beta), self.rounds, seed=self.seed)
+        self.fitted = trainer.fit(self.rows, nn.RelationalAutoencoder(spec, self.hidden, self.seed, alpha=self.alpha, beta=self.beta), self.rounds, rate=self.rate, seed=self.seed)
         return self
 
     def transform(self, rows: DataFrame | None = None) -> DataFrame:
         return self.fitted.transform(self.rows if rows is None else rows)
+
+    def embed(self, rows: DataFrame | None = None) -> DataFrame:
+        """Embeddings z of the targets."""
+        return self.fitted.embed(self.rows if rows is None else rows)

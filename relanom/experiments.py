@@ -1,23 +1,37 @@
-"""Experiment workloads: methods on one task, ablations, prevalence sweep; results are rows of measures."""
+"""Experiment workloads: methods on one task over several seeds, ablations, prevalence sweep; results are rows of measures."""
 
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relanom import detector, fusion, isolation, labels, metrics, nn, rules, tasks, trainer
+from relanom import detector, forest, fusion, isolation, labels, metrics, nn, rules, tasks, trainer
 from relanom.draws import u
 
-RESULT = "task string, method string, supervision string, split string, auroc double, auprc double, p_at_k double"
+MEASURES = ("auroc", "auprc", "p_at_k")
+RUNS = "task string, method string, supervision string, split string, seed int, auroc double, auprc double, p_at_k double"
 
 
-def result(task: str, method: str, supervision: str, scores: DataFrame) -> DataFrame:
-    """Measures on the test split of (y, split, score)."""
-    test = scores.filter("split = 'test' and y is not null").select("y", "score")
-    m = metrics.ranking(test)
-    return m.select(F.lit(task).alias("task"), F.lit(method).alias("method"), F.lit(supervision).alias("supervision"), F.lit("test").alias("split"), *(F.col(c).cast("double").alias(c) for c in ("auroc", "auprc", "p_at_k")))
+@dataclass(frozen=True)
+class Settings:
+    """How models are trained and over how many seeds results are taken; ``prevalence`` None leaves the training rows as they are.
+
+    Rounds and steps are the least mini-batches a model sees: every round runs through all train rows.
+    """
+
+    hidden: int = 128
+    rate: float = 0.001
+    rounds: int = 8
+    steps: int = 20
+    seeds: int = 10
+    prevalence: float | None = 0.015
+
+
+#: The published protocol.
+PUBLISHED = Settings()
 
 
 def union(parts: list[DataFrame]) -> DataFrame:
@@ -27,6 +41,21 @@ def union(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
+def measured(scores: DataFrame) -> list:
+    """Rows (model, auroc, auprc, p_at_k) on the labelled test rows of (model, y, split, score)."""
+    test = scores.filter("split = 'test' and y is not null").select("model", "y", "score").persist()
+    found = metrics.ranking(test, ["model"]).collect()
+    test.unpersist()
+    return found
+
+
+def result(task: str, method: str, supervision: str, scores: DataFrame) -> DataFrame:
+    """Measures on the test split of (y, split, score)."""
+    test = scores.filter("split = 'test' and y is not null").select("y", "score")
+    m = metrics.ranking(test)
+    return m.select(F.lit(task).alias("task"), F.lit(method).alias("method"), F.lit(supervision).alias("supervision"), F.lit("test").alias("split"), *(F.col(c).cast("double").alias(c) for c in MEASURES))
+
+
 def mined(task: detector.Task, preset: str | tasks.Preset, folder: str, refine: bool = True) -> rules.RuleSet:
     return rules.mine(task.rows.select("y", "split", *task.features), task.features, setting(preset), folder, refine)
 
@@ -36,83 +65,166 @@ def setting(preset: str | tasks.Preset) -> tasks.Preset:
     return tasks.PRESETS[preset] if isinstance(preset, str) else preset
 
 
+def at_prevalence(rows: DataFrame, prevalence: float | None) -> DataFrame:
+    """Training positives thinned out to the share, validation to what training then has, test rows as they are."""
+    if prevalence is None:
+        return rows
+    train = labels.to_prevalence(rows.filter("split = 'train'"), prevalence, "target")
+    valid = labels.match_prevalence(rows.filter("split = 'valid'"), train, "target")
+    return train.unionByName(valid).unionByName(rows.filter("split = 'test'"))
+
+
+def _detector(alpha: float = 0.0, beta: float = 1.0) -> Callable[..., nn.Model]:
+    return lambda spec, hidden, seed: nn.RelationalAutoencoder(spec, hidden, seed, alpha=alpha, beta=beta)
+
+
+#: Trained methods: rules in the graph table ("flat" has none and no neighbours), supervision, model.
+TRAINED: dict[str, tuple[str, str, Callable[..., nn.Model]]] = {
+    "detector_alpha0": ("refined", "ranking", _detector()),
+    "detector_bce": ("refined", "ranking", _detector(0.1)),
+    "detector_bce_low": ("refined", "ranking", _detector(0.01)),
+    "detector_bce_high": ("refined", "ranking", _detector(1.0)),
+    "detector_no_rules": ("none", "ranking", _detector()),
+    "detector_no_rules_bce": ("none", "ranking", _detector(0.1)),
+    "detector_path_rules": ("path", "ranking", _detector()),
+    "detector_path_rules_bce": ("path", "ranking", _detector(0.1)),
+    "raw_decisions": ("raw", "ranking", _detector()),
+    "raw_decisions_bce": ("raw", "ranking", _detector(0.1)),
+    "detector_no_rank": ("refined", "unsupervised", _detector(beta=0.0)),
+    "gnn_weighted": ("none", "labels", lambda spec, hidden, seed: nn.SupervisedGraph(spec, hidden, seed, weighted=True)),
+    "gnn_unweighted": ("none", "labels", lambda spec, hidden, seed: nn.SupervisedGraph(spec, hidden, seed)),
+    "ae": ("flat", "unsupervised", lambda spec, hidden, seed: nn.Autoencoder(spec, hidden, seed)),
+    "ae_rank": ("flat", "ranking", lambda spec, hidden, seed: nn.Autoencoder(spec, hidden, seed, beta=1.0)),
+    "deep_svdd": ("flat", "unsupervised", lambda spec, hidden, seed: nn.DeepSvdd(spec, hidden, seed)),
+    "deep_svdd_soft": ("flat", "unsupervised", lambda spec, hidden, seed: nn.DeepSvdd(spec, hidden, seed, nu=0.1)),
+    "drl": ("flat", "unsupervised", lambda spec, hidden, seed: nn.DecomposedRepresentation(spec, hidden, seed)),
+    "mlp": ("flat", "labels", lambda spec, hidden, seed: nn.Mlp(spec, hidden, seed)),
+}
+#: Methods that take the scores of others or train nothing by gradient, with their supervision.
+OTHERS = {"posthoc_fusion": "ranking", "posthoc_logistic": "labels", "isolation_forest": "unsupervised", "rule_score": "labels", "random": "none"}
+#: (width, rate) that the supervised network is searched over where its settings are chosen on the validation split.
+MLP_GRID = [(64, 0.001), (64, 0.003), (128, 0.001), (128, 0.003)]
+
+
 class Arms:
-    """The methods of the comparison on one task; the flat and the relational table are each made once."""
-
-    def __init__(self, task: detector.Task, folder: str, preset: str | tasks.Preset, hidden: int = 16, rounds: int = 4, seed: int = 0):
-        self.task, self.folder, self.preset = task, folder, preset
-        self.hidden, self.rounds, self.seed = hidden, rounds, seed
-        task.rows = task.rows.cache()
-        flat, self.flat_spec = detector.assembled(task, flat=True)
-        self.flat = flat.cache()
-        self._rules: dict[bool, rules.RuleSet] = {}
-
-    def rules(self, refine: bool = True) -> rules.RuleSet:
-        if refine not in self._rules:
-            self._rules[refine] = mined(self.task, self.preset, f"{self.folder}/forest", refine)
-        return self._rules[refine]
-
-    def _fit(self, rows: DataFrame, model: nn.Model) -> DataFrame:
-        return trainer.fit(rows, model, self.rounds, seed=self.seed).transform(rows)
-
-    def detector(self, rule_set: rules.RuleSet | None, alpha: float = 0.0, beta: float = 1.0) -> DataFrame:
-        return detector.RelationalDetector(rule_set, alpha, beta, self.hidden, self.rounds, self.seed).fit(self.task).transform()
-
-    def graph(self, weighted: bool) -> DataFrame:
-        rows, spec = detector.assembled(self.task)
-        return self._fit(rows.cache(), nn.SupervisedGraph(spec, self.hidden, self.seed, weighted=weighted))
-
-    def run(self, name: str) -> DataFrame:
-        make: dict[str, tuple[str, Callable[[], DataFrame]]] = {
-            "detector_alpha0": ("ranking", lambda: self.detector(self.rules())),
-            "detector_bce": ("ranking", lambda: self.detector(self.rules(), 0.1)),
-            "detector_bce_low": ("ranking", lambda: self.detector(self.rules(), 0.01)),
-            "detector_bce_high": ("ranking", lambda: self.detector(self.rules(), 1.0)),
-            "detector_no_rules": ("ranking", lambda: self.detector(None)),
-            "detector_path_rules": ("ranking", lambda: self.detector(self.rules(False))),
-            "detector_no_rank": ("unsupervised", lambda: self.detector(self.rules(), beta=0.0)),
-            "posthoc_fusion": ("ranking", lambda: self._posthoc()),
-            "gnn_weighted": ("labels", lambda: self.graph(True)),
-            "gnn_unweighted": ("labels", lambda: self.graph(False)),
-            "ae": ("unsupervised", lambda: self._fit(self.flat, nn.Autoencoder(self.flat_spec, self.hidden, self.seed))),
-            "ae_rank": ("ranking", lambda: self._fit(self.flat, nn.Autoencoder(self.flat_spec, self.hidden, self.seed, beta=1.0))),
-            "deep_svdd": ("unsupervised", lambda: self._fit(self.flat, nn.DeepSvdd(self.flat_spec, self.hidden, self.seed))),
-            "drl": ("unsupervised", lambda: self._fit(self.flat, nn.DecomposedRepresentation(self.flat_spec, self.hidden, self.seed))),
-            "mlp": ("labels", lambda: self._fit(self.flat, nn.Mlp(self.flat_spec, self.hidden, self.seed))),
-            "isolation_forest": ("unsupervised", lambda: isolation.score(self.flat, isolation.fit(self.flat.filter("split = 'train'"), 50, seed=self.seed))),
-            "rule_score": ("labels", lambda: self.task.rows.withColumn("score", self.rules().score())),
-            "raw_decisions": ("ranking", lambda: self.detector(self._decisions())),
-            "random": ("none", lambda: self.task.rows.withColumn("score", u(F.col("target"), "random"))),
-        }
-        supervision, scores = make[name]
-        return result(self.task.name, name, supervision, scores())
+    """The methods of the comparison on one task; each table is made once and all models that learn from it share its passes."""
+
+    def __init__(self, task: detector.Task, folder: str, preset: str | tasks.Preset, settings: Settings = PUBLISHED, tune_mlp: bool = False):
+        self.task, self.folder, self.preset, self.settings, self.tune_mlp = task, folder, preset, settings, tune_mlp
+        task.rows = at_prevalence(task.rows.cache(), settings.prevalence).cache()
+        self._rules: dict[str, rules.RuleSet | None] = {"none": None, "flat": None}
+        self._tables: dict[str, tuple[DataFrame, nn.Spec]] = {}
+        self._scores: dict[str, DataFrame] = {}
+
+    def rules(self, variant: str = "refined") -> rules.RuleSet | None:
+        if variant not in self._rules:
+            made = self._decisions() if variant == "raw" else mined(self.task, self.preset, f"{self.folder}/forest-{variant}", variant == "refined")
+            self._rules[variant] = made
+        return self._rules[variant]
+
+    def table(self, variant: str) -> tuple[DataFrame, nn.Spec]:
+        if variant not in self._tables:
+            rows, spec = detector.assembled(self.task, self.rules(variant), flat=variant == "flat")
+            self._tables[variant] = rows.cache(), spec
+        return self._tables[variant]
 
     def _decisions(self) -> rules.RuleSet:
         """Single splits of the first trees as bits, instead of whole paths."""
         preset = setting(self.preset)
-        forest = rules.fit_forest(self.task.rows.filter("split = 'train'"), self.task.features, preset, self.seed)
-        nodes = rules.node_table(self.task.rows.sparkSession, forest, f"{self.folder}/raw")
+        nodes = forest.fit(self.task.rows.filter("split = 'train'"), self.task.features, preset, f"{self.folder}/raw", 0, preset.first_trees)
         texts = rules.split_texts(nodes, self.task.features, preset.first_trees, preset.max_rules)
         return rules.RuleSet(tuple(texts), (1.0,) * len(texts))
 
-    def _posthoc(self) -> DataFrame:
-        scores = self.detector(None).select("target", "score")
-        return fusion.weighted_sum(self.task.rows.join(scores, "target"), self.rules())
-
-
-def compare(task: detector.Task, folder: str, preset: str | tasks.Preset, methods: list[str], **options) -> DataFrame:
-    arms = Arms(task, folder, preset, **options)
-    return union([arms.run(m) for m in methods])
-
-
-def prevalence(spark, sf_dir: str, folder: str, kinds=("review", "purchase"), levels=(0.005, 0.015, 0.03)) -> DataFrame:
-    """Detector with rules and supervised graph model on unexpected churn, with fewer positives in training; one label table a task, one ranking, nested samples."""
+    def _fit(self, rows: DataFrame, models: dict[str, nn.Model], rates: dict[str, float] | None = None) -> dict[str, trainer.Fitted]:
+        s = self.settings
+        return trainer.fit_all(rows, models, s.rounds, s.steps, rate=s.rate, rates=rates)
+
+    def _mlp(self) -> tuple[int, float]:
+        """Width and rate of the supervised network: the defaults, or the best of the grid by validation AUPRC."""
+        if not self.tune_mlp:
+            return self.settings.hidden, self.settings.rate
+        rows, spec = self.table("flat")
+        grid = {str(i): nn.Mlp(spec, hidden, 0) for i, (hidden, _) in enumerate(MLP_GRID)}
+        found = self._fit(rows, grid, {str(i): rate for i, (_, rate) in enumerate(MLP_GRID)})
+        return MLP_GRID[int(max(found, key=lambda k: (found[k].auprc, -int(k))))]
+
+    def scores(self, methods: list[str]) -> dict[str, DataFrame]:
+        """(model, target, y, split, score) of validation and test rows by table of the trained methods, a model ``method#seed`` for every seed."""
+        out = {}
+        for variant in dict.fromkeys(TRAINED[m][0] for m in methods):
+            rows, spec = self.table(variant)
+            models, rates = {}, {}
+            for m in (m for m in methods if TRAINED[m][0] == variant):
+                hidden, rate = self._mlp() if m == "mlp" else (self.settings.hidden, self.settings.rate)
+                for seed in range(self.settings.seeds):
+                    models[f"{m}#{seed}"], rates[f"{m}#{seed}"] = TRAINED[m][2](spec, hidden, seed), rate
+            test = rows.filter("split <> 'train'")
+            out[variant] = trainer.score_all(test, self._fit(rows, models, rates)).cache()
+        return out
+
+    def _other(self, name: str) -> DataFrame:
+        """(model, y, split, score) of a method that trains nothing by gradient, or builds on the detector without rules."""
+        rows, seeds = self.task.rows, range(self.settings.seeds)
+        named = lambda df, seed=0: df.select(F.lit(f"{name}#{seed}").alias("model"), "y", "split", "score")
+        if name == "isolation_forest":
+            flat = self.table("flat")[0]
+            return union([named(isolation.score(flat, isolation.fit(flat.filter("split = 'train'"), 50, seed=seed)), seed) for seed in seeds])
+        if name == "rule_score":
+            return named(rows.withColumn("score", self.rules().score()))
+        if name == "random":
+            return union([named(rows.withColumn("score", u(F.col("target"), f"random{seed}")), seed) for seed in seeds])
+        if "none" not in self._scores:
+            self._scores = self._scores | self.scores(["detector_no_rules"])
+        parts = []
+        for seed in seeds:
+            scored = rows.join(self._scores["none"].filter(F.col("model") == f"detector_no_rules#{seed}").select("target", "score"), "target")
+            if name == "posthoc_fusion":
+                parts.append(named(fusion.weighted_sum(scored, self.rules()), seed))
+            else:
+                parts.append(named(fusion.logistic(scored.filter("split = 'valid' and y is not null"), scored, self.rules()), seed))
+        return union(parts)
+
+    def runs(self, methods: list[str]) -> list[tuple]:
+        """(task, method, supervision, split, seed, auroc, auprc, p_at_k) of every method and seed."""
+        trained = [m for m in methods if m in TRAINED]
+        if set(methods) & {"posthoc_fusion", "posthoc_logistic"} and "detector_no_rules" not in trained:
+            trained.append("detector_no_rules")
+        self._scores = self.scores(trained)
+        every = [scores.select("model", "y", "split", "score") for scores in self._scores.values()] + [self._other(m) for m in methods if m in OTHERS]
+        out = []
+        for r in measured(union(every)) if every else []:
+            method, seed = r["model"].split("#")
+            if method in methods:
+                supervision = TRAINED[method][1] if method in TRAINED else OTHERS[method]
+                out.append((self.task.name, method, supervision, "test", int(seed), *(None if r[c] is None else float(r[c]) for c in MEASURES)))
+        for scores in self._scores.values():
+            scores.unpersist()
+        return out
+
+
+def summary(runs: DataFrame) -> DataFrame:
+    """Mean and standard deviation over the seeds."""
+    spread = [c for m in MEASURES for c in (F.avg(m).alias(m), F.stddev_samp(m).alias(f"{m}_std"))]
+    return runs.groupBy("task", "method", "supervision", "split").agg(F.count("*").alias("seeds"), *spread)
+
+
+def compare(task: detector.Task, folder: str, preset: str | tasks.Preset, methods: list[str], settings: Settings = PUBLISHED, tune_mlp: bool = False) -> DataFrame:
+    arms = Arms(task, folder, preset, settings, tune_mlp)
+    return summary(task.rows.sparkSession.createDataFrame(arms.runs(methods), RUNS))
+
+
+def ranks(runs: DataFrame) -> DataFrame:
+    """(method, metric, avg_rank): mid-ranks of the means over the seeds, averaged over the tasks."""
+    means = runs.groupBy("task", "method").agg(*[F.avg(m).alias(m) for m in MEASURES])
+    long = union([means.select(F.col("task").alias("dataset"), "method", F.lit(m).alias("metric"), F.col(m).alias("value")) for m in MEASURES])
+    return metrics.average_rank(long)
+
+
+def prevalence(spark, sf_dir: str, folder: str, kinds=("review", "purchase"), levels=(0.005, 0.015, 0.03), settings: Settings = PUBLISHED) -> DataFrame:
+    """Detector with rules and supervised graph model on unexpected churn, with fewer positives in training and validation; nested samples."""
     out = []
     for kind in kinds:
         for p in levels:
-            task = detector.customer_task(spark, sf_dir, kind)
-            train = labels.to_prevalence(task.rows.filter("split = 'train'"), p, "target")
-            task.rows = train.unionByName(task.rows.filter("split <> 'train'"))
-            arms = Arms(task, folder, kind, rounds=2)
-            out += [arms.run(m).withColumn("task", F.lit(f"{kind}@{p}")) for m in ("detector_alpha0", "gnn_weighted")]
-    return union(out)
+            arms = Arms(detector.customer_task(spark, sf_dir, kind), folder, kind, replace(settings, prevalence=p))
+            out += [(f"{kind}@{p}", *r[1:]) for r in arms.runs(["detector_alpha0", "gnn_weighted"])]
+    return summary(spark.createDataFrame(out, RUNS))

@@ -61,7 +61,7 @@ def rare_rules(rows: DataFrame, forest: DataFrame, features: list[str], min_supp
     count: rows that so few random cuts set apart are unusual. They are measured in the same scan as labelled rules.
     """
     nodes = forest.withColumnRenamed("size", "rows").withColumn("p", F.lit(0.0))
-    found = rules.paths(nodes, 1 << 30, 12).filter(F.size("conditions") <= depth).select("conditions").distinct().collect()  # trees x nodes of the forest, which is broadcast anyway
+    found = rules.paths(nodes, 1 << 30).filter(F.size("conditions") <= depth).select("conditions").distinct().collect()  # trees x nodes of the forest, which is broadcast anyway
     texts: dict[str, None] = {}
     for r in found:
         short = rules.canonical((features[c["feature"]], c["op"], c["threshold"]) for c in r["conditions"])

@@ -45,22 +45,32 @@ def unexpected(active: DataFrame, expected: str = "negative") -> DataFrame:
     return out.filter("not (churn = 1 and expected = 1)") if expected == "drop" else out
 
 
+def first_by_draw(rows: DataFrame, k: DataFrame, key: str, salt: str, parts: int = 4096) -> DataFrame:
+    """The first rows by draw, as many as the one value of ``k`` (k).
+
+    Rows are counted per part of the range of draws; whole parts are taken or left, and only the part in which the count
+    is reached is ranked, so no task sees more than one part.
+    """
+    draw = u(F.col(key), salt)
+    placed = rows.withColumn("_draw", draw).withColumn("_part", F.floor(F.col("_draw") * parts))
+    counts = placed.groupBy("_part").agg(F.count("*").alias("_n"))
+    room = F.col("k") - (F.sum("_n").over(Window.partitionBy(F.lit(0)).orderBy("_part")) - F.col("_n"))
+    open_ = counts.join(F.broadcast(k)).withColumn("_room", room).filter("_room > 0").select("_part", "_room")
+    ranked = placed.join(F.broadcast(open_), "_part").withColumn("_rank", F.row_number().over(Window.partitionBy("_part").orderBy("_draw", key)))
+    return ranked.filter(F.col("_rank") <= F.col("_room")).select(*rows.columns)
+
+
 def to_prevalence(rows: DataFrame, prevalence: float, key: str = "entity", salt: str = "prev") -> DataFrame:
     """Keep all negatives and so many positives, first by draw, that they make ``prevalence``."""
     kept = rows.agg(F.floor(prevalence * F.count_if(F.col("y") == 0) / (1 - prevalence)).alias("k"))
-    draw = u(F.col(key), salt)
-    # Ranks come from draws below a bound that holds the first k positives almost surely, so the sort sees few rows.
-    ranked = rows.filter("y = 1").withColumn("rank", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(draw, key)))
-    positives = ranked.join(F.broadcast(kept), F.col("rank") <= F.col("k")).drop("rank", "k")
-    return rows.filter("y = 0").unionByName(positives)
+    return rows.filter("y = 0").unionByName(first_by_draw(rows.filter("y = 1"), kept, key, salt))
 
 
 def match_prevalence(valid: DataFrame, train: DataFrame, key: str = "entity", salt: str = "prev") -> DataFrame:
     """Validation rows with so many positives, first by draw, that their share equals that of ``train`` as it is now."""
     counts = lambda rows, p, n: rows.agg(F.count_if(F.col("y") == 1).alias(p), F.count_if(F.col("y") == 0).alias(n))
     kept = counts(train, "tp", "tn").join(counts(valid, "vp", "vn")).select(F.expr("coalesce(try_divide(vn * tp, tn), 0)").alias("k"))
-    ranked = valid.filter("y = 1").withColumn("rank", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(u(F.col(key), salt), key)))
-    return valid.filter("y = 0").unionByName(ranked.join(F.broadcast(kept), F.col("rank") <= F.col("k")).drop("rank", "k"))
+    return valid.filter("y = 0").unionByName(first_by_draw(valid.filter("y = 1"), kept, key, salt))
 
 
 def threshold_for(active: DataFrame, levels: list[float], root: float = LAMBDA[1], growth: float = LAMBDA[2]) -> DataFrame:

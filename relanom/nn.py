@@ -1,25 +1,30 @@
 """Small reverse-mode differentiation on numpy, the graph autoencoder and the neural baselines.
 
-A batch holds ``x`` [n, d], ``y`` (nan: unlabelled) and, per relation, the sampled neighbours
-of all targets in one list: ``seg`` (owner), ``x`` and ``m`` (raw mean of the neighbour's own
-neighbours) with ``has``.  The first projection is affine, so the mean of projected second-hop
-neighbours is the projection of ``m``: it is computed once and serves every step and seed.
+A batch holds ``x`` [n, d], ``y`` (nan: unlabelled) and, per relation, the neighbours of all
+targets in one list: ``seg`` (owner, rising), ``id``, ``x`` and ``m`` (raw mean of the neighbour's
+own neighbours) with ``has``.  Input projections are affine, so means are taken of raw vectors
+and projections are multiplied with the weights behind them before they meet the rows.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from typing import NamedTuple
 
 import numpy as np
 
 
+#: Numbers that training computes with.
+PRECISION = np.float32
+
+
 class Var:
     """A value with the gradient of the loss by it."""
 
-    __slots__ = ("value", "grad", "back", "parents")
+    __slots__ = ("value", "grad", "back", "parents", "fixed")
 
-    def __init__(self, value, parents=(), back=None):
-        self.value, self.parents, self.back, self.grad = np.asarray(value, float), parents, back, None
+    def __init__(self, value, parents=(), back=None, fixed=False):
+        self.value, self.parents, self.back, self.grad, self.fixed = np.asarray(value, PRECISION), parents, back, None, fixed
 
     def _with(self, grad) -> None:
         self.grad = grad if self.grad is None else self.grad + grad
@@ -39,7 +44,8 @@ class Var:
         for v in reversed(order):
             if v.back and v.grad is not None:
                 for p, g in zip(v.parents, v.back(v.grad)):
-                    p._with(g)
+                    if g is not None:
+                        p._with(g)
 
 
 def _fit(g: np.ndarray, shape: tuple) -> np.ndarray:
@@ -61,25 +67,25 @@ def sub(a: Var, b: Var) -> Var:
 
 
 def mul(a: Var, b: Var) -> Var:
-    return Var(a.value * b.value, (a, b), lambda g: (_fit(g * b.value, a.value.shape), _fit(g * a.value, b.value.shape)))
+    return Var(a.value * b.value, (a, b), lambda g: (None if a.fixed else _fit(g * b.value, a.value.shape), None if b.fixed else _fit(g * a.value, b.value.shape)))
 
 
 def times(a: Var, w: Var) -> Var:
     """a [n, i] by w [i, o]."""
-    return Var(a.value @ w.value, (a, w), lambda g: (g @ w.value.T, a.value.T @ g))
+    return Var(a.value @ w.value, (a, w), lambda g: (None if a.fixed else g @ w.value.T, a.value.T @ g))
 
 
 def activate(a: Var, kind: str) -> Var:
     if kind == "relu":
         on = a.value > 0
-        return Var(a.value * on, (a,), lambda g: (g * on,))
+        return Var(np.maximum(a.value, 0), (a,), lambda g: (g * on,))
     t = np.tanh(a.value)
     return Var(t, (a,), lambda g: (g * (1 - t * t),))
 
 
 def softplus(a: Var) -> Var:
     v = a.value
-    return Var(np.maximum(v, 0) + np.log1p(np.exp(-np.abs(v))), (a,), lambda g: (g / (1 + np.exp(-np.clip(v, -500, 500))),))
+    return Var(np.maximum(v, 0) + np.log1p(np.exp(-np.abs(v))), (a,), lambda g: (g / (1 + np.exp(-np.clip(v, -80, 80))),))
 
 
 def softmax(a: Var) -> Var:
@@ -97,36 +103,69 @@ def mean(a: Var) -> Var:
     return Var(a.value.sum() / n, (a,), lambda g: (np.full(a.value.shape, float(g) / n),))
 
 
-def take(a: Var, at: np.ndarray) -> Var:
-    def back(g):
-        out = np.zeros_like(a.value)
-        np.add.at(out, at, g)
-        return (out,)
+def _sums(rows: np.ndarray, at: np.ndarray, n: int) -> np.ndarray:
+    """Sum of the rows that go to each of n places; quick where ``at`` rises."""
+    if rows.ndim == 1:
+        return np.bincount(at, rows, n)
+    if len(at) and (np.diff(at) < 0).any():
+        order = np.argsort(at, kind="stable")
+        rows, at = rows[order], at[order]
+    out = np.zeros((n, rows.shape[1]), rows.dtype)
+    if len(at):
+        first = np.flatnonzero(np.concatenate(([True], at[1:] != at[:-1])))
+        out[at[first]] = np.add.reduceat(rows, first, axis=0)
+    return out
 
-    return Var(a.value[at], (a,), back)
+
+def take(a: Var, at: np.ndarray) -> Var:
+    return Var(a.value[at], (a,), lambda g: (_sums(g, at, len(a.value)),))
 
 
 def segment_mean(a: Var, seg: np.ndarray, n: int) -> Var:
     """Mean of the rows of each segment; a segment without rows is zero."""
     size = np.maximum(np.bincount(seg, minlength=n), 1)[:, None]
-    out = np.zeros((n, a.value.shape[1]))
-    np.add.at(out, seg, a.value)
-    return Var(out / size, (a,), lambda g: ((g / size)[seg],))
+    return Var(_sums(a.value, seg, n) / size, (a,), lambda g: ((g / size)[seg],))
+
+
+def row(a: Var) -> Var:
+    """A vector as one row."""
+    return Var(a.value[None, :], (a,), lambda g: (g[0],))
 
 
 def square(a: Var) -> Var:
     return Var(a.value**2, (a,), lambda g: (2 * a.value * g,))
 
 
-const = Var
+def const(value) -> Var:
+    """A value that needs no gradient."""
+    return Var(value, fixed=True)
+
+
+def stacked(parts: list[Var]) -> Var:
+    """Matrices of one width below each other."""
+    at = np.cumsum([0, *[len(p.value) for p in parts]])
+    return Var(np.concatenate([p.value for p in parts]), tuple(parts), lambda g: tuple(g[a:b] for a, b in zip(at, at[1:])))
+
+
+class Relation(NamedTuple):
+    """Widths of a neighbour's features and of its second hop.
+
+    own: the second hop are nodes of the target's type, with the target's features; back: a neighbour also receives
+    from the target, of which it knows no other.
+    """
+
+    x: int
+    m: int
+    own: bool = False
+    back: bool = False
 
 
 @dataclass(frozen=True)
 class Spec:
-    """Widths: target features, and per relation (neighbour features, second-hop features)."""
+    """Width of the target's features, and the relations."""
 
     x: int
-    relations: tuple[tuple[int, int], ...] = ()
+    relations: tuple[Relation, ...] = ()
 
 
 class Model:
@@ -159,28 +198,43 @@ class GraphEncoder(Model):
 
     def encoder_shapes(self) -> dict[str, tuple]:
         h, out = self.hidden, dense("in", self.spec.x, self.hidden) | {"self1": (self.hidden,) * 2, "self2": (self.hidden,) * 2}
-        for k, (d, m) in enumerate(self.spec.relations):
-            out |= dense(f"nb{k}", d, h) | dense(f"far{k}", m, h) | {f"rel1_{k}": (h, h), f"far1_{k}": (h, h), f"rel2_{k}": (h, h)}
+        for k, r in enumerate(self.spec.relations):
+            out |= dense(f"nb{k}", r.x, h) | ({} if r.own else dense(f"far{k}", r.m, h)) | {f"rel1_{k}": (h, h), f"far1_{k}": (h, h), f"rel2_{k}": (h, h)}
+            out |= {f"back1_{k}": (h, h)} if r.back else {}
         return out
 
-    def encode(self, p, batch) -> tuple[Var, list[Var]]:
-        """z of the targets and the first-layer states of all neighbours, relation by relation."""
+    def layers(self, p, batch) -> tuple[Var, Var, list[Var]]:
+        """z and first-layer states of the targets, and first-layer states of all neighbours, relation by relation."""
         n, h0 = len(batch["x"]), affine(p, "in", const(batch["x"]))
-        own, far = times(h0, p["self1"]), []
-        for k, r in enumerate(batch["relations"]):
-            nb = affine(p, f"nb{k}", const(r["x"]))
-            own = add(own, times(segment_mean(nb, r["seg"], n), p[f"rel1_{k}"]))
-            second = mul(affine(p, f"far{k}", const(r["m"])), const(r["has"][:, None]))
-            far.append(activate(add(times(nb, p["self1"]), times(second, p[f"far1_{k}"])), self.act))
-        z = times(activate(own, self.act), p["self2"])
+        own, first = times(h0, p["self1"]), []
+        # An affine map behind another: the weights are multiplied first, the bias is a row of its own.
+        through = lambda name, w: [times(p[f"W{name}"], w), times(row(p[f"b{name}"]), w)]
+        for k, (spec, r) in enumerate(zip(self.spec.relations, batch["relations"])):
+            some = (np.bincount(r["seg"], minlength=n) > 0)[:, None].astype(float)
+            mean_x = segment_mean(const(r["x"]), r["seg"], n).value
+            own = add(own, times(const(np.hstack([mean_x, some])), stacked(through(f"nb{k}", p[f"rel1_{k}"]))))
+            seen = np.hstack([r["x"], np.ones((len(r["x"]), 1)), r["m"] * r["has"][:, None], r["has"][:, None]])
+            state = times(const(seen), stacked(through(f"nb{k}", p["self1"]) + through("in" if spec.own else f"far{k}", p[f"far1_{k}"])))
+            if spec.back:
+                state = add(state, take(times(h0, p[f"back1_{k}"]), r["seg"]))
+            first.append(activate(state, self.act))
+        h1 = activate(own, self.act)
+        z = times(h1, p["self2"])
         for k, r in enumerate(batch["relations"]):
-            z = add(z, times(segment_mean(far[k], r["seg"], n), p[f"rel2_{k}"]))
-        return activate(z, self.act), far
+            z = add(z, times(segment_mean(first[k], r["seg"], n), p[f"rel2_{k}"]))
+        return activate(z, self.act), h1, first
+
+    def encode(self, p, batch) -> Var:
+        return self.layers(p, batch)[0]
+
+    def embed(self, p, batch) -> np.ndarray:
+        """Embeddings of the targets."""
+        return self.encode(p, batch).value
 
 
 def rank_loss(score: Var, y: np.ndarray, rng: np.random.Generator, pairs: int = 4096) -> Var | None:
-    """Mean softplus of (negative minus positive) over sampled pairs."""
-    pos, neg = np.flatnonzero(y == 1), np.flatnonzero(y != 1)
+    """Mean softplus of (negative minus positive) over drawn pairs of labelled rows."""
+    pos, neg = np.flatnonzero(y == 1), np.flatnonzero(y == 0)
     if not len(pos) or not len(neg):
         return None
     i, j = rng.choice(pos, pairs), rng.choice(neg, pairs)
@@ -198,44 +252,61 @@ class RelationalAutoencoder(GraphEncoder):
 
     def shapes(self):
         out = self.encoder_shapes() | dense("d1", self.hidden, self.hidden) | dense("d2", self.hidden, self.spec.x)
-        return out | ({f"edge{k}": (self.hidden, self.hidden) for k in range(len(self.spec.relations))} if self.alpha else {})
+        return out | ({f"{name}{k}": (self.hidden, self.hidden) for k in range(len(self.spec.relations)) for name in ("edge", "back2_")} if self.alpha else {})
 
     def error(self, p, batch, z: Var) -> Var:
         back = affine(p, "d2", activate(affine(p, "d1", z), self.act))
         return row_sum(square(sub(back, const(batch["x"]))))
 
-    def edge_terms(self, p, batch, z: Var, far: list[Var], rng) -> list[tuple[Var, np.ndarray]]:
-        """Per relation the BCE of observed edges and of as many with a drawn other endpoint."""
+    def edge_terms(self, p, batch, z: Var, h1: Var, first: list[Var], rng) -> list[tuple[Var, np.ndarray]]:
+        """Per relation the BCE of observed edges, each with that of a drawn pair that is no edge, and the targets.
+
+        Both ends are second-layer states; a neighbour's second layer sees the target it was reached from.
+        """
         out = []
         for k, r in enumerate(batch["relations"]):
             if len(r["seg"]):
-                ends = times(take(z, r["seg"]), p[f"edge{k}"])
-                yes = row_sum(mul(ends, far[k]))
-                no = row_sum(mul(ends, take(far[k], rng.permutation(len(r["seg"])))))
-                out.append((add(softplus(sub(const(0.0), yes)), softplus(no)), r["seg"]))
+                other = activate(add(times(first[k], p["self2"]), take(times(h1, p[f"back2_{k}"]), r["seg"])), self.act)
+                ends = take(times(z, p[f"edge{k}"]), r["seg"])
+                drawn, real = non_edges(r["seg"], r["id"], rng)
+                yes, no = row_sum(mul(ends, other)), row_sum(mul(ends, take(other, drawn)))
+                out.append((add(softplus(sub(const(0.0), yes)), mul(softplus(no), const(real.astype(float)))), r["seg"]))
         return out
 
     def loss(self, p, batch, rng) -> Var:
-        z, far = self.encode(p, batch)
+        z, h1, first = self.layers(p, batch)
         score = self.error(p, batch, z)
         total = mean(score)
         if self.alpha:
-            for term, _ in self.edge_terms(p, batch, z, far, rng):
+            for term, _ in self.edge_terms(p, batch, z, h1, first, rng):
                 total = add(total, mul(const(self.alpha), mean(term)))
         if self.beta and (rank := rank_loss(score, batch["y"], rng)) is not None:
             total = add(total, mul(const(self.beta), rank))
         return total
 
     def score(self, p, batch) -> np.ndarray:
-        z, far = self.encode(p, batch)
+        z, h1, first = self.layers(p, batch)
         out = self.error(p, batch, z).value.copy()
         if self.alpha:
-            for term, seg in self.edge_terms(p, batch, z, far, np.random.default_rng(0)):
+            for term, seg in self.edge_terms(p, batch, z, h1, first, np.random.default_rng(0)):
                 size = np.maximum(np.bincount(seg, minlength=len(out)), 1)
                 out += self.alpha * np.bincount(seg, term.value, len(out)) / size
         return out
 
 
+def non_edges(seg: np.ndarray, ids: np.ndarray, rng: np.random.Generator, tries: int = 8) -> tuple[np.ndarray, np.ndarray]:
+    """For every edge a drawn neighbour of the batch to which its target has no edge, and whether one was found."""
+    _, number = np.unique(ids, return_inverse=True)
+    edges = np.unique(seg.astype(np.int64) * (number.max() + 1) + number)
+    drawn = rng.integers(0, len(seg), len(seg))
+    for _ in range(tries):
+        bad = np.isin(seg.astype(np.int64) * (number.max() + 1) + number[drawn], edges)
+        if not bad.any():
+            break
+        drawn[bad] = rng.integers(0, len(seg), int(bad.sum()))
+    return drawn, ~np.isin(seg.astype(np.int64) * (number.max() + 1) + number[drawn], edges)
+
+
 class SupervisedGraph(GraphEncoder):
     """The same encoder with a logistic head; ``weighted`` balances the classes."""
 
@@ -249,14 +320,16 @@ class SupervisedGraph(GraphEncoder):
         return self.encoder_shapes() | dense("out", self.hidden, 1)
 
     def logits(self, p, batch) -> Var:
-        return row_sum(affine(p, "out", self.encode(p, batch)[0]))
+        return row_sum(affine(p, "out", self.encode(p, batch)))
 
     def loss(self, p, batch, rng) -> Var:
-        logit, y = self.logits(p, batch), np.nan_to_num(batch["y"])
-        w = np.ones(len(y))
-        if self.weighted and 0 < y.sum() < len(y):
-            w = np.where(y == 1, len(y) / (2 * y.sum()), len(y) / (2 * (len(y) - y.sum())))
-        return mean(mul(const(w), sub(softplus(logit), mul(const(y), logit))))
+        logit, known = self.logits(p, batch), ~np.isnan(batch["y"])
+        y = np.where(known, batch["y"], 0.0)
+        # A row without a label adds nothing; the mean is over those that have one.
+        n, w = max(1, known.sum()), known.astype(float)
+        if self.weighted and 0 < y.sum() < n:
+            w = w * np.where(y == 1, n / (2 * y.sum()), n / (2 * (n - y.sum())))
+        return mean(mul(const(w * len(y) / n), sub(softplus(logit), mul(const(y), logit))))
 
     def score(self, p, batch) -> np.ndarray:
         return self.logits(p, batch).value
@@ -269,7 +342,7 @@ class Mlp(SupervisedGraph):
         return dense("in", self.spec.x, self.hidden) | dense("mid", self.hidden, self.hidden)
 
     def encode(self, p, batch):
-        return activate(affine(p, "mid", activate(affine(p, "in", const(batch["x"])), self.act)), self.act), []
+        return activate(affine(p, "mid", activate(affine(p, "in", const(batch["x"])), self.act)), self.act)
 
 
 class Autoencoder(Model):
@@ -298,29 +371,36 @@ class Autoencoder(Model):
 
 
 class DeepSvdd(Model):
-    """Distance from a fixed centre in the space of a network without biases."""
+    """Distance from a fixed centre in the space of a network without biases.
+
+    ``nu`` makes the boundary soft: only what lies outside the radius that holds a share 1 - nu of a batch adds to the loss.
+    """
 
     def shapes(self):
         return {"w1": (self.spec.x, self.hidden), "w2": (self.hidden, self.hidden)}
 
-    def __init__(self, spec, hidden=16, seed=0, act="relu", decay=1e-4):
-        self.decay, self.centre = decay, None
+    def __init__(self, spec, hidden=16, seed=0, act="relu", decay=1e-4, nu: float | None = None):
+        self.decay, self.nu, self.centre = decay, nu, None
         super().__init__(spec, hidden, seed, act)
 
     def prepare(self, batch) -> None:
         """Centre of the first embeddings, moved away from zero."""
-        c = self.embed(self.vars(), batch).value.mean(axis=0)
+        c = self.embedded(self.vars(), batch).value.mean(axis=0)
         self.centre = np.where(np.abs(c) < 0.1, np.where(c < 0, -0.1, 0.1), c)
 
-    def embed(self, p, batch) -> Var:
+    def embedded(self, p, batch) -> Var:
         return times(activate(times(const(batch["x"]), p["w1"]), self.act), p["w2"])
 
     def distance(self, p, batch) -> Var:
-        return row_sum(square(sub(self.embed(p, batch), const(self.centre))))
+        return row_sum(square(sub(self.embedded(p, batch), const(self.centre))))
 
     def loss(self, p, batch, rng) -> Var:
-        weights = add(mean(square(p["w1"])), mean(square(p["w2"])))
-        return add(mean(self.distance(p, batch)), mul(const(self.decay), weights))
+        weights, distance = add(mean(square(p["w1"])), mean(square(p["w2"]))), self.distance(p, batch)
+        if self.nu:
+            radius = float(np.quantile(distance.value, 1 - self.nu))
+            outside = distance.value > radius
+            distance = mul(sub(distance, const(radius)), const(outside / self.nu))
+        return add(mean(distance), mul(const(self.decay), weights))
 
     def score(self, p, batch):
         return self.distance(p, batch).value
@@ -356,10 +436,16 @@ class DecomposedRepresentation(Model):
 
 
 class Adam:
-    """Moment estimates with bias correction."""
+    """Moment estimates with bias correction; ``state`` goes from round to round."""
 
-    def __init__(self, rate: float = 0.001, b1: float = 0.9, b2: float = 0.999, eps: float = 1e-8):
-        self.rate, self.b1, self.b2, self.eps, self.t, self.m, self.v = rate, b1, b2, eps, 0, {}, {}
+    def __init__(self, rate: float = 0.001, b1: float = 0.9, b2: float = 0.999, eps: float = 1e-8, state: tuple | None = None):
+        self.rate, self.b1, self.b2, self.eps = rate, b1, b2, eps
+        self.t, self.m, self.v = state or (0, {}, {})
+        self.m, self.v = dict(self.m), dict(self.v)
+
+    @property
+    def state(self) -> tuple:
+        return self.t, self.m, self.v
 
     def step(self, params: dict[str, np.ndarray], grads: dict[str, np.ndarray]) -> None:
         self.t += 1
@@ -370,27 +456,83 @@ class Adam:
 
 
 def part_of(batch: dict, at: np.ndarray) -> dict:
-    """The batch of some targets with their neighbours."""
-    place = np.full(len(batch["x"]), -1)
-    place[at] = np.arange(len(at))
+    """The batch of some targets, in rising order, with their neighbours."""
+    at = np.sort(at)
     relations = []
     for r in batch["relations"]:
-        keep = place[r["seg"]] >= 0
-        relations.append({"seg": place[r["seg"][keep]], "x": r["x"][keep], "m": r["m"][keep], "has": r["has"][keep]})
+        low, high = np.searchsorted(r["seg"], at, "left"), np.searchsorted(r["seg"], at, "right")
+        n = high - low
+        keep = np.repeat(low - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(n.sum()) if len(at) else np.empty(0, int)
+        relations.append({"seg": np.repeat(np.arange(len(at)), n), **{c: r[c][keep] for c in ("id", "x", "m", "has")}})
     return {"x": batch["x"][at], "y": batch["y"][at], "relations": relations}
 
 
-def local_steps(model: Model, batch: dict, steps: int, size: int, rate: float, seed: int) -> dict[str, np.ndarray]:
-    """Parameters after ``steps`` mini-batches on one shard, or as many as all its rows take, in drawn order; each adds positives drawn anew from all of the shard's."""
-    rng, adam = np.random.default_rng(seed), Adam(rate)
-    params, rows = dict(model.params), len(batch["x"])
-    positives, order = np.flatnonzero(batch["y"] == 1), np.zeros(0, int)
-    for _ in range(max(steps, -(-rows // size))):
-        while len(order) < min(size, rows):
-            order = np.concatenate((order, rng.permutation(rows)))
-        drawn, order = order[:size], order[size:]
-        at = np.unique(np.concatenate((drawn, rng.choice(positives, min(len(positives), size // 2), replace=False))))
-        p = {k: Var(v) for k, v in params.items()}
-        model.loss(p, part_of(batch, at), rng).backward()
-        adam.step(params, {k: v.grad for k, v in p.items() if v.grad is not None})
-    return params
+def joined(batches: list[dict]) -> dict:
+    """Several batches as one."""
+    if len(batches) == 1:
+        return batches[0]
+    first = np.cumsum([0, *[len(b["x"]) for b in batches]])
+    relations = []
+    for k in range(len(batches[0]["relations"])):
+        parts = [b["relations"][k] for b in batches]
+        relations.append({"seg": np.concatenate([r["seg"] + a for r, a in zip(parts, first)]), **{c: np.concatenate([r[c] for r in parts]) for c in ("id", "x", "m", "has")}})
+    return {"x": np.concatenate([b["x"] for b in batches]), "y": np.concatenate([b["y"] for b in batches]), "relations": relations}
+
+
+def mini_batches(stream, steps: int, size: int, rng: np.random.Generator, pool: int = 4096):
+    """Batches of about ``size`` rows from a stream of batches: every row once, in an order drawn within each of them.
+
+    Each comes with up to half as many positives again, drawn anew from a sample of ``pool`` of those seen so far.  A stream
+    that gives fewer than ``steps`` batches is held whole, and passes over it go on until there are as many.
+    """
+    held, rows, made, reservoir = [], 0, 0, None
+
+    def with_positives(part: dict) -> dict:
+        if reservoir is None:
+            return part
+        extra = rng.permutation(len(reservoir["x"]))[: size // 2]
+        return joined([part, part_of(reservoir, extra)])
+
+    for batch in stream:
+        n = len(batch["x"])
+        positives = np.flatnonzero(batch["y"] == 1)
+        if len(positives):
+            both = joined([reservoir, part_of(batch, positives)]) if reservoir is not None else part_of(batch, positives)
+            if len(both["x"]) > pool:
+                both = part_of(both, rng.choice(len(both["x"]), pool, replace=False))
+            reservoir = both
+        order = rng.permutation(n)
+        for a in range(0, n, size):
+            yield with_positives(part_of(batch, order[a : a + size]))
+            made += 1
+        if rows + n <= steps * size:
+            held.append(batch)
+        rows += n
+    if not held or not rows:
+        return
+    whole = joined(held)
+    while made < steps:
+        order = rng.permutation(len(whole["x"]))
+        for a in range(0, len(order), size):
+            if made < steps:
+                yield with_positives(part_of(whole, order[a : a + size]))
+                made += 1
+
+
+def train_steps(models: dict[str, Model], states: dict[str, tuple], stream, steps: int, size: int, rates: dict[str, float], seed: int) -> tuple[int, dict[str, tuple]]:
+    """Rows seen and (parameters, optimiser state) of every model after one run through the stream; all models see the same batches."""
+    adams = {k: Adam(rates[k], state=states.get(k)) for k in models}
+    params, rngs, rows = {k: dict(m.params) for k, m in models.items()}, {k: np.random.default_rng([seed, i]) for i, k in enumerate(sorted(models))}, 0
+
+    def counted():
+        nonlocal rows
+        for batch in stream:
+            rows += len(batch["x"])
+            yield batch
+
+    for batch in mini_batches(counted(), steps, size, np.random.default_rng(seed)):
+        for k, model in models.items():
+            p = {name: Var(v) for name, v in params[k].items()}
+            model.loss(p, batch, rngs[k]).backward()
+            adams[k].step(params[k], {name: v.grad for name, v in p.items() if v.grad is not None})
+    return rows, {k: (params[k], adams[k].state) for k in models}

@@ -225,7 +225,7 @@ def _tune(spark, sf_dir):
 @query("partial_documents")
 def _partial(spark, sf_dir):
     """Documents of which only some are labelled; the others stay in the graph."""
-    return experiments.compare(detector.document_task(spark, sf_dir), folder(spark), "review", ["detector_no_rules", "gnn_weighted", "ae", "mlp", "random"], rounds=2)
+    return experiments.compare(detector.document_task(spark, sf_dir), folder(spark), "review", ["detector_no_rules", "gnn_weighted", "ae", "mlp", "random"], experiments.Settings(rounds=4, seeds=2, prevalence=None))
 
 
 @query("sampled_vs_full")
@@ -234,7 +234,7 @@ def _sampled(spark, sf_dir):
     task = detector.cyber_task(spark, sf_dir)
     task.rows = task.rows.cache()
     rows, spec = detector.assembled(task)
-    scores = trainer.fit(rows.cache(), nn.SupervisedGraph(spec, 16, 0), 2).transform(rows)
+    scores = trainer.fit(rows.cache(), nn.SupervisedGraph(spec, 128, 0), 4).transform(rows)
     dated = scores.join(task.rows.select("target", "event", "t"), "target")
     sample = graph.anchors(dated.filter("split = 'test'"), 20, 10, "2024-01-01", 30)
     return experiments.union([experiments.result("cyber", "full", "labels", dated), experiments.result("cyber", "sampled", "labels", sample)])

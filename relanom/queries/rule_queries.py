@@ -101,7 +101,7 @@ SELECT tree::BIGINT AS tree, node::BIGINT AS leaf, n::BIGINT AS rows, substr(pat
 
 def _tree_paths(spark):
     nodes = spark.createDataFrame(TREES, "tree long, node long, left long, right long, feature long, threshold double, rows long, p double")
-    found = rules.paths(nodes, 10, 4)
+    found = rules.paths(nodes, 10)
     path = F.array_join(F.transform("conditions", lambda c: F.concat(F.lit("f"), c["feature"].cast("string"), c["op"], c["threshold"].cast("string"))), ";")
     return found.withColumn("path", path)
 
@@ -130,14 +130,19 @@ def _dedupe(spark, sf_dir):
     return sums.select(F.explode(F.array(*[f"r{i}" for i in range(len(texts))])).alias("s")).select("s.*").distinct().agg(F.count("*").alias("n"))
 
 
-PROPOSED = ["bought <= 3.0", "nothing > 1", "y = 1", "bought +", "bought", "rand() < 0.5", "entity > 5"]
+PROPOSED = {
+    "bought <= 3.0": "ok", "abs(trend) > 1 AND coalesce(price_max, 0) > 10": "ok", "nothing > 1": "column", "y = 1": "forbidden column", "entity > 5": "forbidden column", "bought +": "syntax", "bought; drop": "syntax", "bought": "type",
+    "rand() < 0.5": "function", "random() < 0.5": "function", "monotonically_increasing_id() > 3": "function", "stddev(bought) > 1": "function", "median(bought) > 1": "function", "sum(bought) OVER () > 1": "function",
+    "bought > (SELECT 1)": "function", "current_date() > DATE 2020-01-01": "syntax", "now() > TIMESTAMP ''2020-01-01 00:00:00''": "function", "explode(array(true))": "function",
+}
 
 
-@query("rule_rejections", "SELECT * FROM (VALUES ('bought <= 3.0', 'ok'), ('nothing > 1', 'column'), ('y = 1', 'forbidden column'), ('bought +', 'syntax'), ('bought', 'type'), ('rand() < 0.5', 'function'), ('entity > 5', 'forbidden column')) t(text, reason)")
+@query("rule_rejections", "SELECT * FROM (VALUES " + ", ".join(f"('{t}', '{r}')" for t, r in PROPOSED.items()) + ") t(text, reason)")
 def _rejections(spark, sf_dir):
     v = view(spark, sf_dir)
     allowed = {c for c in v.columns if c not in ("entity", "y")}
-    return spark.createDataFrame([(t, rules.problem(v, t, allowed) or "ok") for t in PROPOSED], "text string, reason string")
+    texts = [t.replace("''", "'") for t in PROPOSED]
+    return spark.createDataFrame([(t, rules.problem(v, t, allowed) or "ok") for t in texts], "text string, reason string")
 
 
 @query("refine_rescore", f"{_VIEW}, {_MEASURED} SELECT text, support, round(confidence, 6) AS confidence, row_number() OVER (ORDER BY confidence DESC, support DESC, len(string_split(text, ' AND ')), text)::BIGINT AS rank FROM m WHERE support >= 1")

@@ -1,8 +1,8 @@
 """Rules: forest paths to predicates, validation, measuring, selection, refinement, freezing, application.
 
 A rule is an array of (feature, op, threshold) conditions with its canonical text; free
-predicates are SQL texts.  All rules are measured in one scan: chunks of at most
-``CHUNK`` predicates stay inside generated code, and each contributes two counters.
+predicates are SQL texts.  All rules are measured in one scan, which returns two counters per
+rule and task: conditions are compared on Arrow batches, free texts come as packed bits.
 """
 
 from __future__ import annotations
@@ -11,16 +11,22 @@ import json
 import re
 from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
+from functools import reduce
 from hashlib import sha256
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from relanom import forest
 from relanom.draws import u
 from relanom.tasks import Preset
 
-CHUNK = 64
-FORBIDDEN_NAMES = re.compile(r"\b(select|from|over|reflect|java_method|rand|randn|uuid|current_\w+|now|input_file\w*|sum|avg|count|min_by|max_by|collect_\w+)\b", re.I)
+#: Predicates packed into one long.
+CHUNK = 62
+#: Expressions whose value is not a function of the row alone, by the names of their classes.
+REFUSED = re.compile(r"Aggregate|Window|Subquery|ListQuery|Exists|UDF|Current|Now$|LocalTimestamp|InputFile|SparkPartitionID|Reflection|Uuid|Rand|Generator|Explode|Inline$|StaticInvoke|Version$")
+
+Conditions = list[tuple[str, str, float]]
 
 
 def text_of(conditions: Iterable[tuple[str, str, float]]) -> str:
@@ -40,43 +46,32 @@ def canonical(conditions: Iterable[tuple[str, str, float]]) -> list[tuple[str, s
 
 
 # ---- forest
-def fit_forest(view: DataFrame, features: list[str], preset: Preset, seed: int = 0):
-    """Random forest with balanced class weights over numeric features; nulls are -1, and rules are measured anew on the nulls themselves."""
-    from pyspark.ml.classification import RandomForestClassifier
-    from pyspark.ml.functions import array_to_vector
-
-    from relanom.splits import class_weights
-
-    rows = view.join(F.broadcast(class_weights(view)), "y").select(array_to_vector(F.array(*[F.coalesce(F.col(f).cast("double"), F.lit(-1.0)) for f in features])).alias("features"), F.col("y").cast("double").alias("label"), "weight")
-    forest = RandomForestClassifier(numTrees=preset.trees, maxDepth=preset.max_depth, minInstancesPerNode=preset.min_leaf, weightCol="weight", maxBins=64, seed=seed, featureSubsetStrategy="sqrt")
-    return forest.fit(rows)
-
-
-def node_table(spark: SparkSession, model, folder: str) -> DataFrame:
-    """(tree, node, left, right, feature, threshold, rows, p) of every node, read back from the saved model."""
-    model.write().overwrite().save(folder)
-    data = spark.read.parquet(f"{folder}/data")
-    n = "nodeData"
-    stats = F.col(f"{n}.impurityStats")
-    share = F.try_divide(F.element_at(stats, 2), F.element_at(stats, 1) + F.element_at(stats, 2))
-    return data.select(F.col("treeID").cast("long").alias("tree"), F.col(f"{n}.id").cast("long").alias("node"), F.col(f"{n}.leftChild").cast("long").alias("left"), F.col(f"{n}.rightChild").cast("long").alias("right"), F.col(f"{n}.split.featureIndex").cast("long").alias("feature"), F.element_at(F.col(f"{n}.split.leftCategoriesOrThreshold"), 1).alias("threshold"), F.col(f"{n}.rawCount").cast("long").alias("rows"), F.coalesce(share, F.lit(0.0)).alias("p"))
-
-
-def paths(nodes: DataFrame, first_trees: int, depth: int = 30) -> DataFrame:
-    """(tree, leaf, rows, p, conditions): every root-to-leaf path of the first trees, one join per level."""
-    nodes = nodes.filter(F.col("tree") < first_trees)
-    condition = F.struct("feature", F.lit("<=").alias("op"), "threshold")
-    other = F.struct("feature", F.lit(">").alias("op"), "threshold")
-    steps = nodes.filter("left >= 0").select("tree", F.col("left").alias("child"), F.col("node").alias("parent"), condition.alias("c")).unionByName(nodes.filter("left >= 0").select("tree", F.col("right").alias("child"), F.col("node").alias("parent"), other.alias("c")))
-    steps = F.broadcast(steps)  # nodes of at most first_trees trees: bounded by the preset
-    front = nodes.filter("left < 0").select("tree", F.col("node").alias("leaf"), "rows", "p", F.col("node").alias("at"), F.array().cast("array<struct<feature:bigint,op:string,threshold:double>>").alias("conditions"))
-    done = None
-    for _ in range(depth):
-        moved = front.join(steps, (front["tree"] == steps["tree"]) & (front["at"] == steps["child"]), "left").select(front["tree"], "leaf", "rows", "p", F.col("parent").alias("at"), F.when(F.col("c").isNotNull(), F.concat(F.array("c"), "conditions")).otherwise(F.col("conditions")).alias("conditions"))
-        finished = moved.filter("at is null").drop("at")
-        done = finished if done is None else done.unionByName(finished)
-        front = moved.filter("at is not null")
-    return done.unionByName(front.drop("at")).filter(F.size("conditions") > 0)
+PATHS = "tree long, leaf long, rows long, p double, conditions array<struct<feature:long,op:string,threshold:double>>"
+
+
+def paths(nodes: DataFrame, first_trees: int, leaf_rows: int = 0, leaf_positive: float = 0.0) -> DataFrame:
+    """(tree, leaf, rows, p, conditions): root-to-leaf paths of the first trees to leaves with enough rows and positives.
+
+    A tree's nodes meet in one task; they are bounded by the sample it was grown on.
+    """
+    import pandas as pd
+
+    def climb(pdf):
+        parent = {}
+        for node, left, right, feature, threshold in zip(pdf["node"], pdf["left"], pdf["right"], pdf["feature"], pdf["threshold"]):
+            if left >= 0:
+                parent[left], parent[right] = (node, (feature, "<=", threshold)), (node, (feature, ">", threshold))
+        out = []
+        for tree, node, left, rows, p in zip(pdf["tree"], pdf["node"], pdf["left"], pdf["rows"], pdf["p"]):
+            if left < 0 and node in parent and rows >= leaf_rows and p >= leaf_positive:
+                conditions, at = [], node
+                while at in parent:
+                    at, step = parent[at]
+                    conditions.append(dict(zip(("feature", "op", "threshold"), step)))
+                out.append((tree, node, rows, p, conditions[::-1]))
+        return pd.DataFrame(out, columns=["tree", "leaf", "rows", "p", "conditions"])
+
+    return nodes.filter(F.col("tree") < first_trees).groupBy("tree").applyInPandas(climb, PATHS)
 
 
 def candidates(found: DataFrame, features: list[str], preset: Preset) -> list[list[tuple[str, str, float]]]:
@@ -91,40 +86,109 @@ def candidates(found: DataFrame, features: list[str], preset: Preset) -> list[li
 
 
 # ---- validation
+def _refused(expression) -> bool:
+    """Whether an analysed expression or a part of it depends on more than the row."""
+    if not expression.deterministic() or REFUSED.search(expression.getClass().getSimpleName()):
+        return True
+    children = expression.children()
+    return any(_refused(children.apply(i)) for i in range(children.size()))
+
+
 def problem(view: DataFrame, text: str, allowed: set[str]) -> str | None:
-    """Why a predicate text is refused, or None: its columns, its functions, its type are checked on the analysed plan."""
-    if FORBIDDEN_NAMES.search(text) or ";" in text:
-        return "function"
+    """Why a predicate text is refused, or None: functions, columns and type are read off the analysed plan."""
     try:
         parsed = view.limit(0).select(F.expr(text).alias("ok"))
     except Exception as e:  # the parser and the analyser raise several kinds
         return "column" if "UNRESOLVED_COLUMN" in str(e) else "syntax"
+    plan = parsed._jdf.queryExecution().analyzed()
+    # Aggregates, windows and generators make a plan of their own around the projection.
+    if plan.getClass().getSimpleName() != "Project" or plan.children().apply(0).getClass().getSimpleName() != "GlobalLimit":
+        return "function"
+    expression = plan.projectList().apply(0)
+    if _refused(expression):
+        return "function"
     if parsed.schema["ok"].dataType.simpleString() != "boolean":
         return "type"
-    names = {m for m in re.findall(r"[A-Za-z_]\w*", re.sub(r"'[^']*'", "", text)) if m in view.columns}
+    used = expression.references().toSeq()
+    names = {used.apply(i).name() for i in range(used.size())}
     return None if names <= allowed else "forbidden column"
 
 
+def executable(view: DataFrame, texts: list[str]) -> list[str]:
+    """The predicates that run through on all rows; one job, and halves of what fails."""
+    if not texts:
+        return []
+    try:
+        view.select(*[satisfied(t).alias(f"r{i}") for i, t in enumerate(texts)]).write.format("noop").mode("overwrite").save()
+    except Exception:
+        return [] if len(texts) == 1 else [*executable(view, texts[: len(texts) // 2]), *executable(view, texts[len(texts) // 2 :])]
+    return texts
+
+
 # ---- measuring
 def satisfied(text: str) -> Column:
     """The predicate with NULL as not satisfied."""
     return F.coalesce(F.expr(text), F.lit(False))
 
 
-def measure(view: DataFrame, rules: list[str]) -> DataFrame:
-    """(rule, text, support, confidence, lift) of each predicate over a view with y; one scan per chunk."""
-    parts = []
-    for at in range(0, len(rules), CHUNK):
-        some = rules[at : at + CHUNK]
-        rows = view.select("y", *[satisfied(r).alias(f"r{i}") for i, r in enumerate(some)])
-        sums = [F.struct(F.lit(at + i).cast("long").alias("rule"), F.lit(r).alias("text"), F.count_if(f"r{i}").alias("support"), F.count_if(F.col(f"r{i}") & (F.col("y") == 1)).alias("hits")).alias(f"s{i}") for i, r in enumerate(some)]
-        summed = rows.agg(F.avg("y").alias("base"), *sums)
-        parts.append(summed.select("base", F.explode(F.array(*[f"s{i}" for i in range(len(some))])).alias("s")).select("base", "s.*"))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
+def _counter(rules: list[Conditions | None], names: list[str]):
+    """Per task (rule, rows, positives, support, hits) of all rules over batches of y, packed bits and features."""
+    import numpy as np
+    import pyarrow as pa
+
+    schema = pa.schema([(c, pa.int64()) for c in ("rule", "labelled", "positives", "support", "hits")])
+    texts = [i for i, r in enumerate(rules) if r is None]
+
+    def values(column) -> np.ndarray:
+        x = column.to_numpy(zero_copy_only=False).astype(float)
+        known = column.is_valid().to_numpy(zero_copy_only=False)
+        # To Spark a stored NaN is greater than any number.
+        return np.where(known & np.isnan(x), np.inf, x)
+
+    def run(batches):
+        support, hits, labelled, positives = np.zeros(len(rules), np.int64), np.zeros(len(rules), np.int64), 0, 0
+        for batch in batches:
+            y = values(batch.column("y"))
+            one = y == 1
+            labelled, positives = labelled + int((~np.isnan(y)).sum()), positives + int(one.sum())
+            for k, i in enumerate(texts):
+                bit = (batch.column(f"_bits{k // CHUNK}").to_numpy(zero_copy_only=False) >> (k % CHUNK) & 1).astype(bool)
+                support[i] += bit.sum()
+                hits[i] += (bit & one).sum()
+            x, known = {f: values(batch.column(f)) for f in names}, {}
+            for i, rule in enumerate(rules):
+                if rule is None:
+                    continue
+                fits = None
+                for f, op, t in rule:
+                    if (f, op, t) not in known:
+                        known[f, op, t] = x[f] <= t if op == "<=" else x[f] > t
+                    fits = known[f, op, t] if fits is None else fits & known[f, op, t]
+                support[i] += fits.sum()
+                hits[i] += (fits & one).sum()
+        n = len(rules)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(n)), pa.array(np.full(n, labelled)), pa.array(np.full(n, positives)), pa.array(support), pa.array(hits)], schema=schema)
+
+    return run
+
+
+def measure(view: DataFrame, rules: list[str], conditions: dict[str, Conditions] | None = None) -> DataFrame:
+    """(rule, text, support, confidence, lift) of each predicate over a view with y, in one scan; ``conditions`` of those that have them."""
+    known = [(conditions or {}).get(r) for r in rules]
+    texts = [r for r, c in zip(rules, known) if c is None]
+    names = sorted({f for c in known if c for f, _, _ in c})
+    pack = lambda some: reduce(lambda a, b: a.bitwiseOR(b), [F.shiftleft(satisfied(t).cast("long"), i) for i, t in enumerate(some)])
+    bits = [pack(texts[a : a + CHUNK]).alias(f"_bits{a // CHUNK}") for a in range(0, len(texts), CHUNK)]
+    rows = view.select(F.col("y").cast("double").alias("y"), *bits, *[F.col(f).cast("double").alias(f) for f in names])
+    counted = rows.mapInArrow(_counter(known, names), "rule long, labelled long, positives long, support long, hits long")
+    summed = counted.groupBy("rule").agg(*[F.sum(c).alias(c) for c in ("labelled", "positives", "support", "hits")])
+    named = summed.join(F.broadcast(view.sparkSession.createDataFrame(list(enumerate(rules)), "rule long, text string")), "rule")
+    base = F.try_divide(F.col("positives"), F.col("labelled"))
     confidence = F.coalesce(F.try_divide(F.col("hits"), F.col("support")), F.lit(0.0))
-    return out.select("rule", "text", "support", confidence.alias("confidence"), F.coalesce(F.try_divide(confidence, F.col("base")), F.lit(0.0)).alias("lift"))
+    return named.select("rule", "text", "support", confidence.alias("confidence"), F.coalesce(F.try_divide(confidence, base), F.lit(0.0)).alias("lift"))
+
+
+RANKED = "rule long, text string, support long, confidence double, lift double, rank long"
 
 
 def ranked(measured: DataFrame, preset: Preset) -> DataFrame:
@@ -141,14 +205,17 @@ def seeds(pool: DataFrame, n: int, salt: str = "seed") -> DataFrame:
     return pool.withColumn("key", key).orderBy("key", "text").limit(n).drop("key")
 
 
-def revalidate(view: DataFrame, proposals: list[str], allowed: set[str], preset: Preset, trusted: Iterable[str] = ()) -> DataFrame:
+def revalidate(view: DataFrame, proposals: list[str], allowed: set[str], preset: Preset, trusted: dict[str, Conditions] | None = None) -> DataFrame:
     """Proposals go through validation, measuring, filter and ranking like any other rule; refused ones and repeats drop out.
 
-    ``trusted`` texts, such as forest paths, are written by the engine itself and not parsed again.
+    ``trusted`` texts with their conditions, such as forest paths, are written by the engine itself and not parsed again.
     """
-    known = set(trusted)
-    fine = [t for t in dict.fromkeys(proposals) if t in known or problem(view, t, allowed) is None]
-    return ranked(measure(view, fine), preset) if fine else ranked(measure(view, ["false"]), preset).limit(0)
+    trusted = trusted or {}
+    proposals = list(dict.fromkeys(proposals))
+    columns_only = view.sparkSession.createDataFrame([], view.schema)
+    free = executable(view, [t for t in proposals if t not in trusted and problem(columns_only, t, allowed) is None])
+    fine = [t for t in proposals if t in trusted or t in set(free)]
+    return ranked(measure(view, fine, trusted), preset) if fine else ranked(measure(view, ["false"]), preset).limit(0)
 
 
 def split_texts(nodes: DataFrame, features: list[str], first_trees: int, limit: int = 64) -> list[str]:
@@ -173,6 +240,11 @@ def combine(a: list[tuple[str, str, float]], b: list[tuple[str, str, float]]) ->
     return canonical([*a, *b])
 
 
+def either(a: list[tuple[str, str, float]], b: list[tuple[str, str, float]]) -> str:
+    """Disjunction of two rules; it has no conditions of its own and goes on as a text."""
+    return f"({text_of(a)}) OR ({text_of(b)})"
+
+
 def generalize(rule: list[tuple[str, str, float]], digits: int = 1) -> list[tuple[str, str, float]]:
     """Thresholds rounded outwards to few digits."""
     from math import ceil, floor
@@ -202,7 +274,7 @@ def guarded_context(train: DataFrame, features: list[str], seed_rows: list[dict]
 
 
 class ScriptedProposer:
-    """Deterministic moves over seeds: prune, generalise, combine pairs; tightening needs the view and is done by ``refine``."""
+    """Deterministic moves over seeds: prune, generalise, combine pairs by AND and by OR; tightening needs the view and is done by ``mine``."""
 
     def __init__(self, budget: int = 200):
         self.budget = budget
@@ -216,6 +288,7 @@ class ScriptedProposer:
             for b in rules[i + 1 : i + 4]:
                 if both := combine(a, b):
                     out[text_of(both)] = None
+                out[either(a, b)] = None
         return list(out)[: self.budget]
 
 
@@ -277,22 +350,39 @@ class RuleSet:
         return F.array_compact(F.array(*[F.when(satisfied(t), F.lit(f"{t} ({c:.3f})")) for t, c in zip(self.texts, self.confidences)]))
 
 
+def without_losses(rows: list, chosen: list[Conditions]) -> list:
+    """Measured rules without those that dropped a condition of a chosen rule and lost confidence by it."""
+    confidence = {r["text"]: r["confidence"] for r in rows}
+    parents: dict[str, list[str]] = {}
+    for rule in chosen:
+        for shorter in prune(rule):
+            parents.setdefault(text_of(shorter), []).append(text_of(rule))
+    return [r for r in rows if r["text"] not in parents or any(r["confidence"] >= confidence.get(p, 0.0) for p in parents[r["text"]])]
+
+
 def mine(view: DataFrame, features: list[str], preset: Preset, folder: str, refine: bool = True, proposer=None, seed: int = 0) -> RuleSet:
-    """Forest paths, measured and ranked on the preset's split; with ``refine`` proposals from seeds are measured alike. ``view`` has y and split."""
+    """Forest paths, measured and ranked on the preset's split; with ``refine`` proposals from seeds are measured alike. ``view`` has y and split.
+
+    Only the trees that paths are read from are grown: the others would change nothing.
+    """
     train = view.filter("split = 'train'").cache()
-    found = candidates(paths(node_table(view.sparkSession, fit_forest(train, features, preset, seed), folder), preset.first_trees, preset.max_depth), features, preset)
+    nodes = forest.fit(train, features, preset, folder, seed, preset.first_trees)
+    found = candidates(paths(nodes, preset.first_trees, preset.leaf_rows, preset.leaf_positive), features, preset)
     on = view.filter(F.col("split") == preset.select_on)
     if not found:
         return RuleSet(())
     by_text = {text_of(r): r for r in found}
-    pool = ranked(measure(on, list(by_text)), preset)
+    pool = [r.asDict() for r in ranked(measure(on, list(by_text), by_text), preset).collect()]
+    drawn = [r.asDict() for r in seeds(view.sparkSession.createDataFrame(pool, RANKED), preset.seeds).collect()] if pool else []
     if not refine:
-        best = seeds(pool, preset.seeds).collect()
+        best = drawn
     else:
-        drawn = [r.asDict() for r in seeds(pool, preset.seeds).collect()]
         context = guarded_context(train, features, drawn)
         chosen = [by_text[d["text"]] for d in drawn]
-        proposals = [*by_text, *(proposer or ScriptedProposer()).propose(context, chosen), *(text_of(tighten(train, r)) for r in chosen[:5])]
-        best = revalidate(on, proposals, set(features), preset, by_text).orderBy("rank").limit(preset.max_rules).collect()
+        tight = [rule for r in chosen[:5] if (rule := canonical(tighten(train, r)))]
+        trusted = by_text | {text_of(r): r for r in [*tight, *(p for r in chosen for p in prune(r))]}
+        proposals = [*by_text, *(proposer or ScriptedProposer()).propose(context, chosen), *map(text_of, tight)]
+        rows = revalidate(on, proposals, set(features), preset, trusted).orderBy("rank").collect()
+        best = without_losses(rows, chosen)[: preset.max_rules]
     train.unpersist()
     return RuleSet(tuple(r["text"] for r in best), tuple(float(r["confidence"]) for r in best))

@@ -22,6 +22,15 @@ def cap(rows: DataFrame, n: int, key: str, salt: str = "cap") -> DataFrame:
     return rows.orderBy(F.col("y").desc(), u(F.col(key), salt), key).limit(n)
 
 
+def drawn_cap(rows: DataFrame, n: int, key: Column, salt: str = "cap") -> DataFrame:
+    """About n rows in one scan, nothing sorted: all positives if they fit, and negatives whose draw is below the share that fills up."""
+    counts = rows.agg(F.count_if(F.col("y") == 1).alias("p"), F.count_if(F.col("y") == 0).alias("q")).first()
+    share = lambda room, size: min(1.0, room / size) if size else 1.0
+    kept = min(counts["p"], n)
+    draw = u(key, salt)
+    return rows.filter(F.when(F.col("y") == 1, draw < share(n, counts["p"])).when(F.col("y") == 0, draw < share(n - kept, counts["q"])).otherwise(False))
+
+
 def class_weights(rows: DataFrame) -> DataFrame:
     """(y, weight) with n / (2 n_c)."""
     counts = rows.groupBy("y").agg(F.count("*").alias("n_c"))

@@ -1,38 +1,60 @@
-"""Data-parallel training on Spark: shards train locally, the driver averages parameters, validation stops it.
+"""Data-parallel training on Spark: every task streams its rows in mini-batches, parameters are averaged, validation stops it.
 
-Rows are (target, y, split, x, nb0.. nbK), each nb an array of structs (x, m); the training
-table is written or cached once and serves all rounds, seeds and trials.  Only parameters
-travel to the driver.
+Rows are (target, y, split, x, nb0.. nbK), each nb an array of structs (id, x, m).  The train rows
+are dealt into shards in drawn order once and serve all rounds; a round is one pass of each task
+over its shard.  All models that learn from one table, such as several seeds, share its passes;
+where shards are fewer than cores the models are dealt too.  Only parameters and optimiser
+moments travel: they are averaged in groups on the executors, then on the driver.
 """
 
 from __future__ import annotations
 
 import pickle
 from dataclasses import dataclass
+from itertools import chain
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relanom import metrics, nn
+from relanom import nn
 from relanom.draws import u
 
+#: Rows of a task that are made into arrays at once.
+FRAME = 2048
 
-def batch_of(pdf: pd.DataFrame, spec: nn.Spec) -> dict:
+
+def _matrix(lists: pa.ListArray, width: int) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of a list column as a matrix, zero where the list is null, and which are not null."""
+    known = lists.is_valid().to_numpy(zero_copy_only=False)
+    out = np.zeros((len(lists), width), nn.PRECISION)
+    out[known] = lists.flatten().to_numpy(zero_copy_only=False).reshape(-1, width) if known.any() and width else 0
+    return out, known
+
+
+def batch_of(rows: pa.RecordBatch, spec: nn.Spec) -> dict:
+    """Arrays of a batch of rows, taken from the Arrow buffers without going through objects."""
     relations = []
-    for k, (d, m) in enumerate(spec.relations):
-        seg, xs, ms = [], [], []
-        for i, items in enumerate(pdf[f"nb{k}"]):
-            for item in () if items is None else items:
-                seg.append(i)
-                xs.append(item["x"])
-                ms.append(item["m"])
-        has = np.array([x is not None for x in ms], float)
-        second = np.array([np.zeros(m) if x is None else x for x in ms], float).reshape(len(ms), m)
-        relations.append({"seg": np.array(seg, int), "x": np.array(xs, float).reshape(len(xs), d), "m": second, "has": has})
-    y = pd.to_numeric(pdf["y"], errors="coerce").to_numpy(float)
-    return {"x": np.array(pdf["x"].tolist(), float).reshape(len(pdf), spec.x), "y": y, "relations": relations}
+    for k, r in enumerate(spec.relations):
+        lists = rows.column(f"nb{k}")
+        sizes = pc.fill_null(lists.value_lengths(), 0).to_numpy(zero_copy_only=False)
+        near = lists.flatten()
+        x, _ = _matrix(near.field("x"), r.x)
+        m, has = _matrix(near.field("m"), r.m)
+        relations.append({"seg": np.repeat(np.arange(rows.num_rows), sizes), "id": near.field("id").to_numpy(zero_copy_only=False).astype(np.int64), "x": x, "m": m, "has": has.astype(nn.PRECISION)})
+    y = rows.column("y").to_numpy(zero_copy_only=False).astype(float)
+    return {"x": _matrix(rows.column("x"), spec.x)[0], "y": y, "relations": relations}
+
+
+def _batches(parts, spec: nn.Spec):
+    """Batches of at most ``FRAME`` rows with their arrays."""
+    for batch in parts:
+        for at in range(0, batch.num_rows, FRAME):
+            some = batch.slice(at, FRAME)
+            yield some, batch_of(some, spec)
 
 
 @dataclass
@@ -43,60 +65,163 @@ class Fitted:
 
     def transform(self, rows: DataFrame) -> DataFrame:
         """(target, y, split, score): map-side, the parameters broadcast."""
+        return score_all(rows, {"": self}).drop("model")
+
+    def embed(self, rows: DataFrame) -> DataFrame:
+        """(target, split, z) of a graph model: embeddings of the targets as an array, for whatever comes after."""
         held = rows.sparkSession.sparkContext.broadcast(pickle.dumps(self.model))
 
         def run(parts):
             model = pickle.loads(held.value)
             p = model.vars()
-            for pdf in parts:
-                for at in range(0, len(pdf), 2048):
-                    some = pdf.iloc[at : at + 2048]
-                    yield pd.DataFrame({"target": some["target"].to_numpy(), "y": some["y"].to_numpy(), "split": some["split"].to_numpy(), "score": model.score(p, batch_of(some, model.spec))})
-
-        return rows.mapInPandas(run, "target long, y int, split string, score double")
+            for some, batch in _batches(parts, model.spec):
+                z = pa.array(list(model.embed(p, batch).astype(float)), pa.list_(pa.float64()))
+                yield pa.RecordBatch.from_arrays([some.column("target"), some.column("split"), z], names=["target", "split", "z"])
 
+        return rows.mapInArrow(run, "target long, split string, z array<double>")
 
-def _local(packed: bytes, steps: int, size: int, rate: float, seed: int):
-    """One shard's part of a round: its row count and parameters."""
 
-    def one(key, pdf):
-        model = pickle.loads(packed)
-        params = nn.local_steps(model, batch_of(pdf.sort_values("target"), model.spec), steps, size, rate, seed + int(key[0]))
-        return pd.DataFrame({"n": [len(pdf)], "params": [pickle.dumps(params)]})
+def score_all(rows: DataFrame, fitted: dict[str, Fitted]) -> DataFrame:
+    """(model, target, y, split, score) of all models on one table, in one pass over it."""
+    held = rows.sparkSession.sparkContext.broadcast(pickle.dumps({k: f.model for k, f in fitted.items()}))
 
-    return one
+    def run(parts):
+        models = pickle.loads(held.value)
+        params = {k: m.vars() for k, m in models.items()}
+        for some, batch in _batches(parts, next(iter(models.values())).spec):
+            for k, model in models.items():
+                score = model.score(params[k], batch).astype(float)
+                yield pa.RecordBatch.from_arrays([pa.array([k] * len(score)), *(some.column(c) for c in ("target", "y", "split")), pa.array(score)], names=["model", "target", "y", "split", "score"])
 
+    return rows.mapInArrow(run, "model string, target long, y int, split string, score double")
 
-def shards_for(rows: int, steps: int, size: int, least: int) -> int:
-    """So many that a shard's rows fill about ``steps`` mini-batches, at least ``least``."""
-    return max(least, -(-rows // (steps * size)))
 
+def validation_auprc(valid: DataFrame, fitted: dict[str, Fitted]) -> dict[str, float]:
+    """AUPRC of every model for early stopping: tasks count labels per score, cut to 11 binary places, and the driver adds up.
 
-def fit(rows: DataFrame, model: nn.Model, rounds: int = 4, steps: int = 30, size: int = 512, rate: float = 0.01, shards: int = 4, patience: int = 10, seed: int = 0) -> Fitted:
-    """Train on split 'train', keep the parameters of the best validation AUPRC.
-
-    Each round runs through all train rows; ``steps`` and ``shards`` are the least, more rows make more shards.
+    Scores that agree so far count as ties; there are at most 2^20 counts a model, however many rows.
+    """
+    held = valid.sparkSession.sparkContext.broadcast(pickle.dumps({k: f.model for k, f in fitted.items()}))
+
+    def run(parts):
+        models, counts = pickle.loads(held.value), {}
+        params = {k: m.vars() for k, m in models.items()}
+        for _, batch in _batches(parts, next(iter(models.values())).spec):
+            for k, model in models.items():
+                bits = np.nan_to_num(model.score(params[k], batch).astype(np.float32)).view(np.int32).astype(np.int64)
+                place = np.where(bits >= 0, bits, -(bits & 0x7FFFFFFF)) >> 12
+                for y in (0, 1):
+                    for p, n in zip(*(x.tolist() for x in np.unique(place[batch["y"] == y], return_counts=True))):
+                        counts.setdefault((k, p), [0, 0])[y] += n
+        rows = [(k, p, neg, pos) for (k, p), (neg, pos) in counts.items()]
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows) if rows else [()] * 4, (pa.string(), pa.int64(), pa.int64(), pa.int64()))], names=["model", "place", "neg", "pos"])
+
+    counted = valid.mapInArrow(run, "model string, place long, neg long, pos long").groupBy("model", "place").agg(F.sum("neg").alias("neg"), F.sum("pos").alias("pos"))
+    by_model: dict[str, list] = {}
+    for r in counted.collect():
+        by_model.setdefault(r["model"], []).append((r["place"], r["neg"], r["pos"]))
+    out = {}
+    for k, rows in by_model.items():
+        _, neg, pos = np.array(sorted(rows, reverse=True), float).T
+        hits, all_ = np.cumsum(pos), np.cumsum(pos + neg)
+        out[k] = float((pos * hits / all_).sum() / hits[-1]) if hits[-1] else 0.0
+    return out
+
+
+def shards_for(rows: int, steps: int, size: int, cores: int) -> int:
+    """One for what about ``steps`` mini-batches take, at most one a core: larger shards are streamed, not held."""
+    return max(1, min(cores, -(-rows // (steps * size))))
+
+
+def _mean(parts: list[tuple[int, dict]]) -> dict[str, tuple]:
+    """Parameters and optimiser states by model, averaged by rows."""
+    out = {}
+    for k in parts[0][1]:
+        total = sum(n for n, _ in parts) or 1
+        mix = lambda pick: {name: sum((n / total) * pick(s[k])[name] for n, s in parts if name in pick(s[k])) for name in pick(parts[0][1][k])}  # noqa: E731, B023
+        out[k] = (mix(lambda s: s[0]), (max(s[k][1][0] for _, s in parts), mix(lambda s: s[1][1]), mix(lambda s: s[1][2])))  # noqa: B023
+    return out
+
+
+def _round(dealt: DataFrame, models: dict[str, nn.Model], states: dict[str, tuple], copies: int, groups: int, steps: int, size: int, rates: dict[str, float], seed: int) -> dict[str, tuple]:
+    """New parameters and optimiser states after one pass over all shards."""
+    held = dealt.sparkSession.sparkContext.broadcast(pickle.dumps((models, states)))
+
+    def run(parts):
+        first = next((b for b in parts if b.num_rows), None)
+        if first is None:
+            return
+        shard, copy = divmod(first.column("part")[0].as_py(), copies)
+        every, known = pickle.loads(held.value)
+        own = {k: m for i, (k, m) in enumerate(sorted(every.items())) if i % copies == copy}
+        if own:
+            stream = (b for _, b in _batches(chain([first], parts), next(iter(own.values())).spec))
+            n, found = nn.train_steps(own, known, stream, steps, size, rates, seed * 1_000_003 + shard)
+            yield pa.RecordBatch.from_arrays([pa.array([copy], pa.int32()), pa.array([shard % groups], pa.int32()), pa.array([n]), pa.array([pickle.dumps(found)], pa.binary())], names=["copy", "group", "n", "found"])
+
+    def merge(pdf):
+        parts = sorted(((int(n), bytes(f)) for n, f in zip(pdf["n"], pdf["found"])), key=lambda x: x[1])
+        found = _mean([(n, pickle.loads(f)) for n, f in parts])
+        return pd.DataFrame({"copy": [pdf["copy"].iloc[0]], "group": [pdf["group"].iloc[0]], "n": [sum(n for n, _ in parts)], "found": [pickle.dumps(found)]})
+
+    schema = "copy int, group int, n long, found binary"
+    made = dealt.mapInArrow(run, schema)
+    if groups > 1:
+        made = made.groupBy("copy", "group").applyInPandas(merge, schema)
+    by_copy: dict[int, list] = {}
+    for r in made.collect():
+        by_copy.setdefault(r["copy"], []).append((r["n"], pickle.loads(r["found"])))
+    return {k: v for _, parts in sorted(by_copy.items()) for k, v in _mean(sorted(parts, key=lambda x: x[0])).items()}
+
+
+def deal(train: DataFrame, shards: int, copies: int) -> DataFrame:
+    """The rows in ``shards`` x ``copies`` partitions, each in drawn order and numbered by ``part``; kept for all rounds."""
+    shard = F.floor(u(F.col("target"), "shard") * shards)
+    each = train.withColumn("part", F.explode(F.transform(F.sequence(F.lit(0), F.lit(copies - 1)), lambda c: (shard * copies + c).cast("int"))))
+    return each.repartitionById(shards * copies, F.col("part")).sortWithinPartitions(u(F.col("target"), "order"), "target").persist()
+
+
+def fit_all(rows: DataFrame, models: dict[str, nn.Model], rounds: int = 4, steps: int = 30, size: int = 512, rate: float = 0.001, patience: int = 5, seed: int = 0, rates: dict[str, float] | None = None) -> dict[str, Fitted]:
+    """Train all models on split 'train'; each keeps the parameters of its best validation AUPRC and stops after ``patience`` worse rounds.
+
+    Every round runs through all train rows in at least ``steps`` mini-batches a shard.
     """
-    train, valid = rows.filter("split = 'train'"), rows.filter("split = 'valid'")
-    shards = shards_for(train.count(), steps, size, shards)
-    dealt = train.withColumn("shard", F.floor(u(F.col("target"), "shard") * shards).cast("int"))
-    if isinstance(model, nn.DeepSvdd):
-        # The centre comes from the first embeddings of a bounded sample of train rows.
-        model.prepare(batch_of(train.orderBy(u(F.col("target"), "centre")).limit(2000).toPandas(), model.spec))
-    best, stale = Fitted(pickle.loads(pickle.dumps(model)), 0, -1.0), 0
+    train, valid = rows.filter("split = 'train'"), rows.filter("split = 'valid' and y is not null")
+    cores = train.sparkSession.sparkContext.defaultParallelism
+    valid = valid.repartition(min(4 * cores, 1 + valid.count() // 256)).persist()
+    shards = shards_for(train.count(), steps, size, cores)
+    copies = max(1, min(len(models), cores // shards))
+    rates = {k: (rates or {}).get(k, rate) for k in models}
+    for m in models.values():
+        if isinstance(m, nn.DeepSvdd) and m.centre is None:
+            # The centre comes from the first embeddings of a bounded sample of train rows.
+            m.prepare(batch_of(train.orderBy(u(F.col("target"), "centre")).limit(2000).toArrow().combine_chunks().to_batches()[0], m.spec))
+    dealt, states = deal(train, shards, copies), {}
+    best = {k: Fitted(pickle.loads(pickle.dumps(m)), 0, -1.0) for k, m in models.items()}
+    open_, stale = dict(models), dict.fromkeys(models, 0)
     for r in range(1, rounds + 1):
-        found = dealt.groupBy("shard").applyInPandas(_local(pickle.dumps(model), steps, size, rate, seed * 1000 + r * 37), "n long, params binary").collect()
-        total = sum(f["n"] for f in found)
-        if not total:
+        found = _round(dealt, open_, {k: s for k, s in states.items() if k in open_}, copies, max(1, int(shards**0.5)) if shards > 16 else 1, steps, size, rates, seed * 1000 + r)
+        if not found:
+            break
+        for k, (params, state) in found.items():
+            open_[k].params, states[k] = params, state
+        now = {k: Fitted(pickle.loads(pickle.dumps(m)), r, 0.0) for k, m in open_.items()}
+        measured = validation_auprc(valid, now)
+        for k, f in now.items():
+            f.auprc = measured.get(k, 0.0)
+            if f.auprc > best[k].auprc:
+                best[k], stale[k] = f, 0
+            else:
+                stale[k] += 1
+        open_ = {k: m for k, m in open_.items() if stale[k] < patience}
+        if not open_:
             break
-        parts = [(f["n"] / total, pickle.loads(f["params"])) for f in sorted(found, key=lambda f: bytes(f["params"]))]
-        model.params = {k: sum(w * p[k] for w, p in parts) for k in model.params}
-        now = Fitted(pickle.loads(pickle.dumps(model)), r, 0.0)
-        now.auprc = metrics.ranking(now.transform(valid).filter("y is not null")).first()["auprc"] or 0.0
-        if now.auprc > best.auprc:
-            best, stale = now, 0
-        else:
-            stale += 1
-            if stale >= patience:
-                break
+    dealt.unpersist()
+    valid.unpersist()
     return best
+
+
+def fit(rows: DataFrame, model: nn.Model, rounds: int = 4, steps: int = 30, size: int = 512, rate: float = 0.001, patience: int = 5, seed: int = 0) -> Fitted:
+    """One model by ``fit_all``."""
+    return fit_all(rows, {"": model}, rounds, steps, size, rate, patience, seed)[""]
+

@@ -1,6 +1,6 @@
 import pytest
 
-from relanom import detector, experiments, rules, tasks
+from relanom import detector, experiments, forest, nn, rules, tasks
 
 
 class Seen(Exception):
@@ -15,34 +15,63 @@ def test_queries_mine_with_the_full_preset(spark, monkeypatch, name):
         asked.append(preset)
         return rules.RuleSet(())
 
-    def fit_forest(view, features, preset, seed=0):
+    def fit(train, features, preset, folder, seed=0, trees=None):
         asked.append(preset)
+        assert trees == preset.first_trees
         raise Seen
 
     monkeypatch.setattr(rules, "mine", mine)
-    monkeypatch.setattr(rules, "fit_forest", fit_forest)
+    monkeypatch.setattr(forest, "fit", fit)
     rows = spark.createDataFrame([(1, 0, "train", 0.5, [0.5])], "target long, y int, split string, a double, nb0 array<double>")
-    arms = experiments.Arms(detector.Task(name, rows, ["a"], ((1, 1),)), "nowhere", name)
+    arms = experiments.Arms(detector.Task(name, rows, ["a"], (nn.Relation(1, 1),)), "nowhere", name)
     arms.rules()
     with pytest.raises(Seen):
         arms._decisions()
     assert asked == [tasks.PRESETS[name]] * 2
+    assert experiments.PUBLISHED.seeds == 10 and experiments.PUBLISHED.hidden == 128 and experiments.PUBLISHED.rate == 0.001 and experiments.PUBLISHED.prevalence == 0.015
 
 
 def test_every_path_is_measured(spark, monkeypatch):
-    found = [[("a", "<=", float(i))] for i in range(5000)]
+    found = [[("a", "<=", float(i))] for i in range(10_000)]
     got = []
 
-    def measure(view, texts):
+    def measure(view, texts, conditions=None):
         got.extend(texts)
+        assert len(conditions) == len(texts)
         raise Seen
 
-    for name, value in {"fit_forest": None, "node_table": None, "paths": None, "candidates": found}.items():
+    monkeypatch.setattr(forest, "fit", lambda *a, **b: None)
+    for name, value in {"paths": None, "candidates": found}.items():
         monkeypatch.setattr(rules, name, lambda *a, value=value, **b: value)
     monkeypatch.setattr(rules, "measure", measure)
     with pytest.raises(Seen):
         rules.mine(spark.createDataFrame([(0, "train", 0.5)], "y int, split string, a double"), ["a"], tasks.PRESETS["purchase"], "nowhere")
-    assert len(got) == 5000
+    assert len(got) == 10_000
+
+
+def test_conditions_and_texts_are_measured_alike(spark):
+    rows = [(i % 3 == 0 if i % 7 else None, float(i % 11) if i % 5 else None, float("nan") if i % 13 == 0 else i % 4 - 1.5) for i in range(500)]
+    view = spark.createDataFrame([(None if y is None else int(y), a, b) for y, a, b in rows], "y int, a double, b double").repartition(3)
+    found = {rules.text_of(r): r for r in ([("a", "<=", float(i))] + ([("b", ">", float(j))] if j else []) for i in range(12) for j in range(-2, 3))}
+    as_numbers, as_texts = (sorted(tuple(r) for r in rules.measure(view, list(found), c).collect()) for c in (found, None))
+    assert as_numbers == as_texts and len(as_texts) == len(found)
+    both = rules.measure(view, [*found, "a > b OR b IS NULL"], dict(list(found.items())[:9]))
+    assert sorted(tuple(r) for r in both.collect())[: len(found)] == as_texts
+
+
+def test_pruned_rules_that_lose_confidence_go_and_pairs_are_disjoined():
+    rule = [("a", "<=", 1.0), ("b", ">", 2.0)]
+    rows = [{"text": rules.text_of(rule), "confidence": 0.5}, {"text": "a <= 1.0", "confidence": 0.4}, {"text": "b > 2.0", "confidence": 0.5}, {"text": "c > 0.0", "confidence": 0.1}]
+    assert [r["text"] for r in rules.without_losses(rows, [rule])] == [rules.text_of(rule), "b > 2.0", "c > 0.0"]
+    proposed = rules.ScriptedProposer().propose(None, [rule, [("c", ">", 0.0)]])
+    assert "(a <= 1.0 AND b > 2.0) OR (c > 0.0)" in proposed and "a <= 1.0 AND b > 2.0 AND c > 0.0" in proposed
+
+
+def test_predicates_that_fail_on_rows_are_dropped(spark):
+    view = spark.createDataFrame([(1, "12", 0.0), (0, "x", 1.0)], "y int, s string, a double")
+    texts = ["a > 0", "cast(s AS int) > 1", "1 / a > 2", "s = 'x'"]
+    assert rules.executable(view, texts) == ["a > 0", "s = 'x'"]
+    assert rules.executable(view, []) == []
 
 
 def test_ablations_cover_three_tasks():
@@ -56,11 +85,26 @@ def test_ablations_cover_three_tasks():
 def test_prevalence_compares_rules_on_both_churn_tasks(spark, monkeypatch):
     ran = []
 
-    def run(self, name):
-        ran.append((self.preset, name, self.task.rows.filter("split = 'train' and y = 1").count() / self.task.rows.filter("split = 'train'").count()))
-        return spark.createDataFrame([("t", name)], "task string, method string")
+    def runs(self, methods):
+        shares = [self.task.rows.filter(f"split = '{s}' and y = 1").count() / self.task.rows.filter(f"split = '{s}'").count() for s in ("train", "valid", "test")]
+        ran.append((self.preset, shares))
+        return [(self.task.name, m, "x", "test", 0, 0.5, 0.5, 0.5) for m in methods]
 
-    monkeypatch.setattr(experiments.Arms, "run", run)
+    monkeypatch.setattr(experiments.Arms, "runs", runs)
     got = experiments.prevalence(spark, "/root/testdata/sf0.01", "nowhere").collect()
     assert sorted((r.task, r.method) for r in got) == sorted((f"{k}@{p}", m) for k in ("review", "purchase") for p in (0.005, 0.015, 0.03) for m in ("detector_alpha0", "gnn_weighted"))
-    assert all(0 < share <= 0.031 for _, _, share in ran)
+    for (_, (train, valid, test)), p in zip(ran, (0.005, 0.015, 0.03) * 2):
+        assert 0 < train <= p + 0.001 and valid <= train + 0.001 and test > 0.1
+
+
+def test_runs_measure_every_seed_and_ranks_follow(spark):
+    from dataclasses import replace
+
+    task = detector.document_task(spark, "/root/testdata/sf0.01")
+    arms = experiments.Arms(task, "file:///tmp/relanom-arms-test", tasks.small(tasks.PRESETS["review"]), replace(experiments.PUBLISHED, hidden=8, rounds=1, steps=2, seeds=2, prevalence=None), tune_mlp=True)
+    methods = ["detector_no_rules_bce", "gnn_weighted", "mlp", "deep_svdd_soft", "posthoc_fusion", "posthoc_logistic", "random", "isolation_forest"]
+    got = arms.runs(methods)
+    assert sorted((r[1], r[4]) for r in got) == sorted((m, s) for m in methods for s in range(2))
+    table = spark.createDataFrame(got, experiments.RUNS)
+    assert {r.method: r.seeds for r in experiments.summary(table).collect()} == dict.fromkeys(methods, 2)
+    assert experiments.ranks(table).filter("metric = 'auprc'").selectExpr("sum(avg_rank)").first()[0] == len(methods) * (len(methods) + 1) / 2

@@ -2,20 +2,26 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from relanom import detector, isolation, nn, tasks, trainer
+from relanom import detector, forest, isolation, layers, metrics, nn, tasks, trainer
+
+
+@pytest.fixture
+def exact(monkeypatch):
+    monkeypatch.setattr(nn, "PRECISION", np.float64)
 
 
 def batch(rng, spec, n=12):
     relations = []
-    for d, m in spec.relations:
+    for r in spec.relations:
         seg = np.sort(rng.integers(0, n, 20))
-        relations.append({"seg": seg, "x": rng.standard_normal((20, d)), "m": rng.standard_normal((20, m)), "has": (rng.random(20) < 0.8).astype(float)})
+        relations.append({"seg": seg, "id": rng.integers(0, 9, 20), "x": rng.standard_normal((20, r.x)), "m": rng.standard_normal((20, r.m)), "has": (rng.random(20) < 0.8).astype(float)})
     y = np.zeros(n)
     y[:3] = 1
+    y[-2:] = np.nan
     return {"x": rng.standard_normal((n, spec.x)), "y": y, "relations": relations}
 
 
-SPEC = nn.Spec(5, ((3, 4), (2, 2)))
+SPEC = nn.Spec(5, (nn.Relation(3, 4, back=True), nn.Relation(2, 5, own=True)))
 MODELS = [
     lambda: nn.RelationalAutoencoder(SPEC, 6, act="tanh", alpha=0.3, beta=0.7),
     lambda: nn.SupervisedGraph(SPEC, 6, act="tanh", weighted=True),
@@ -27,7 +33,7 @@ MODELS = [
 
 
 @pytest.mark.parametrize("make", MODELS)
-def test_gradients(make):
+def test_gradients(exact, make):
     rng, model = np.random.default_rng(3), make()
     b = batch(rng, model.spec)
     if isinstance(model, nn.DeepSvdd):
@@ -48,7 +54,7 @@ def test_gradients(make):
             assert grad[at] == pytest.approx((up - down) / (2 * e), rel=1e-4, abs=1e-6)
 
 
-def test_rank_loss_and_adam():
+def test_rank_loss_and_adam(exact):
     s = nn.Var(np.zeros(4))
     assert float(nn.rank_loss(s, np.array([1, 0, 0, 0.0]), np.random.default_rng(0)).value) == pytest.approx(np.log(2))
     params, adam = {"a": np.array([1.0, -2.0])}, nn.Adam(0.1)
@@ -62,25 +68,145 @@ def test_isolation_constants():
     assert isolation.c(256) == pytest.approx(2 * (np.log(255) + 0.5772156649) - 2 * 255 / 256)
 
 
-@pytest.mark.parametrize("rows, positive", [(4000, 1200), (900, 700), (100, 0)])
-def test_local_steps_reach_all_rows_and_positives(monkeypatch, rows, positive):
-    rng = np.random.default_rng(2)
-    y = np.zeros(rows)
+def test_soft_boundary_counts_what_is_outside(exact):
+    model, rng = nn.DeepSvdd(nn.Spec(5), 6, decay=0.0, nu=0.25), np.random.default_rng(2)
+    b = batch(rng, nn.Spec(5))
+    model.prepare(b)
+    d = model.score(model.vars(), b)
+    radius = np.quantile(d, 0.75)
+    assert float(model.loss(model.vars(), b, rng).value) == pytest.approx(np.maximum(0, d - radius).mean() / 0.25)
+    p = model.vars()
+    model.loss(p, b, rng).backward()
+    inside = nn.part_of(b, np.flatnonzero(d <= radius))
+    assert np.abs(p["w1"].grad).sum() > 0 and len(inside["x"]) == 9
+
+
+def numbered(n, positive):
+    y = np.zeros(n)
     y[:positive] = 1
-    b = {"x": np.column_stack((np.arange(rows), rng.standard_normal((rows, 4)))), "y": y, "relations": []}
-    seen, part_of = [], nn.part_of
-    monkeypatch.setattr(nn, "part_of", lambda batch, at: seen.append(at) or part_of(batch, at))
-    nn.local_steps(nn.Mlp(nn.Spec(5), 4), b, 3, 512, 0.01, 7)
-    assert len(seen) >= 3 and len(np.unique(np.concatenate(seen))) == rows
-    if positive > 256:
-        # No positive is in every mini-batch just because its id is small.
-        first = [set(at[at < positive].tolist()) for at in seen[:2]]
-        assert not set(range(256)) <= first[0] & first[1]
+    return {"x": np.arange(n, dtype=float)[:, None], "y": y, "relations": []}
 
 
-def test_shards_grow_with_rows():
-    assert trainer.shards_for(100, 30, 512, 4) == 4
-    assert trainer.shards_for(30 * 512 * 9 + 1, 30, 512, 4) == 10
+@pytest.mark.parametrize("rows, positive", [(4000, 1200), (900, 700), (100, 0)])
+def test_mini_batches_reach_all_rows_and_positives(rows, positive):
+    whole = numbered(rows, positive)
+    stream = [nn.part_of(whole, np.arange(a, min(a + 700, rows))) for a in range(0, rows, 700)]
+    seen = [b["x"][:, 0].astype(int) for b in nn.mini_batches(iter(stream), 3, 512, np.random.default_rng(7))]
+    assert len(seen) >= 3 and len(np.unique(np.concatenate(seen))) == rows
+    if positive > 512:
+        # The added positives are drawn anew, not the same low ids each time.
+        assert not set(range(256)) <= set(seen[0].tolist()) & set(seen[1].tolist())
+    assert list(nn.mini_batches(iter([]), 3, 512, np.random.default_rng(7))) == []
+
+
+def test_rows_without_a_label_are_no_negatives(exact):
+    y = np.array([1, 0, np.nan, np.nan])
+    score = nn.Var(np.array([1.0, 0.0, 50.0, 60.0]))
+    loss = nn.rank_loss(score, y, np.random.default_rng(0))
+    assert float(loss.value) == pytest.approx(np.log1p(np.exp(-1.0)))
+    model, rng = nn.SupervisedGraph(SPEC, 6), np.random.default_rng(1)
+    b = batch(rng, SPEC)
+    known = ~np.isnan(b["y"])
+    only = nn.part_of(b, np.flatnonzero(known))
+    p = model.vars()
+    assert float(model.loss(p, b, rng).value) == pytest.approx(float(model.loss(p, only, rng).value))
+
+
+def test_drawn_pairs_are_no_edges():
+    rng = np.random.default_rng(0)
+    seg, ids = np.sort(rng.integers(0, 40, 400)), rng.integers(0, 12, 400)
+    drawn, real = nn.non_edges(seg, ids, rng)
+    edges = set(zip(seg.tolist(), ids.tolist()))
+    assert real.mean() > 0.3 and not any((s, ids[d]) in edges for s, d, r in zip(seg.tolist(), drawn.tolist(), real) if r)
+
+
+def test_shards_are_at_most_the_cores():
+    assert trainer.shards_for(100, 30, 512, 4) == 1
+    assert trainer.shards_for(30 * 512 * 9 + 1, 30, 512, 16) == 10
+    assert trainer.shards_for(10**9, 30, 512, 16) == 16
+
+
+def test_optimiser_state_goes_on(exact):
+    whole, models = numbered(600, 50), {"m": nn.Mlp(nn.Spec(1), 4)}
+    _, first = nn.train_steps(models, {}, iter([whole]), 4, 128, {"m": 0.01}, 1)
+    _, second = nn.train_steps(models, {"m": first["m"][1]}, iter([whole]), 4, 128, {"m": 0.01}, 1)
+    assert first["m"][1][0] == 5 and second["m"][1][0] == 10
+
+
+def test_forward_pass_scores_and_losses_equal_the_column_forms(spark, exact):
+    """Targets t, neighbours n, their neighbours f: the kernel on receptive fields against layers over the whole graph."""
+    rng, h = np.random.default_rng(4), 3
+    x_t, x_n, x_f = rng.standard_normal((3, 2)), rng.standard_normal((5, 2)), rng.standard_normal((4, 3))
+    owner, far = [0, 0, 0, 2, 2], [[0, 1], [1], [], [2, 3, 0], [3]]
+    spec = nn.Spec(2, (nn.Relation(2, 3, back=True),))
+    model = nn.RelationalAutoencoder(spec, h, 1)
+    model.params = {k: v + 0.1 * rng.standard_normal(v.shape) for k, v in model.params.items()}
+    p = model.params
+    b = {"x": x_t, "y": np.array([1.0, 0.0, 0.0]), "relations": [{"seg": np.array(owner), "id": np.arange(5), "x": x_n, "m": np.array([x_f[f].mean(axis=0) if f else np.zeros(3) for f in far]), "has": np.array([float(bool(f)) for f in far])}]}
+    z, _, first = model.layers(model.vars(), b)
+    nodes = lambda x, base: spark.createDataFrame([(base + i, [float(v) for v in row]) for i, row in enumerate(x)], "nid long, x array<double>")
+    T = lambda k: p[k].T.tolist()
+    h0 = layers.project(nodes(x_t, 0), T("Win"), p["bin"].tolist())
+    for x, base, k in ((x_n, 100, "nb0"), (x_f, 200, "far0")):
+        h0 = h0.unionByName(layers.project(nodes(x, base), T(f"W{k}"), p[f"b{k}"].tolist()))
+    e = [("rel", 100 + i, t) for i, t in enumerate(owner)] + [("back", t, 100 + i) for i, t in enumerate(owner)] + [("far", 200 + j, 100 + i) for i, f in enumerate(far) for j in f]
+    e = spark.createDataFrame([(*r, None) for r in e], "rel string, src long, dst long, t timestamp_ntz")
+    h1 = layers.layer(e, h0, T("self1"), {"rel": T("rel1_0"), "back": T("back1_0"), "far": T("far1_0")})
+    h2 = layers.layer(e, h1, T("self2"), {"rel": T("rel2_0")})
+    got1, got2 = ({r.nid: r.h for r in d.collect()} for d in (h1, h2))
+    assert np.allclose([got1[100 + i] for i in range(5)], first[0].value) and np.allclose([got2[i] for i in range(3)], z.value)
+    score = model.score(model.vars(), b)
+    hidden = F.transform(layers.affine(F.col("h"), T("Wd1"), p["bd1"].tolist()), lambda v: F.greatest(v, F.lit(0.0)))
+    back = h2.filter("nid < 100").withColumn("d", hidden).withColumn("back", layers.affine(F.col("d"), T("Wd2"), p["bd2"].tolist()))
+    errors = back.join(nodes(x_t, 0), "nid").select("nid", layers.squared_distance(F.col("back"), F.col("x")).alias("error"))
+    assert np.allclose([r.error for r in errors.orderBy("nid").collect()], score)
+    pairs = errors.filter("nid = 0").select(F.col("error").alias("positive")).crossJoin(errors.filter("nid > 0").select(F.col("error").alias("negative")))
+    none = spark.createDataFrame([], "logit double, label int")
+    total = layers.objective(errors, none, pairs, 0.0, 1.0).first()
+    exact_rank = np.mean(np.log1p(np.exp(score[1:] - score[0])))
+    assert total["attr"] == pytest.approx(score.mean()) and total["rank"] == pytest.approx(exact_rank)
+    model.beta = 1.0
+    assert float(model.loss(model.vars(), b, np.random.default_rng(0)).value) == pytest.approx(total["total"], rel=0.1)
+
+
+def test_training_learns_and_is_the_same_twice(spark):
+    rows = spark.range(3000).select(F.col("id").alias("target"), F.pmod(F.xxhash64("id"), F.lit(10)).alias("k"))
+    rows = rows.select("target", (F.col("k") == 0).cast("int").alias("y"), F.when(F.col("target") % 10 < 6, "train").when(F.col("target") % 10 < 8, "valid").otherwise("test").alias("split"), F.array((F.col("k") == 0).cast("double") + F.rand(1), F.rand(2)).alias("x")).cache()
+    models = lambda: {f"m{s}": nn.Mlp(nn.Spec(2), 8, s) for s in range(2)}
+    one, two = (trainer.fit_all(rows, models(), 3, 20, 256, 0.01) for _ in range(2))
+    assert all(np.array_equal(one[k].model.params[n], two[k].model.params[n]) for k in one for n in one[k].model.params)
+    exact_auprc = {r["model"]: r["auprc"] for r in metrics.ranking(trainer.score_all(rows.filter("split = 'valid'"), one).select("model", "y", "score"), ["model"]).collect()}
+    for k, f in one.items():
+        assert f.auprc > 0.5 and f.auprc == pytest.approx(exact_auprc[k], abs=0.02)
+
+
+def test_earlier_means_match_brute_force(spark):
+    rng = np.random.default_rng(3)
+    rows = [(i, int(rng.integers(0, 4)), int(rng.integers(0, 500)), [float(v) for v in rng.standard_normal(3)]) for i in range(300)]
+    df = spark.createDataFrame(rows, "target long, key int, us long, x array<double>")
+    for r in detector.earlier_means(df, "key", "us", 3, "m", 7).collect():
+        before = [x for _, k, t, x in rows if k == r.key and t < r.us]
+        assert (r.m is None) == (not before) and (not before or np.allclose(r.m, np.mean(before, axis=0)))
+    assert detector.earlier_means(df.limit(0), "key", "us", 3, "m").count() == 0
+
+
+def test_forest_grows_the_same_trees_and_finds_the_split(spark):
+    rows = spark.range(4000).select(F.col("id"), F.rand(1).alias("a"), F.rand(2).alias("b"), F.when(F.rand(3) < 0.1, None).otherwise(F.rand(4)).alias("c")).withColumn("y", ((F.col("a") > 0.8) & (F.col("b") <= 0.3)).cast("int")).cache()
+    preset = tasks.small(tasks.PRESETS["cyber"], 6, 8)
+    sample = forest.sample_of(rows, ["a", "b", "c"], 1000)
+    assert 800 < len(sample.y) < 1200 and sample.y.sum() == rows.filter("y = 1").count()
+    one, other = forest.grow(sample, 3, preset), forest.grow(sample, 3, preset)
+    assert one == other != forest.grow(sample, 4, preset)
+    by = {n[1]: n for n in one}
+    for _, node, left, right, feature, threshold, size, p in one:
+        assert (left < 0) == (right < 0) and 0 <= p <= 1
+        if left >= 0:
+            assert by[left][6] + by[right][6] == size and min(by[left][6], by[right][6]) >= preset.min_leaf
+    leaves = [n for n in one if n[2] < 0]
+    assert sum(n[6] for n in leaves) == len(sample.y)
+    # Pure leaves: the rule is found.
+    assert sum(n[6] for n in leaves if n[7] in (0.0, 1.0)) > 0.8 * len(sample.y)
+    assert forest.fit(rows, ["a", "b", "c"], preset, "file:///tmp/relanom-forest-test", 0, 2).select("tree").distinct().count() == 2
 
 
 @pytest.mark.parametrize("kind", ["purchase", "review"])
