@@ -226,7 +226,7 @@ def keyed(documents: DataFrame) -> DataFrame:
     return documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("th", F.xxhash64("text"))
 
 
-def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: int = 128, limit: int = 1 << 20) -> DataFrame:
+def repeated_windows(documents: DataFrame, windowing: Windowing, index, heavy: int = 128, limit: int = 1 << 19) -> DataFrame:
     """(doc_id, th, spans): half-open ranges of window numbers that also start anywhere else in the corpus."""
     docs = keyed(documents)
     counts = docs.select("text").mapInArrow(_count_anchors(windowing), "anchor long, n long")
