@@ -88,7 +88,8 @@ def _ranks(spark, sf_dir):
 
 @query("rq5_prevalence")
 def _prevalence(spark, sf_dir):
-    seeds = int(spark.conf.get("spark.relanom.seeds", str(SEEDS)))
+    """Six tasks are mined and trained anew, so one seed is the default here."""
+    seeds = int(spark.conf.get("spark.relanom.seeds", "1"))
     return experiments.prevalence(spark, sf_dir, folder(spark), settings=replace(experiments.PUBLISHED, seeds=seeds))
 
 
