@@ -8,6 +8,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from relanom.sources import shared
+
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
@@ -17,10 +19,17 @@ def source(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def finished(df: DataFrame, mode: str, spark: SparkSession) -> DataFrame:
-    """Run a stream over what there is and return its result table."""
-    name = "s" + uuid.uuid4().hex
-    df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
-    return spark.table(name)
+    """Run a stream over what there is and return its result table, which tasks write to the shared folder and nothing brings to the driver."""
+    at = f"{shared(spark)}/stream-{uuid.uuid4().hex}"
+    out = df.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{at}/state")
+    if mode == "append":
+        out = out.format("parquet").option("path", f"{at}/rows")
+    else:
+        # Every batch gives the whole result anew, so the last one stays.
+        out = out.foreachBatch(lambda rows, _: rows.write.mode("overwrite").parquet(f"{at}/rows"))
+    spark.createDataFrame([], df.schema).write.parquet(f"{at}/rows")
+    out.start().awaitTermination()
+    return spark.read.schema(df.schema).parquet(f"{at}/rows")
 
 
 def windows(events: DataFrame, kind: str = "tumbling") -> DataFrame:

@@ -70,3 +70,26 @@ def test_stream_join_drops_repeated_events(spark, tmp_path):
     stream = spark.readStream.schema(streaming.EVENTS).parquet(str(tmp_path / "events.parquet")).withColumn("ts", F.col("ts").cast("timestamp"))
     got = streaming.finished(streaming.joined_logs(stream, 10), "append", spark)
     assert [tuple(r) for r in got.collect()] == [(2, 1)]
+
+
+@pytest.mark.parametrize("mode", ["append", "complete"])
+def test_stream_results_are_files_and_not_rows_of_the_driver(spark, mode):
+    events = streaming.source(spark, "/root/testdata/sf0.001")
+    got = streaming.finished(events.select("event_id") if mode == "append" else streaming.windows(events, "session"), mode, spark)
+    assert got.inputFiles()
+    assert got.count() == spark.read.parquet("/root/testdata/sf0.001/events.parquet").count() if mode == "append" else got.count() > 0
+
+
+def test_stream_without_events_is_an_empty_table(spark, tmp_path):
+    (tmp_path / "nothing").mkdir()
+    events = spark.readStream.schema(streaming.EVENTS).parquet(str(tmp_path / "nothing"))
+    assert streaming.finished(events.select("event_id"), "append", spark).count() == 0
+
+
+def test_rows_that_tie_for_the_top_give_the_smallest_key(spark, tmp_path):
+    from relanom import registry
+
+    rows = [("A", 30.0, 7.0, 5), ("A", 30.0, 9.0, 2), ("A", 10.0, 9.0, 8), ("A", 10.0, None, 1), ("B", 1.0, None, 3)]
+    spark.createDataFrame(rows, "l_returnflag string, l_quantity double, l_extendedprice double, l_orderkey long").coalesce(1).write.parquet(str(tmp_path / "lineitem.parquet"))
+    got = registry.queries()["agg_conditional"](spark, str(tmp_path)).orderBy("flag").collect()
+    assert [(r.flag, r.many, r.top, r.best) for r in got] == [("A", 2, 9.0, 2), ("B", 0, None, None)]
