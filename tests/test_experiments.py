@@ -108,3 +108,32 @@ def test_runs_measure_every_seed_and_ranks_follow(spark):
     table = spark.createDataFrame(got, experiments.RUNS)
     assert {r.method: r.seeds for r in experiments.summary(table).collect()} == dict.fromkeys(methods, 2)
     assert experiments.ranks(table).filter("metric = 'auprc'").selectExpr("sum(avg_rank)").first()[0] == len(methods) * (len(methods) + 1) / 2
+
+
+def test_paths_are_measured_once_and_the_context_is_made_for_those_who_read_it(spark, monkeypatch):
+    view = spark.range(400).selectExpr("id % 10 / 10D AS a", "id % 7 / 7D AS b", "if(id % 4 = 3, 'valid', 'train') AS split").selectExpr("*", "int(a > 0.55 AND b <= 0.5) AS y")
+    preset = tasks.small(tasks.PRESETS["review"], 3, 3)
+    asked, measure = [], rules.measure
+    monkeypatch.setattr(rules, "measure", lambda rows, texts, conditions=None: asked.append(list(texts)) or measure(rows, texts, conditions))
+    monkeypatch.setattr(rules, "guarded_context", lambda *a, **b: pytest.fail("nobody reads it"))
+    got = rules.mine(view, ["a", "b"], preset, "file:///tmp/relanom-once-test")
+    assert got.texts and len(asked) == 2 and not set(asked[0]) & set(asked[1])
+
+
+def test_rules_reach_the_driver_as_texts_and_share_their_conditions(spark):
+    step = lambda f, op, t: {"feature": f, "op": op, "threshold": t}
+    rows = [(1, 4, 9, 0.9, [step(0, ">", 0.1), step(1, "<=", 2.0)]), (0, 3, 9, 0.9, [step(1, "<=", 2.0)]), (0, 5, 9, 0.9, [step(1, "<=", 3.0), step(1, "<=", 2.0)]), (0, 6, 9, 0.9, [step(0, "<=", 1.0), step(0, ">", 1.0)]), (0, 7, 1, 0.9, [step(0, "<=", 7.0)])]
+    found = rules.candidates(spark.createDataFrame(rows, rules.PATHS), ["a", "b"], tasks.PRESETS["review"])
+    assert found == [[("b", "<=", 2.0)], [("a", ">", 0.1), ("b", "<=", 2.0)]]
+    assert found[0][0] is found[1][1]
+
+
+def test_codes_of_neighbours_become_columns():
+    import numpy as np
+    import pyarrow as pa
+
+    from relanom import trainer
+
+    rows = pa.RecordBatch.from_pylist([{"x": [1.0], "y": 1, "nb0": [{"id": 1, "x": [0.5], "m": [2.0], "code": 2}, {"id": 2, "x": [0.1], "m": [3.0], "code": 0}]}, {"x": [2.0], "y": 0, "nb0": None}])
+    got = trainer.batch_of(rows, nn.Spec(1, (nn.Relation(1, 4, hot=3),)))["relations"][0]
+    assert np.array_equal(got["m"], [[2, 0, 0, 1], [3, 1, 0, 0]]) and got["seg"].tolist() == [0, 0]
