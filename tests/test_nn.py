@@ -217,3 +217,39 @@ def test_customers_see_all_their_transactions(spark, kind):
     rows = detector.customer_task(spark, sf, kind).rows.select("target", F.size("nb0").alias("n")).collect()
     assert max(degrees.values()) > 20 and rows
     assert all(max(r["n"], 0) == degrees.get(r["target"], 0) for r in rows)
+
+
+def test_backward_lets_go_of_what_lies_between():
+    import gc
+    import weakref
+
+    class Kept(np.ndarray):
+        """An array that can be watched."""
+
+    gc.collect()
+    gc.disable()
+    try:
+        w = nn.Var(np.ones((3, 2)))
+        middle = nn.times(nn.const(np.ones((4, 3))), w)
+        middle.value = middle.value.view(Kept)
+        watched = weakref.ref(middle.value)
+        nn.mean(nn.square(middle)).backward()
+        del middle
+        assert watched() is None and w.grad.shape == (3, 2)
+    finally:
+        gc.enable()
+
+
+def test_rounds_and_validation_send_one_row_a_model_to_the_driver(spark, monkeypatch):
+    frame, sent = type(spark.range(0)), []
+    collect = frame.collect
+    monkeypatch.setattr(frame, "collect", lambda self: [sent.append(r) or r for r in collect(self)])
+    x = F.array(F.rand(1), F.rand(2))
+    rows = spark.range(400).select(F.col("id").alias("target"), (F.col("id") % 10 == 0).cast("int").alias("y"), F.when(F.col("id") % 3 > 0, "train").otherwise("valid").alias("split"), x.alias("x")).cache()
+    models = {str(seed): nn.Autoencoder(nn.Spec(2), 4, seed, beta=1.0) for seed in range(3)}
+    fitted = trainer.fit_all(rows, models, 2, 2, 32)
+    assert len(sent) == 2 * 2 * len(models)
+    valid = rows.filter("split = 'valid'")
+    for k, f in fitted.items():
+        exact = metrics.ranking(trainer.score_all(valid, {k: f}).select("y", F.col("score").cast("float").alias("score"))).first()["auprc"]
+        assert f.auprc == pytest.approx(exact, abs=0.02)
