@@ -253,3 +253,15 @@ def test_rounds_and_validation_send_one_row_a_model_to_the_driver(spark, monkeyp
     for k, f in fitted.items():
         exact = metrics.ranking(trainer.score_all(valid, {k: f}).select("y", F.col("score").cast("float").alias("score"))).first()["auprc"]
         assert f.auprc == pytest.approx(exact, abs=0.02)
+
+
+def test_graph_tables_are_stored_in_single_precision_with_means_from_the_base(spark):
+    rows = spark.createDataFrame([(i, i % 2, ["train", "valid", "test"][i % 3], i / 7, i % 3, i, [(i % 3, [1.0], None)]) for i in range(30)], "target long, y int, split string, a double, user long, us long, nb0 array<struct<id:long,x:array<float>,m:array<float>>>")
+    task = detector.Task("t", rows, ["a"], (nn.Relation(1, 0, own=True),), {0: ("user", "us")})
+    made, spec = detector.assembled(task)
+    kinds = dict(made.dtypes)
+    assert kinds["x"] == "array<float>" and "m:array<float>" in kinds["nb0"] and spec.relations[0].m == 1
+    got = {r.target: r for r in made.collect()}
+    for i, r in got.items():
+        before = [got[j].x[0] for j in range(i) if j % 3 == i % 3]
+        assert r.nb0[0].m is None if not before else r.nb0[0].m[0] == pytest.approx(np.mean(before), abs=1e-6)
