@@ -1,4 +1,5 @@
 import pytest
+from pyspark.sql import functions as F
 
 from relanom import detector, experiments, forest, nn, rules, tasks
 
@@ -137,3 +138,18 @@ def test_codes_of_neighbours_become_columns():
     rows = pa.RecordBatch.from_pylist([{"x": [1.0], "y": 1, "nb0": [{"id": 1, "x": [0.5], "m": [2.0], "code": 2}, {"id": 2, "x": [0.1], "m": [3.0], "code": 0}]}, {"x": [2.0], "y": 0, "nb0": None}])
     got = trainer.batch_of(rows, nn.Spec(1, (nn.Relation(1, 4, hot=3),)))["relations"][0]
     assert np.array_equal(got["m"], [[2, 0, 0, 1], [3, 1, 0, 0]]) and got["seg"].tolist() == [0, 0]
+
+
+def test_all_rule_variants_start_from_one_forest(spark, tmp_path, monkeypatch):
+    from dataclasses import replace
+
+    rows = spark.range(600).select(F.col("id").alias("target"), (F.col("id") % 7 == 0).cast("int").alias("y"), F.when(F.col("id") % 3 > 0, "train").otherwise("valid").alias("split"), (F.col("id") % 7).cast("double").alias("a"), F.rand(3).alias("b"))
+    preset = replace(tasks.small(tasks.PRESETS["purchase"], 4, 3), leaf_rows=1)
+    grown, fit = [], forest.fit
+    monkeypatch.setattr(forest, "fit", lambda *a, **k: grown.append(1) or fit(*a, **k))
+    monkeypatch.setattr(experiments, "stored", lambda df, name: df.cache())
+    arms = experiments.Arms(detector.Task("t", rows, ["a", "b"], ()), f"file://{tmp_path}", preset, experiments.Settings(prevalence=None))
+    found = {v: arms.rules(v).texts for v in ("raw", "path", "refined")}
+    assert len(grown) == 1 and all(found.values())
+    alone = rules.mine(arms.task.rows.select("y", "split", "a", "b"), ["a", "b"], preset, f"file://{tmp_path}/alone")
+    assert found["refined"] == alone.texts
