@@ -153,3 +153,19 @@ def test_all_rule_variants_start_from_one_forest(spark, tmp_path, monkeypatch):
     assert len(grown) == 1 and all(found.values())
     alone = rules.mine(arms.task.rows.select("y", "split", "a", "b"), ["a", "b"], preset, f"file://{tmp_path}/alone")
     assert found["refined"] == alone.texts
+
+
+def test_tables_without_rules_train_while_rules_are_mined(spark, tmp_path, monkeypatch):
+    import threading
+    from dataclasses import replace
+
+    rows = spark.range(600).select(F.col("id").alias("target"), (F.col("id") % 7 == 0).cast("int").alias("y"), F.element_at(F.array(F.lit("train"), F.lit("valid"), F.lit("test")), (F.col("id") % 3 + 1).cast("int")).alias("split"), (F.col("id") % 7).cast("double").alias("a"), F.rand(3).alias("b"))
+    preset = replace(tasks.small(tasks.PRESETS["purchase"], 4, 3), leaf_rows=1)
+    trained, fit, mine = threading.Event(), experiments.Arms._fit, experiments.mined
+    monkeypatch.setattr(experiments.Arms, "_fit", lambda self, *a: trained.set() or fit(self, *a))
+    monkeypatch.setattr(experiments, "mined", lambda *a: mine(*a) if trained.wait(60) else pytest.fail("mining came first"))
+    monkeypatch.setattr(experiments, "stored", lambda df, name: df.cache())
+    monkeypatch.setattr(experiments, "drop_stored", lambda *tables: None)
+    arms = experiments.Arms(detector.Task("t", rows, ["a", "b"], ()), f"file://{tmp_path}", preset, experiments.Settings(hidden=4, rounds=1, steps=2, seeds=1, prevalence=None))
+    got = arms.runs(["detector_path_rules", "detector_no_rules", "detector_alpha0"])
+    assert sorted(r[1] for r in got) == ["detector_alpha0", "detector_no_rules", "detector_path_rules"]

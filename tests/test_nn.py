@@ -265,3 +265,30 @@ def test_graph_tables_are_stored_in_single_precision_with_means_from_the_base(sp
     for i, r in got.items():
         before = [got[j].x[0] for j in range(i) if j % 3 == i % 3]
         assert r.nb0[0].m is None if not before else r.nb0[0].m[0] == pytest.approx(np.mean(before), abs=1e-6)
+
+
+@pytest.mark.parametrize("size", [1, 2, 1000])
+def test_earlier_means_keep_their_sums_from_batch_to_batch(spark, size):
+    rows = [(i, (0, 0, 0, 1, i)[i % 5], i // 6, [float(i), i % 3 - 1.0]) for i in range(120)]
+    df = spark.createDataFrame(rows, "target long, user int, us long, x array<double>")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
+    try:
+        made = detector.earlier_means(df, "user", "us", 2, "m", slices=3)
+        got = {r["target"]: r["m"] for r in made.collect()}
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    for target, user, us, _ in rows:
+        near = [x for _, u, t, x in rows if u == user and t < us]
+        assert got[target] == (pytest.approx(np.mean(near, axis=0).tolist()) if near else None)
+    # Sums are one column, not one a feature: the plan is as long for a hundred features as for two.
+    assert "Window" not in made._jdf.queryExecution().analyzed().toString()
+
+
+def test_sums_by_place_and_products_of_rows(exact):
+    rng = np.random.default_rng(4)
+    for at, n in ((np.arange(6), 6), (np.repeat([0, 2], 20), 4), (np.repeat([1, 3, 4], [1, 2, 3]), 6), (rng.integers(0, 9, 40), 9), (np.zeros(0, int), 3)):
+        rows, want = rng.standard_normal((len(at), 3)), np.zeros((n, 3))
+        np.add.at(want, at, rows)
+        assert np.allclose(nn._sums(rows, at, n), want)
+    a, b, i, j = nn.Var(rng.standard_normal((4, 3))), nn.Var(rng.standard_normal((5, 3))), rng.integers(0, 4, 9), rng.integers(0, 5, 9)
+    assert np.allclose(nn.row_dots(a, b, i, j).value, (a.value[i] * b.value[j]).sum(axis=1))
