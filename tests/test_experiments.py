@@ -169,3 +169,11 @@ def test_tables_without_rules_train_while_rules_are_mined(spark, tmp_path, monke
     arms = experiments.Arms(detector.Task("t", rows, ["a", "b"], ()), f"file://{tmp_path}", preset, experiments.Settings(hidden=4, rounds=1, steps=2, seeds=1, prevalence=None))
     got = arms.runs(["detector_path_rules", "detector_no_rules", "detector_alpha0"])
     assert sorted(r[1] for r in got) == ["detector_alpha0", "detector_no_rules", "detector_path_rules"]
+
+
+def test_the_driver_hands_freed_native_memory_back(spark):
+    from relanom import sources
+
+    said = sources.trim(spark)
+    assert said is None or "native heap" in said
+    assert said or int(spark.sparkContext._jvm.System.getProperty("java.specification.version")) < 21
