@@ -292,3 +292,16 @@ def test_sums_by_place_and_products_of_rows(exact):
         assert np.allclose(nn._sums(rows, at, n), want)
     a, b, i, j = nn.Var(rng.standard_normal((4, 3))), nn.Var(rng.standard_normal((5, 3))), rng.integers(0, 4, 9), rng.integers(0, 5, 9)
     assert np.allclose(nn.row_dots(a, b, i, j).value, (a.value[i] * b.value[j]).sum(axis=1))
+
+
+def test_training_computes_in_single_precision_and_looks_at_a_batch_once():
+    model = nn.RelationalAutoencoder(SPEC, 6, alpha=0.3, beta=0.7)
+    b = batch(np.random.default_rng(3), SPEC)
+    got = []
+    for _ in range(2):
+        p = model.vars()
+        model.loss(p, b, np.random.default_rng(5)).backward()
+        got.append([seen for _, seen, _ in nn.seen_of(b)])
+        assert {v.grad.dtype for v in p.values() if v.grad is not None} == {np.dtype(np.float32)}
+        assert {seen.dtype for seen in got[-1]} == {np.dtype(np.float32)}
+    assert all(a is c for a, c in zip(*got))
