@@ -177,3 +177,32 @@ def test_the_driver_hands_freed_native_memory_back(spark):
     said = sources.trim(spark)
     assert said is None or "native heap" in said
     assert said or int(spark.sparkContext._jvm.System.getProperty("java.specification.version")) < 21
+
+
+@pytest.mark.parametrize("prevalence", [0.005, 0.015, 0.3, 0.9, 0.0])
+def test_rows_are_thinned_out_as_they_are_read(spark, monkeypatch, prevalence):
+    from dataclasses import replace
+
+    rows = spark.range(3000).select(F.col("id").alias("target"), F.when(F.col("id") % 11 > 0, (F.col("id") % 4 == 0).cast("int")).alias("y"), F.element_at(F.array(F.lit("train"), F.lit("valid"), F.lit("test")), (F.col("id") % 3 + 1).cast("int")).alias("split"))
+    written = []
+    monkeypatch.setattr(experiments, "stored", lambda df, name: written.append(name) or df.cache())
+    arms = experiments.Arms(detector.Task("t", rows, [], ()), "nowhere", "review", replace(experiments.PUBLISHED, prevalence=prevalence))
+    assert written == ["task"]
+    got, expected = (sorted(map(tuple, df.collect()), key=str) for df in (arms.task.rows, experiments.at_prevalence(rows, prevalence)))
+    assert got == expected
+
+
+@pytest.mark.parametrize("kind", ["review", "purchase"])
+def test_tasks_do_not_depend_on_the_order_of_rows(spark, monkeypatch, kind):
+    """Features and neighbours to the last bit."""
+    from datetime import datetime, timedelta
+
+    log = [(i % 3, i % 50 + 1, datetime(2001, 1, 31) - timedelta(days=i * 37 % 900), (i * 7919 % 99991) / 100 * (1 - i % 11 / 100), float(i * 31 % 50 + 1), "R") for i in range(300)]
+
+    def read(some):
+        rows = spark.createDataFrame(some, "customer long, part long, t timestamp_ntz, price double, quantity double, flag string").coalesce(1)
+        monkeypatch.setattr(tasks, "transactions", lambda spark, sf_dir: rows)
+        labels = spark.createDataFrame([(0, 1), (1, 0), (2, 0)], "entity long, y int")
+        return sorted(map(repr, detector.customer_task(spark, "/root/testdata/sf0.001", kind, labels).rows.collect()))
+
+    assert read(log) == read(log[::-1])
