@@ -2,6 +2,7 @@
 
 import pytest
 from pyspark.errors import AnalysisException
+from pyspark.sql import functions as F
 
 from relanom import registry, rules
 
@@ -22,3 +23,11 @@ def test_admitted_predicates_run_on_the_rows(spark, monkeypatch):
     monkeypatch.setattr(rules, "executable", lambda view, texts: texts[1:])
     found = registry.queries()["rule_rejections"](spark, "/root/testdata/sf0.001").filter("reason = 'fails'").collect()
     assert [r.text for r in found] == ["bought <= 3.0"]
+
+
+def test_the_tree_is_walked_to_its_last_level(spark, tmp_path):
+    spark.conf.set("spark.sql.cteRecursionRowLimit", "1000")
+    spark.range(1, 5001).select(F.col("id").alias("c_custkey")).write.parquet(str(tmp_path / "customer.parquet"))
+    found = {r.depth: (r.n, r.s) for r in registry.queries()["recursive_tree"](spark, str(tmp_path)).collect()}
+    level = lambda d: range(2**d, min(2 ** (d + 1), 5001))
+    assert found == {d: (len(level(d)), sum(level(d))) for d in range(13)}
