@@ -209,6 +209,21 @@ def test_forest_grows_the_same_trees_and_finds_the_split(spark):
     assert forest.fit(rows, ["a", "b", "c"], preset, "file:///tmp/relanom-forest-test", 0, 2).select("tree").distinct().count() == 2
 
 
+@pytest.mark.parametrize("kind", ["cyber"])
+def test_forest_grows_from_all_train_rows(spark, kind):
+    n = 600_000
+    rows = spark.range(n).select((F.col("id") % 50 == 0).cast("int").alias("y"), (F.col("id") % 97).cast("double").alias("a"), F.when(F.col("id") % 3 > 0, F.col("id") % 7).alias("b"))
+    rows = rows.unionByName(spark.createDataFrame([(None, 1.0, 1)], "y int, a double, b long"))
+    sample = forest.sample_of(rows, ["a", "b"], tasks.PRESETS[kind].train_cap)
+    assert sample.bins.shape == (n, 2) and len(sample.y) == n and sample.y.sum() == n // 50
+    # Every value is in its bin, in an order that does not depend on that of the rows.
+    ids = np.arange(n)
+    a, b = ids % 97, np.where(ids % 3 > 0, ids % 7, -1)
+    made = np.stack([ids % 50 == 0, np.searchsorted(sample.edges[0], a), np.searchsorted(sample.edges[1], b)], axis=1).astype(np.uint8)
+    made = made[np.lexsort(made.T[::-1])]
+    assert np.array_equal(made, np.column_stack([sample.y, sample.bins]).astype(np.uint8))
+
+
 @pytest.mark.parametrize("kind", ["purchase", "review"])
 def test_customers_see_all_their_transactions(spark, kind):
     sf = "/root/testdata/sf0.01"
