@@ -209,7 +209,7 @@ def test_forest_grows_the_same_trees_and_finds_the_split(spark):
     assert forest.fit(rows, ["a", "b", "c"], preset, "file:///tmp/relanom-forest-test", 0, 2).select("tree").distinct().count() == 2
 
 
-@pytest.mark.parametrize("kind", ["cyber"])
+@pytest.mark.parametrize("kind", ["cyber", "review", "purchase"])
 def test_forest_grows_from_all_train_rows(spark, kind):
     n = 600_000
     rows = spark.range(n).select((F.col("id") % 50 == 0).cast("int").alias("y"), (F.col("id") % 97).cast("double").alias("a"), F.when(F.col("id") % 3 > 0, F.col("id") % 7).alias("b"))
