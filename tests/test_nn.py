@@ -180,6 +180,18 @@ def test_training_learns_and_is_the_same_twice(spark):
         assert f.auprc > 0.5 and f.auprc == pytest.approx(exact_auprc[k], abs=0.02)
 
 
+def test_centres_come_from_all_train_rows(spark):
+    split = F.when(F.col("id") % 10 < 8, "train").when(F.col("id") % 10 < 9, "valid").otherwise("test")
+    rows = spark.range(9000).select(F.col("id").alias("target"), (F.col("id") % 7 == 0).cast("int").alias("y"), split.alias("split"), F.array(F.rand(1) * 5, F.rand(2) - 0.2).cast("array<float>").alias("x")).cache()
+    x = np.array([r.x for r in rows.filter("split = 'train'").collect()], np.float32)
+    make = lambda: {"hard": nn.DeepSvdd(nn.Spec(2), 8, 3), "soft": nn.DeepSvdd(nn.Spec(2), 8, 4, nu=0.1)}
+    for steps in (1, 40):  # several shards, and several copies of one
+        for k, f in trainer.fit_all(rows, make(), 1, steps, 256).items():
+            alone = make()[k]
+            alone.prepare({"x": x})
+            assert np.allclose(f.model.centre, alone.centre, rtol=1e-4, atol=1e-5)
+
+
 def test_earlier_means_match_brute_force(spark):
     rng = np.random.default_rng(3)
     rows = [(i, int(rng.integers(0, 4)), int(rng.integers(0, 500)), [float(v) for v in rng.standard_normal(3)]) for i in range(300)]
