@@ -206,3 +206,38 @@ def test_tasks_do_not_depend_on_the_order_of_rows(spark, monkeypatch, kind):
         return sorted(map(repr, detector.customer_task(spark, "/root/testdata/sf0.001", kind, labels).rows.collect()))
 
     assert read(log) == read(log[::-1])
+
+
+def test_the_tasks_of_the_ranks_run_at_the_same_time(spark, monkeypatch):
+    import threading
+
+    from relanom.queries import experiment_queries
+
+    met = threading.Barrier(3)
+
+    def runs(spark, sf_dir, kind, methods):
+        met.wait(60)
+        return spark.createDataFrame([(kind, m, "none", "test", 0, float(i), 0.5, 0.5) for i, m in enumerate(methods)], experiments.RUNS)
+
+    monkeypatch.setattr(experiment_queries, "runs", runs)
+    found = {(r.method, r.metric): r.avg_rank for r in experiment_queries._ranks(spark, "nowhere").collect()}
+    assert len(found) == 30 and found[experiment_queries.MAIN[-1], "auroc"] == 1 and found[experiment_queries.MAIN[0], "auroc"] == 10
+
+
+def test_a_table_with_rules_is_the_first_to_be_made(spark, monkeypatch):
+    import threading
+
+    started, both = [], threading.Barrier(2)
+
+    def table(self, variant):
+        started.append(variant)
+        if len(started) <= 2:
+            both.wait(60)
+        raise KeyError(variant)
+
+    monkeypatch.setattr(experiments.Arms, "table", table)
+    monkeypatch.setattr(experiments, "stored", lambda df, name: df)
+    arms = experiments.Arms(detector.Task("t", spark.range(1), [], ()), "nowhere", "review", experiments.Settings(prevalence=None))
+    with pytest.raises(KeyError):
+        arms.scores(["ae", "detector_no_rules", "detector_alpha0"])
+    assert set(started[:2]) == {"flat", "refined"}
