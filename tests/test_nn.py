@@ -192,6 +192,16 @@ def test_centres_come_from_all_train_rows(spark):
             assert np.allclose(f.model.centre, alone.centre, rtol=1e-4, atol=1e-5)
 
 
+def test_rows_kept_between_rounds_come_in_small_batches(spark):
+    spark.conf.set("spark.sql.inMemoryColumnarStorage.batchSize", "10000")
+    rows = spark.range(1000).select(F.col("id").alias("target"))
+    dealt = trainer.deal(rows, 1, 1)
+    assert dealt.count() == 1000
+    kept = dealt._jdf.queryExecution().withCachedData().cacheBuilder().cachedColumnBuffers()
+    assert kept.count() == -(-1000 // trainer.KEPT) and int(spark.conf.get("spark.sql.inMemoryColumnarStorage.batchSize")) <= 128
+    dealt.unpersist()
+
+
 def test_earlier_means_match_brute_force(spark):
     rng = np.random.default_rng(3)
     rows = [(i, int(rng.integers(0, 4)), int(rng.integers(0, 500)), [float(v) for v in rng.standard_normal(3)]) for i in range(300)]
